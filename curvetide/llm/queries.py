@@ -7,10 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .near_dedup import op4_near_dedup
+from .substring_dedup import op2_substring_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op4_near_dedup]
+    found = [op2_substring_dedup, op4_near_dedup]
     return {f.__name__: f for f in found}
 
 
