@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .language_id import op6_language_id
 from .near_dedup import op4_near_dedup
+from .quality import op10_quality_classifier
 from .substring_dedup import op2_substring_dedup
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op2_substring_dedup, op4_near_dedup]
+    found = [op2_substring_dedup, op4_near_dedup, op6_language_id, op10_quality_classifier]
     return {f.__name__: f for f in found}
 
 
