@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .language_id import op6_language_id
+from .mixing import op5_mixing
 from .near_dedup import op4_near_dedup
 from .quality import op10_quality_classifier
 from .quality_rules import op8_quality_rules
@@ -15,7 +16,7 @@ from .token_counts import op7_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op2_substring_dedup, op4_near_dedup, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
+    found = [op2_substring_dedup, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
     return {f.__name__: f for f in found}
 
 
