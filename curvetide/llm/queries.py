@@ -11,12 +11,13 @@ from .mixing import op5_mixing
 from .near_dedup import op4_near_dedup
 from .quality import op10_quality_classifier
 from .quality_rules import op8_quality_rules
+from .sentencepiece_codec import op1_sentencepiece
 from .substring_dedup import op2_substring_dedup
 from .token_counts import op7_token_counts
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op2_substring_dedup, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
+    found = [op1_sentencepiece, op2_substring_dedup, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
     return {f.__name__: f for f in found}
 
 
