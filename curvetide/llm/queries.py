@@ -14,10 +14,11 @@ from .quality_rules import op8_quality_rules
 from .sentencepiece_codec import op1_sentencepiece
 from .substring_dedup import op2_substring_dedup
 from .token_counts import op7_token_counts
+from .warc import op3_warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_sentencepiece, op2_substring_dedup, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
+    found = [op1_sentencepiece, op2_substring_dedup, op3_warc, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
     return {f.__name__: f for f in found}
 
 
