@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .embedding_dedup import op9_embedding_dedup
 from .language_id import op6_language_id
 from .mixing import op5_mixing
 from .near_dedup import op4_near_dedup
@@ -18,7 +19,7 @@ from .warc import op3_warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_sentencepiece, op2_substring_dedup, op3_warc, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op10_quality_classifier]
+    found = [op1_sentencepiece, op2_substring_dedup, op3_warc, op4_near_dedup, op5_mixing, op6_language_id, op7_token_counts, op8_quality_rules, op9_embedding_dedup, op10_quality_classifier]
     return {f.__name__: f for f in found}
 
 
