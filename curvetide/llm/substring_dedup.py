@@ -12,8 +12,8 @@ it, so equal windows have equal anchors wherever they stand:
 4. chunks get these answers back and cut the covered words.
 
 What a shard gets of a passage grows with the number of chunks, not of documents, that
-hold it, and shards are hash-dealt, so hot passages don't gather.  Words are compared by
-64-bit hashes.
+hold it, and shards are hash-dealt, so hot passages don't gather.  Shards compare
+words by 48 bits of their hashes.
 
 Edge cases: null text has no words; rows of null id keep all words and count as nobody's
 original; rows of one id never remove each other's words; documents shorter than a window
@@ -34,31 +34,45 @@ from .fm_index import FMIndex
 
 CHUNK_BYTES = 6 << 20
 RUN = 6  # words of an anchor
+ANCHOR = 5  # bytes of an anchor's hash that a shard compares
+WORD = 6  # bytes of a word's hash that a shard compares
 
-_PACKED = "chunk long, ids array<long>, sizes array<int>, z binary"
+_PACKED = "chunk long, ids array<long>, sizes array<int>, z binary, rest array<string>"
 
 
 def _pack(batches):
     part = TaskContext.get().partitionId()
-    z, seq = zstandard.ZstdCompressor(level=1), 0
-    ids, texts, total = [], [], 0
+    z, seq = zstandard.ZstdCompressor(level=3), 0
+    ids, texts, rest, total = [], [], [], 0
 
     def row():
-        return pa.record_batch([pa.array([(part << 32) + seq], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([z.compress(b"".join(texts))], pa.binary())], names=["chunk", "ids", "sizes", "z"])
+        return pa.record_batch([pa.array([(part << 32) + seq], pa.int64()), pa.array([ids], pa.list_(pa.int64())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([z.compress(b"".join(texts))], pa.binary()), pa.array([rest], pa.list_(pa.string()))], names=["chunk", "ids", "sizes", "z", "rest"])
 
     for batch in batches:
-        for i, t in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
+        for i, t, r in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("rest").to_pylist()):
             t = C.encoded(t.as_py())
             if ids and total + len(t) > CHUNK_BYTES:
                 yield row()
-                ids, texts, total, seq = [], [], 0, seq + 1
+                ids, texts, rest, total, seq = [], [], [], 0, seq + 1
             ids.append(i)
             texts.append(t)
+            rest.append(r)
             total += len(t)
     if ids:
         yield row()
 
 
+def narrow(a: np.ndarray, n: int) -> bytes:
+    """The low n bytes of each 64-bit number."""
+    return np.ascontiguousarray(a.view(np.uint8).reshape(-1, 8)[:, :n]).tobytes()
+
+
+def widen(raw: bytes, n: int) -> np.ndarray:
+    out = np.zeros((len(raw) // n, 8), np.uint8)
+    out[:, :n] = np.frombuffer(raw, np.uint8).reshape(-1, n)
+    return out.view(np.uint64).reshape(-1)
+
+
 def _texts(sizes: list[int], blob: bytes) -> list[bytes]:
     raw = zstandard.ZstdDecompressor().decompress(blob) if sum(sizes) else b""
     cut = np.cumsum([0, *sizes])
@@ -98,12 +112,7 @@ class _Stretches:
         self.at, self.doc = at[head], doc[head]
         self.size = np.diff(np.concatenate([head, [len(at)]])) + window - 1
         self.anchor = C.mix64(low[head])
-        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(self.h)])
-        self.key = np.zeros(len(head), np.uint64)
-        for j in range(int(self.size.max())):
-            live = self.size > j
-            self.key[live] += self.h[self.at[live] + j] * _PLACE[j]
-        self.key = C.mix64(self.key ^ self.size.astype(np.uint64) ^ sums[0])
+        self.key = stretch_keys(self.h, self.at, self.size)
 
     def words(self, which: np.ndarray) -> np.ndarray:
         size = self.size[which]
@@ -112,6 +121,7 @@ class _Stretches:
 
 
 _PLACE = C.stream64(256, 31) | np.uint64(1)
+_WORD_BITS = np.uint64((1 << 8 * WORD) - 1)
 
 
 def _chunk(ids, sizes, blob, window: int) -> tuple[_Stretches, list[np.ndarray], list[bytes]]:
@@ -131,7 +141,7 @@ def _rows(table):
 def _anchors(window: int, shards: int):
     def run(batches):
         for batch in batches:
-            for chunk, ids, sizes, blob in _rows(batch):
+            for chunk, ids, sizes, blob, *_ in _rows(batch):
                 s, _, _ = _chunk(ids, sizes, blob, window)
                 order = np.lexsort((s.doc, s.anchor))
                 a, d = s.anchor[order], s.doc[order]
@@ -144,58 +154,82 @@ def _anchors(window: int, shards: int):
                 a, many, shard = a[order], many[order], shard[order]
                 cut = np.searchsorted(shard, np.arange(shards + 1))
                 live = [(k, x, y) for k, x, y in zip(range(shards), cut[:-1], cut[1:]) if y > x]
-                yield pa.record_batch([pa.array([k for k, _, _ in live], pa.int64()), pa.array([chunk] * len(live), pa.int64()), pa.array([a[x:y].tobytes() for _, x, y in live], pa.binary()), pa.array([many[x:y].tobytes() for _, x, y in live], pa.binary())], names=["shard", "chunk", "anchors", "many"])
+                yield pa.record_batch([pa.array([k for k, _, _ in live], pa.int64()), pa.array([chunk] * len(live), pa.int64()), pa.array([narrow(a[x:y] >> _CUT, ANCHOR) for _, x, y in live], pa.binary()), pa.array([many[x:y].tobytes() for _, x, y in live], pa.binary())], names=["shard", "chunk", "anchors", "many"])
 
     return run
 
 
-_REPEATED = pa.schema([("chunk", pa.int64()), ("anchors", pa.binary())])
+_CUT = np.uint64(64 - 8 * ANCHOR)
+_LOW = (1 << (64 - 8 * ANCHOR)) - 1
+_REPEATED = pa.schema([("chunk", pa.int64()), ("shard", pa.int64()), ("anchors", pa.binary())])
 
 
 def _repeated(table):
     """The anchors that several documents have, told to each chunk that has them."""
     chunks = table.column("chunk").to_pylist()
-    each = [np.frombuffer(x, np.uint64) for x in table.column("anchors").to_pylist()]
+    each = [widen(x, ANCHOR) for x in table.column("anchors").to_pylist()]
     many = np.concatenate([np.frombuffer(x, bool) for x in table.column("many").to_pylist()])
     a = np.concatenate(each)
     value, back, count = np.unique(a, return_inverse=True, return_counts=True)
     good = count > 1
     good[back[many]] = True
-    keep, out, at = good[back], ([], []), 0
+    shard = table.column("shard")[0].as_py()
+    keep, out, at = good[back], ([], [], []), 0
     for c, x in zip(chunks, each):
         k = keep[at : at + len(x)]
         at += len(x)
         if k.any():
             out[0].append(c)
-            out[1].append(x[k].tobytes())
-    return pa.table([pa.array(out[0], pa.int64()), pa.array(out[1], pa.binary())], schema=_REPEATED)
+            out[1].append(shard)
+            out[2].append(narrow(x[k], ANCHOR))
+    return pa.table([pa.array(o, f.type) for o, f in zip(out, _REPEATED)], schema=_REPEATED)
 
 
-_SENT = pa.schema([("shard", pa.int64()), ("chunk", pa.int64()), ("keys", pa.binary()), ("sizes", pa.binary()), ("words", pa.binary()), ("low", pa.binary()), ("high", pa.binary())])
+_SENT = pa.schema([("shard", pa.int64()), ("chunk", pa.int64()), ("sizes", pa.binary()), ("words", pa.binary()), ("low", pa.binary()), ("high", pa.binary())])
 
 
 def _coded(words: np.ndarray) -> bytes:
     value, code = np.unique(words, return_inverse=True)
     kind = np.uint16 if len(value) < 1 << 16 else np.uint32
-    return zstandard.ZstdCompressor(level=1).compress(np.int64(len(value)).tobytes() + value.tobytes() + code.astype(kind).tobytes())
+    return zstandard.ZstdCompressor(level=1).compress(np.int64(len(value)).tobytes() + narrow(value, WORD) + code.astype(kind).tobytes())
 
 
 def _decoded(blob: bytes) -> np.ndarray:
     raw = zstandard.ZstdDecompressor().decompress(blob)
     n = int(np.frombuffer(raw, np.int64, 1)[0])
-    value = np.frombuffer(raw, np.uint64, n, 8)
-    return value[np.frombuffer(raw, np.uint16 if n < 1 << 16 else np.uint32, -1, 8 + 8 * n)]
+    value = widen(raw[8 : 8 + WORD * n], WORD)
+    return value[np.frombuffer(raw, np.uint16 if n < 1 << 16 else np.uint32, -1, 8 + WORD * n)]
+
+
+def _squeezed(ids: np.ndarray) -> bytes:
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(ids.view(np.uint8).reshape(-1, 8).T).tobytes())
+
+
+def _unsqueezed(blob: bytes) -> np.ndarray:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob), np.uint8)
+    return np.ascontiguousarray(raw.reshape(8, -1).T).view(np.int64).reshape(-1)
+
+
+def stretch_keys(words: np.ndarray, at: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """A hash of the words at:at + size of each stretch (of the bytes that shards get)."""
+    words = words & _WORD_BITS
+    key = np.zeros(len(at), np.uint64)
+    for j in range(int(size.max(initial=0))):
+        live = size > j
+        key[live] += C.mix64(words[at[live] + j]) * _PLACE[j]
+    return C.mix64(key ^ size.astype(np.uint64))
 
 
 def _send(window: int, shards: int):
     def run(packed, answers):
-        known = [np.frombuffer(x, np.uint64) for x in answers.column("anchors").to_pylist()]
+        known = [widen(x, ANCHOR) << _CUT | np.uint64(k & _LOW) for x, k in zip(answers.column("anchors").to_pylist(), answers.column("shard").to_pylist())]
         known = np.sort(np.concatenate(known)) if known else np.zeros(0, np.uint64)
         out = [[] for _ in _SENT]
         if len(known):
-            for chunk, ids, sizes, blob in _rows(packed):
+            for chunk, ids, sizes, blob, *_ in _rows(packed):
                 s, _, _ = _chunk(ids, sizes, blob, window)
-                which = np.flatnonzero(known[np.minimum(np.searchsorted(known, s.anchor), len(known) - 1)] == s.anchor)
+                look = (s.anchor >> _CUT) << _CUT | (s.anchor % np.uint64(shards)) & np.uint64(_LOW)
+                which = np.flatnonzero(known[np.minimum(np.searchsorted(known, look), len(known) - 1)] == look)
                 ident = np.array([0 if i is None else i for i in ids], np.int64)[s.doc[which]]
                 order = np.lexsort((ident, s.key[which]))
                 which, ident = which[order], ident[order]
@@ -209,7 +243,7 @@ def _send(window: int, shards: int):
                 for k in np.unique(shard):
                     x = order[cut[k] : cut[k + 1]]
                     w = which[x]
-                    for c, v in zip(out, (int(k), chunk, s.key[w].tobytes(), s.size[w].astype(np.uint8).tobytes(), _coded(s.words(w)), low[x].tobytes(), high[x].tobytes())):
+                    for c, v in zip(out, (int(k), chunk, s.size[w].astype(np.uint8).tobytes(), _coded(s.words(w) & _WORD_BITS), _squeezed(low[x]), _squeezed(high[x]))):
                         c.append(v)
         return pa.table([pa.array(c, f.type) for c, f in zip(out, _SENT)], schema=_SENT)
 
@@ -225,13 +259,13 @@ def _search(window: int):
     def run(table):
         col = lambda c: table.column(c).to_pylist()
         chunks = col("chunk")
-        keys = [np.frombuffer(x, np.uint64) for x in col("keys")]
-        n = [len(k) for k in keys]
-        key = np.concatenate(keys)
-        low = np.concatenate([np.frombuffer(x, np.int64) for x in col("low")])
-        high = np.concatenate([np.frombuffer(x, np.int64) for x in col("high")])
-        size = np.concatenate([np.frombuffer(x, np.uint8) for x in col("sizes")]).astype(np.int64)
+        sizes = [np.frombuffer(x, np.uint8).astype(np.int64) for x in col("sizes")]
+        n = [len(x) for x in sizes]
+        low = np.concatenate([_unsqueezed(x) for x in col("low")])
+        high = np.concatenate([_unsqueezed(x) for x in col("high")])
+        size = np.concatenate(sizes)
         words = np.concatenate([_decoded(x) for x in col("words")])
+        key = stretch_keys(words, np.cumsum(size) - size, size)
         _, first, back = np.unique(key, return_index=True, return_inverse=True)
         start = (np.cumsum(size) - size)[first]
         own = size[first]
@@ -262,10 +296,10 @@ def _search(window: int):
     return run
 
 
-_RESULT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string())])
+_RESULT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept", pa.string()), ("rest", pa.string())])
 
 
-def _cut(window: int, only_changed: bool):
+def _cut(window: int, layout: bool):
     def run(packed, answers):
         keys, counts, least = (answers.column(c).to_pylist() for c in ("keys", "counts", "least"))
         key = np.concatenate([np.frombuffer(x, np.uint64) for x in keys]) if keys else np.zeros(0, np.uint64)
@@ -274,7 +308,7 @@ def _cut(window: int, only_changed: bool):
         base = np.cumsum(count) - count
         order = np.argsort(key)
         out = [[] for _ in _RESULT]
-        for _, ids, sizes, blob in _rows(packed):
+        for _, ids, sizes, blob, rest in _rows(packed):
             s, words, texts = _chunk(ids, sizes, blob, window)
             gone = np.zeros(len(s.h), bool)
             if len(key) and len(s.key):
@@ -290,39 +324,53 @@ def _cut(window: int, only_changed: bool):
                 np.add.at(change, at + window, -1)
                 gone = np.cumsum(change)[:-1] > 0
             a = 0
-            for i, w, t in zip(ids, words, texts):
+            for i, w, t, r in zip(ids, words, texts, rest):
                 g = gone[a : a + len(w)]
                 a += len(w)
                 removed = int(g.sum())
-                if removed == 0 and only_changed:
-                    kept = None
-                elif removed:
-                    kept = b" ".join(x for x, y in zip(t.split(), g) if not y).decode("utf-8", "surrogatepass")
+                if layout and not removed:
+                    kept = t
                 else:
-                    kept = b" ".join(t.split()).decode("utf-8", "surrogatepass")
-                for o, v in zip(out, (i, len(w), removed, kept)):
+                    kept = b" ".join([x for x, y in zip(t.split(), g) if not y] if removed else t.split())
+                kept = kept.decode("utf-8", "surrogatepass")
+                for o, v in zip(out, (i, len(w), removed, kept, r)):
                     o.append(v)
         return pa.table([pa.array(o, f.type) for o, f in zip(out, _RESULT)], schema=_RESULT)
 
     return run
 
 
-def remove_repeats(docs: DataFrame, window: int = 13, only_changed: bool = False) -> DataFrame:
-    """(doc_id, n_words, n_removed, kept) for each row of ``docs`` (doc_id, text).
+def remove_repeats(docs: DataFrame, window: int = 13, layout: bool = False) -> DataFrame:
+    """(doc_id, n_words, n_removed, kept, rest) for each row of ``docs`` (doc_id, text).
 
-    ``kept``: the words left, joined by one space; with ``only_changed`` null where
-    nothing was removed."""
+    ``kept``: the words left, joined by one space; with ``layout`` a text that loses no
+    word stays as it is.  ``rest``: the other columns, as JSON."""
     C.need(docs, "doc_id", "text")
-    if window < RUN or window > 200:
+    if not RUN <= window <= 200:
         raise ValueError(f"window must lie between {RUN} and 200")
-    spark = docs.sparkSession
-    shards = 4 * C.shuffle_width(spark)
-    packed = C.materialize(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_pack, _PACKED), "sub-packed")
-    anchors = packed.mapInArrow(_anchors(window, shards), "shard long, chunk long, anchors binary, many binary")
-    repeated = anchors.groupBy("shard").applyInArrow(_repeated, "chunk long, anchors binary")
-    sent = packed.groupBy("chunk").cogroup(repeated.groupBy("chunk")).applyInArrow(_send(window, shards), "shard long, chunk long, keys binary, sizes binary, words binary, low binary, high binary")
+    shards = 4 * C.shuffle_width(docs.sparkSession)
+    other = [F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text")]
+    rest = F.to_json(F.struct(*other)) if other else F.lit(None).cast("string")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), rest.alias("rest"))
+    packed = C.materialize(rows.mapInArrow(_pack, _PACKED), "sub-packed")
+    anchors = packed.select("chunk", "ids", "sizes", "z").mapInArrow(_anchors(window, shards), "shard long, chunk long, anchors binary, many binary")
+    repeated = anchors.groupBy("shard").applyInArrow(_repeated, "chunk long, shard long, anchors binary")
+    sent = packed.groupBy("chunk").cogroup(repeated.groupBy("chunk")).applyInArrow(_send(window, shards), "shard long, chunk long, sizes binary, words binary, low binary, high binary")
     answers = sent.groupBy("shard").applyInArrow(_search(window), "chunk long, keys binary, counts binary, least binary")
-    return packed.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_cut(window, only_changed), "doc_id long, n_words long, n_removed long, kept string")
+    return packed.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_cut(window, layout), "doc_id long, n_words long, n_removed long, kept string, rest string")
+
+
+def without_repeats(docs: DataFrame, window: int = 13) -> DataFrame:
+    """The rows of ``docs`` with repeated words cut from ``text`` (``n_chars``, where there
+    is one, follows); rows that lose every word go."""
+    out = remove_repeats(docs, window, layout=True).where("n_removed = 0 OR n_removed < n_words")
+    kind = docs.drop("doc_id", "text").schema
+    out = out.withColumn("rest", F.from_json("rest", kind)) if kind.fields else out
+    field = lambda c: F.col("doc_id").cast(docs.schema[c].dataType) if c == "doc_id" else F.col("kept") if c == "text" else F.col("rest").getField(c)
+    cols = {c: field(c) for c in docs.columns}
+    if "n_chars" in cols:
+        cols["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept")).otherwise(cols["n_chars"]).cast(docs.schema["n_chars"].dataType)
+    return out.select(*[v.alias(c) for c, v in cols.items()])
 
 
 def op2_substring_dedup(spark, sf_dir: str) -> DataFrame:
