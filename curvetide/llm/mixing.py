@@ -125,7 +125,8 @@ def mix(docs: DataFrame, block: int = BLOCK, n_shards: int = 64, seed: int = 17)
     parts = _placed(sized).withColumn("block", F.explode_outer(F.when(F.col("size") > 0, F.sequence(first, last))))
     lo, hi = F.greatest("start", F.col("block") * block), F.least(F.col("start") + F.col("size"), F.col("block") * block + F.col("words"))
     piece = F.struct("epoch", (lo - F.col("start")).alias("lo"), (hi - F.col("start")).alias("hi"), "shard", "slot")
-    met = parts.join(taken, ["tag", "block"], "left").withColumn("piece", F.when(F.col("slot").isNotNull() & (hi > lo), piece))
+    # sizes of unfolded rows are underestimated: merge joins, so that nothing large is broadcast
+    met = parts.join(taken.hint("merge"), ["tag", "block"], "left").withColumn("piece", F.when(F.col("slot").isNotNull() & (hi > lo), piece))
     out = met.groupBy("tag", "start", "size", "doc_id", "row", "source").agg(
         F.sum(F.coalesce(F.col("piece.hi") - F.col("piece.lo"), F.lit(0))).alias("taken"), F.sort_array(F.collect_list("piece")).alias("pieces")
     )
@@ -142,7 +143,7 @@ def mixed_texts(docs: DataFrame, **options) -> DataFrame:
     picked = picked.withColumn("_pass", F.explode(by_pass)).withColumnsRenamed({"doc_id": "_id", "row": "_row", "size": "_size"}).drop("pieces")
     texts = docs.withColumn("_row2", F.xxhash64("text"))
     texts = texts.dropDuplicates(["doc_id", "_row2"]) if docs.columns else texts
-    full = texts.join(picked, (F.col("doc_id").eqNullSafe(F.col("_id"))) & (F.col("_row2") == F.col("_row")))
+    full = texts.join(picked.hint("merge"), (F.col("doc_id").eqNullSafe(F.col("_id"))) & (F.col("_row2") == F.col("_row")))
     words = F.filter(F.split("text", C.GAP), lambda w: w != "")
     some = F.array_join(F.flatten(F.transform(F.sort_array(F.transform("_pass", lambda p: F.struct(p["lo"].alias("lo"), p["hi"].alias("hi")))), lambda p: F.slice(words, p["lo"].cast("int") + 1, (p["hi"] - p["lo"]).cast("int")))), " ")
     whole = F.aggregate("_pass", F.lit(0).cast("long"), lambda a, p: a + p["hi"] - p["lo"]) == F.col("_size")
