@@ -1,10 +1,53 @@
-"""A corpus pipeline of five stages over ``documents``."""
+"""A corpus pipeline of five stages over ``documents``: quality rules, near-duplicate
+removal, substring dedup, mixing to target weights, SentencePiece encoding.
+
+Every stage is written as Parquet and read again as the next one's documents.  All but the
+last return the columns of documents; the last returns the encoded mix.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
-ORACLE_SQL = None
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from curvetide.llm import common as C
+from curvetide.llm import mixing, near_dedup, quality_rules, sentencepiece_codec, substring_dedup
+
+
+def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality rules keep."""
+    return quality_rules.keep_good(docs)
+
+
+def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates: five words, similarity 0.8."""
+    return near_dedup.without_near_duplicates(docs, k=5, percent=80)
+
+
+def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without the windows of 13 words that an earlier document has."""
+    return substring_dedup.without_repeats(docs, window=13)
+
+
+def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mix of all sources, a row for each document and pass that takes words of it."""
+    return mixing.mixed_texts(docs)
+
+
+def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """(doc_id, source, n_tokens, ids): the encoded mix."""
+    import public_tokenizers
+
+    out = sentencepiece_codec.encode(docs.select("doc_id", "source", "text"), public_tokenizers.path("piece_bpe_32k.model"))
+    return out.select("doc_id", "source", F.size("ids").alias("n_tokens"), "ids")
+
+
+STAGES = [("quality rules", rules), ("near duplicates", near), ("substring dedup", passages), ("mixing", mixture), ("sentencepiece", tokens)]
+ORACLE_SQL = None  # robust estimates, hashing and tokenisation aren't SQL
 
 
-def run(spark, sf_dir: str):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = C.read_table(spark, sf_dir, "documents")
+    for name, stage in STAGES:
+        docs = C.materialize(stage(spark, docs, sf_dir), "stage-" + name.replace(" ", "-"))
+    return docs

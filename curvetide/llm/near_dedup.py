@@ -254,5 +254,11 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     )
 
 
+def without_near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of ``docs`` but for those whose component has a document of less id."""
+    gone = near_duplicates(docs, k, percent).where("NOT kept").select(F.col("doc_id").alias("_gone"))
+    return docs.join(C.materialize(gone, "near-gone"), F.col("doc_id") == F.col("_gone"), "left_anti")
+
+
 def op4_near_dedup(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(C.read_table(spark, sf_dir, "documents", "doc_id", "text"), k=4, percent=80)

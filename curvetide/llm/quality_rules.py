@@ -45,9 +45,12 @@ def _repeated_words(h: Column, n: Column) -> Column:
     return F.when(n >= 5, window)
 
 
+STATS = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words"]
+
+
 def statistics(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` with n_words, word_chars, n_symbols, n_dup_lines,
-    n_repeat_words and n_lines (all long) in place of the text."""
+    """The rows of ``docs`` with the columns STATS (all long) in place of the text; columns
+    of ``docs`` with these names are replaced."""
     C.need(docs, "doc_id", "text")
     text = F.coalesce("text", F.lit(""))
     words = F.filter(F.split(text, C.GAP), lambda w: w != "")
@@ -61,7 +64,7 @@ def statistics(docs: DataFrame) -> DataFrame:
         "n_lines": F.size("_lines").cast("long"),
         "n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"),
     })
-    out = out.drop("text", "_lines").withColumn("_g", _repeated_words(F.col("_h"), F.col("n_words").cast("int"))).drop("_h")
+    out = out.drop("_lines", "text").withColumn("_g", _repeated_words(F.col("_h"), F.col("n_words").cast("int"))).drop("_h")
     many = F.size(F.array_distinct("_g")) < F.size("_g")
     out = out.withColumn("_s", F.when(many, F.sort_array(F.transform("_g", lambda x, i: F.struct(x.alias("h"), i.alias("i")))))).drop("_g")
     same = lambda x, i, j: F.get("_s", i + j)["h"] == x["h"]
@@ -126,38 +129,68 @@ def _start(rows: DataFrame, tag: str) -> DataFrame:
     return _factored(dev.withColumns(cov))
 
 
-def outlier_distance(rows: DataFrame) -> DataFrame:
-    """``rows`` (grp, x0..) with d2, the squared robust distance within the group."""
+def fit(rows: DataFrame) -> DataFrame:
+    """Per group (grp) of rows (grp, x0..): robust centre, factor, scale, and whether the
+    group is large enough to be judged."""
     par = C.materialize(_start(rows, ""), "mcd-start")
     for step in range(STEPS):
         near = C.materialize(_with_distance(rows, par), f"mcd-d{step}")
         edge = C.materialize(near.groupBy("grp").agg(F.percentile_approx("d2", NEAR, 10000).alias("edge")), f"mcd-edge{step}")
         par = C.materialize(_moments(near.join(edge, "grp").where("d2 <= edge")), f"mcd-par{step}")
-    last = C.materialize(_with_distance(rows, par), "mcd-last")
-    scale = C.materialize(last.groupBy("grp").agg(F.greatest(F.percentile_approx("d2", 0.5, 10000) / CHI2_MEDIAN, F.lit(1.0)).alias("scale")), "mcd-scale")
-    return last.join(scale, "grp").withColumn("d2", F.col("d2") / F.col("scale")).drop("scale")
+    last = _with_distance(rows, par).groupBy("grp").agg(F.greatest(F.percentile_approx("d2", 0.5, 10000) / CHI2_MEDIAN, F.lit(1.0)).alias("scale"), (F.count(F.lit(1)) >= MIN_GROUP).alias("enough"))
+    return par.join(C.materialize(last, "mcd-scale"), "grp")
 
 
-def judge(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` (doc_id, text, lang, source) with their statistics, base_failed
-    and kept, without the text."""
-    C.need(docs, "doc_id", "text", "lang", "source")
-    rows = statistics(docs.select("doc_id", "text", "lang", "source"))
+_TAGS = ["_lang", "_source"]
+
+
+def _prepared(docs: DataFrame) -> DataFrame:
+    """Statistics, base rules, transformed vector, and group tags without null."""
+    rows = statistics(docs)
     rows = rows.withColumn("base_failed", (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words")))
     tag = lambda c: F.coalesce(F.concat(F.lit("v"), F.col(c)), F.lit("n"))
-    rows = rows.withColumns({"_l": tag("lang"), "_s": tag("source")}).withColumns(dict(zip(_X, transformed())))
-    rows = C.materialize(rows.withColumn("_row", F.expr("uuid()")), "rules-stats")
+    return rows.withColumns({"_lang": tag("lang"), "_source": tag("source")}).withColumns(dict(zip(_X, transformed())))
+
+
+def estimates(rows: DataFrame) -> DataFrame:
+    """The fitted group of each (language, source), from prepared rows."""
     good = rows.where("NOT base_failed")
-    size = good.groupBy("_l", "_s").count().withColumn("own", F.col("count") >= MIN_GROUP)
+    size = good.groupBy(*_TAGS).count().withColumn("own", F.col("count") >= MIN_GROUP)
     size = C.materialize(size, "rules-size")
-    lang = size.where("NOT own").groupBy("_l").agg((F.sum("count") >= MIN_GROUP).alias("by_lang"))
-    size = size.join(lang, "_l", "left").select("_l", "_s", F.when(F.col("own"), F.concat_ws("\x01", F.lit("s"), "_l", "_s")).when(F.col("by_lang"), F.concat_ws("\x01", F.lit("l"), "_l")).otherwise(F.lit("all")).alias("grp"))
-    size = C.materialize(size, "rules-groups")
-    grouped = C.materialize(good.join(size, ["_l", "_s"]).select("_row", "grp", *_X), "rules-grouped")
-    full = C.materialize(grouped.groupBy("grp").agg((F.count(F.lit(1)) >= MIN_GROUP).alias("enough")), "rules-enough")
-    judged = outlier_distance(grouped).join(full, "grp").select("_row", ((F.col("d2") <= CUT) | ~F.col("enough")).alias("_ok"), "d2")
-    out = rows.join(judged, "_row", "left").withColumn("kept", ~F.col("base_failed") & F.coalesce("_ok", F.lit(True)))
-    return out.drop("_row", "_ok", "_l", "_s", *_X)
+    lang = size.where("NOT own").groupBy("_lang").agg((F.sum("count") >= MIN_GROUP).alias("by_lang"))
+    grp = F.when(F.col("own"), F.concat_ws("\x01", F.lit("s"), *_TAGS)).when(F.col("by_lang"), F.concat_ws("\x01", F.lit("l"), "_lang")).otherwise(F.lit("all"))
+    size = C.materialize(size.join(lang, "_lang", "left").select(*_TAGS, grp.alias("grp")), "rules-groups")
+    grouped = C.materialize(good.join(size, _TAGS).select("grp", *_X), "rules-grouped")
+    return C.materialize(size.join(fit(grouped), "grp"), "rules-fitted")
+
+
+def _judged(rows: DataFrame, fitted: DataFrame) -> DataFrame:
+    """Adds d2 and kept to prepared rows.  ``fitted`` has a row for each language and
+    source; Spark broadcasts it where its size allows, else the join is by these keys."""
+    out = rows.join(fitted, _TAGS, "left")
+    for i in range(len(_X)):
+        rest = reduce(lambda a, j: a - F.col(f"l{i}{j}") * F.col(f"z{j}"), range(i), F.col(_X[i]) - F.col(f"m{i}"))
+        out = out.withColumn(f"z{i}", rest / F.col(f"l{i}{i}"))
+    d2 = reduce(lambda a, b: a + b, [F.col(f"z{i}") * F.col(f"z{i}") for i in range(len(_X))]) / F.col("scale")
+    fine = F.coalesce((d2 <= CUT) | ~F.col("enough"), F.lit(True))
+    return out.withColumns({"d2": d2, "kept": ~F.col("base_failed") & fine})
+
+
+def judge(docs: DataFrame) -> DataFrame:
+    """(doc_id, lang, source, STATS, base_failed, d2, kept) of each row (doc_id, text, lang,
+    source)."""
+    C.need(docs, "doc_id", "text", "lang", "source")
+    rows = C.materialize(_prepared(docs.select("doc_id", "text", "lang", "source")), "rules-stats")
+    return _judged(rows, estimates(rows)).select("doc_id", "lang", "source", *STATS, "base_failed", "d2", "kept")
+
+
+def keep_good(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that the rules keep.  Rows and statistics are written once, so
+    that no text is shuffled and no statistic computed twice."""
+    C.need(docs, "doc_id", "text", "lang", "source")
+    inner = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), "doc_id", "text", "lang", "source")
+    rows = C.materialize(_prepared(inner), "rules-rows")
+    return _judged(rows, estimates(rows.drop("_doc"))).where("kept").select("_doc.*")
 
 
 def op8_quality_rules(spark, sf_dir: str) -> DataFrame:
