@@ -28,6 +28,7 @@ from .linear import byte_counts, damped, sigmoid
 
 DIM = 8192
 SAMPLE = 400  # training rows of each language, at most
+PARTS = 20
 _LETTER = regex.compile(r"\p{L}")
 
 
@@ -49,7 +50,7 @@ def codewords(k: int) -> np.ndarray:
     return best
 
 
-def fit_bits(x: np.ndarray, t: np.ndarray, weight: np.ndarray, rounds=150, l2=1e-4) -> tuple[np.ndarray, np.ndarray]:
+def fit_bits(x: np.ndarray, t: np.ndarray, weight: np.ndarray, rounds=80, l2=1e-4) -> tuple[np.ndarray, np.ndarray]:
     """Logistic regressions for all bits at once, by accelerated gradient steps.
 
     t: (rows, bits) of -1/+1."""
@@ -99,9 +100,10 @@ def learn(docs: DataFrame) -> CodeModel | None:
     """Fit on a bounded sample of rows (doc_id, text, lang) that aren't held out."""
     from pyspark.sql import Window
 
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
+    # by parts of a language, so that no task gets a whole language
+    rank = F.row_number().over(Window.partitionBy("lang", "part").orderBy(F.xxhash64("doc_id"), "doc_id"))
     pool = docs.where(~C.held_out(F.col("doc_id")) & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    ids = pool.select("doc_id", "lang").withColumn("r", rank).where(F.col("r") <= SAMPLE).select("doc_id")
+    ids = pool.select("doc_id", "lang", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(PARTS)).alias("part")).withColumn("r", rank).where(F.col("r") <= SAMPLE // PARTS).select("doc_id")
     ids = [r[0] for r in ids.collect()]
     rows = pool.where(F.col("doc_id").isin(ids)).select("lang", "text").mapInArrow(_features, "lang string, f binary, v binary").collect() if ids else []
     if not rows:
