@@ -51,7 +51,7 @@ class WaveletMatrix:
 
 
 class FMIndex:
-    """An index of pieces (short symbol sequences, symbols from 1 up).
+    """An index of pieces (short symbol sequences, symbols from 1 up, depth 2 or more).
 
     Pieces end in unique separators that sort below all symbols; ``depth`` is the length
     of the windows whose rows of the suffix array form the reported intervals."""
@@ -69,7 +69,7 @@ class FMIndex:
         self.piece = np.repeat(np.arange(k), sizes + 1)
         rank, width, half = np.unique(text, return_inverse=True)[1], 1, None
         part = 1
-        while part * 2 <= depth:
+        while part * 2 < depth:
             part *= 2
         while True:
             if width == part:
@@ -86,18 +86,27 @@ class FMIndex:
             if half is not None and (not same.any() or width > 2 * n):
                 break
         suffix = order
-        rest = np.minimum(suffix + (depth - part), n - 1)
-        a, b = half[suffix], half[rest]
-        edge = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+        edge = self._edges(half, suffix, depth - part)
         self.first = np.flatnonzero(edge)
-        self.last = np.concatenate([self.first[1:], [n]])
         self.block = np.cumsum(edge) - 1
+        # rows that share all but the last symbol of a window: where a step to the left starts
+        edge = self._edges(half, suffix, depth - 1 - part)
+        short = np.flatnonzero(edge)
+        group = np.cumsum(edge) - 1
+        self.low, self.high = short[group], np.concatenate([short[1:], [n]])[group]
         self.suffix = suffix
         bwt = np.where(inside, text - k, 0)[suffix - 1]
         counts = np.bincount(np.where(inside, text - k, 0), minlength=sigma + 1)
         self.below = np.concatenate([[0], np.cumsum(counts)])
         self.matrix = WaveletMatrix(bwt, max(1, int(sigma).bit_length()))
 
+    @staticmethod
+    def _edges(rank: np.ndarray, suffix: np.ndarray, rest: int) -> np.ndarray:
+        """Rows whose first symbols differ from the row's before: ``rank`` of a place and
+        of the one ``rest`` further tell them apart."""
+        a, b = rank[suffix], rank[np.minimum(suffix + rest, len(rank) - 1)]
+        return np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+
     def step(self, c: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """One backward step: the rows whose suffixes start with c and then match."""
         a, b = self.matrix.rank(c, lo, hi)
@@ -128,7 +137,7 @@ class FMIndex:
                 left, right = np.zeros(lost.sum(), np.int64), np.full(lost.sum(), len(self.suffix))
                 for j in range(d - 1, -1, -1):
                     left, right = self.step(symbols[start[who[lost]] + at[lost] + j], left, right)
-            block = self.block[np.minimum(lo, len(self.block) - 1)]
-            lo, hi = self.step(symbols[start[who] + at], self.first[block], self.last[block])
+            row = np.minimum(lo, len(self.block) - 1)
+            lo, hi = self.step(symbols[start[who] + at], self.low[row], self.high[row])
             if not found.all():
                 lo[lost], hi[lost] = left, right
