@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import common as C  # noqa: F401
 from .embedding_dedup import op9_embedding_dedup
 from .language_id import op6_language_id
 from .mixing import op5_mixing
