@@ -98,7 +98,7 @@ def slots(plan: DataFrame, block: int, n_shards: int, seed: int) -> DataFrame:
     p = p.withColumn("epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("want") - 1) / F.col("source_size")))))
     p = p.withColumn("need", F.least("source_size", F.col("want") - F.col("epoch") * F.col("source_size")))
     key = F.xxhash64("tag", "epoch", F.lit(seed))
-    fit = F.filter(F.array(*[F.lit(x).cast("long") for x in PRIMES]), lambda x: F.col("n") % x != 0)
+    fit = F.filter(F.array(*[F.lit(x).cast("long") for x in PRIMES]), lambda x: (F.col("n") == 0) | (F.col("n") % x != 0))
     p = p.withColumns({"mul": F.get(fit, F.pmod(key, F.size(fit)).cast("int")), "add": F.pmod(F.xxhash64(key), F.greatest("n", F.lit(1))), "n_slots": F.ceil(F.col("need") / block)})
     last = F.ceil(F.col("n_slots") / SPREAD) - 1
     p = p.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), last))).repartition(C.shuffle_width(plan.sparkSession), "tag", "epoch", "part")
