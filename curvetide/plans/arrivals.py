@@ -183,3 +183,12 @@ def choose_hessian(rows: int, d: int, n: int, spare: int, b: int, tasks: int, fl
     exact = rows * d * d / 2 / flops + comm_bytes("exact", rows, d, tasks=tasks) / bandwidth
     sketch = rows * d * (n + spare) / flops + comm_bytes("sketched", rows, d, n, b, spare, tasks) / bandwidth
     return "exact" if exact <= sketch else "sketched"
+
+
+def matmul_bytes(scheme: str, n: int, d: int, b: int) -> int:
+    """Bytes that workers read for A'A of n x d in all, each holding 2 b^2 entries: square
+    blocks of b, or strips of whole columns, of which only b^2 / n fit."""
+    if scheme == "block":
+        return 8 * 2 * b * b * math.ceil(n / b) * math.ceil(d / b) ** 2
+    strip = max(1, b * b // n)
+    return 8 * 2 * n * strip * math.ceil(d / strip) ** 2

@@ -107,3 +107,13 @@ def weak_rate(alpha: float, beta: float, nu: float, eps: float, eta: float, m: f
 
 def weak_step(beta: float, nu: float, eps: float, eta: float, m: float, lipschitz: float, g0: float) -> float:
     return eta / (2 * (lipschitz * g0 + m * m)) * ((1 - beta) * nu * eta - 2 * eps * m)
+
+
+def perturbed(h: np.ndarray, eps: float, seed: int = 0) -> np.ndarray:
+    """h changed so that its relative eigenvalues lie within 1 - eps and 1 + eps: a hook for
+    tests of how much error of the Hessian a method bears."""
+    e, v = np.linalg.eigh(h)
+    half = v * np.sqrt(np.maximum(e, 0))
+    a = np.random.default_rng(seed).normal(size=h.shape)
+    a = a + a.T
+    return half @ (np.eye(len(h)) + eps * a / np.linalg.norm(a, 2)) @ half.T

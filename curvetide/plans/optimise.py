@@ -15,6 +15,7 @@ from ..functions.hashing import coefficients, hash_col, hash_np
 from ..operators.sketch import BlockSketch
 from ..operators.vectors import matrix, pack, sum_packed
 from ..sources.design import DesignMatrix
+from ..sources.tables import load_vector, save_vector, trace_frame
 from .arrivals import FUNCTIONS, AnyN, ClusterProfile, CodedGrid, GradientCode, IgnoreStragglers, Speculative, WaitAll
 from .problems import Problem
 from .solve import pinv_solve, solve_spd
@@ -207,6 +208,17 @@ class FitResult:
     def loss(self) -> float:
         return self.trace[-1]["loss"]
 
+    def save(self, spark, path: str) -> None:
+        """Weights and trace, to go on from later."""
+        save_vector(spark, self.w, f"{path}/w")
+        trace_frame(spark, self.rows("")).write.mode("overwrite").parquet(f"{path}/trace")
+
+    @staticmethod
+    def load(spark, path: str) -> FitResult:
+        rows = spark.read.parquet(f"{path}/trace").orderBy("it").collect()
+        keys = ("it", "loss", "grad_norm", "step", "sim_s", "wall_s", "note")
+        return FitResult(load_vector(spark, f"{path}/w"), [{k: r[k] for k in keys} for r in rows], rows[0]["scheme"] if rows else "")
+
     def rows(self, workload: str) -> list[tuple]:
         return [(workload, self.scheme, t["it"], float(t["loss"]), float(t["grad_norm"]), float(t["step"]), float(t["sim_s"]), float(t["wall_s"]), t["note"]) for t in self.trace]
 
