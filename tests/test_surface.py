@@ -50,7 +50,7 @@ def test_fit_is_saved_and_resumed(spark, sf, tmp_path):
 
 def test_race_takes_the_first_and_cancels_the_rest(spark):
     def slow():
-        return spark.range(0, 4, 1, 4).mapInPandas(lambda it: (time.sleep(60), it)[1], "id long").count()
+        return spark.range(0, 1, 1, 1).mapInPandas(lambda it: (time.sleep(60), it)[1], "id long").count()
 
     t = time.time()
     got = race.first_n(spark, [lambda: spark.range(10).count(), slow, lambda: spark.range(20).count()], 2)
