@@ -42,7 +42,25 @@ def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "source", F.size("ids").alias("n_tokens"), "ids")
 
 
-STAGES = [("quality rules", rules), ("near duplicates", near), ("substring dedup", passages), ("mixing", mixture), ("sentencepiece", tokens)]
+_scratch: list[str] = []
+
+
+def _tidy(stage):
+    """A stage's tables in the shared folder go when the next stage starts: by then its
+    result is written.  Tables that the given documents still read stay."""
+
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        C.discard(spark, *C.unread(_scratch, docs))
+        since = C.mark()
+        out = stage(spark, docs, sf_dir)
+        _scratch[:] = C.made(since)
+        return out
+
+    run.__name__, run.__doc__ = stage.__name__, stage.__doc__
+    return run
+
+
+STAGES = [(name, _tidy(f)) for name, f in (("quality rules", rules), ("near duplicates", near), ("substring dedup", passages), ("mixing", mixture), ("sentencepiece", tokens))]
 ORACLE_SQL = None  # robust estimates, hashing and tokenisation aren't SQL
 
 

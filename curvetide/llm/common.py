@@ -43,9 +43,35 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.parquet(path)
+    _made.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+_made: list[str] = []
+
+
+def mark() -> int:
+    """The number of tables written so far; see ``release``."""
+    return len(_made)
+
+
+def release(spark: SparkSession, since: int, *keep: DataFrame) -> None:
+    """Delete the tables written since a mark but for those that ``keep`` read."""
+    gone = unread(_made[since:], *keep)
+    discard(spark, *gone)
+    _made[since:] = [p for p in _made[since:] if p not in gone]
+
+
+def made(since: int) -> list[str]:
+    return _made[since:]
+
+
+def unread(paths: list[str], *frames: DataFrame) -> list[str]:
+    """The tables that none of the frames reads."""
+    kept = {f for df in frames for f in df.inputFiles()}
+    return [p for p in paths if not any(p.split("/curvetide/")[-1] in f for f in kept)]
+
+
 def discard(spark: SparkSession, *paths: str) -> None:
     """Delete tables of the shared folder that nothing reads any more."""
     jvm = spark.sparkContext._jvm

@@ -223,7 +223,7 @@ class _Search:
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of ``docs`` (doc_id, text)."""
     C.need(docs, "doc_id", "text")
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    docs, since = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), C.mark()
     signed = C.materialize(docs.mapInArrow(_sign(k), "doc_id long, n_shingles long, set_key binary, sig binary"), "near-signed")
     usable = signed.where("doc_id IS NOT NULL AND n_shingles > 0")
     classes = C.materialize(usable.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("sig").alias("sig"), F.count(F.lit(1)).alias("size")), "near-classes")
@@ -246,6 +246,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     links, label = search.blocks(todo, links)
     member = classes.select("set_key", "rep").join(label.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("comp"))
     member = C.materialize(member, "near-member")
+    C.release(docs.sparkSession, since, signed, member)
     return (
         signed.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.col("set_key")).alias("set_key"))
         .join(member, "set_key", "left")
