@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import common as C  # noqa: F401
+from . import sql
 from .embedding_dedup import op9_embedding_dedup
 from .language_id import op6_language_id
 from .mixing import op5_mixing
@@ -25,4 +25,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return sql.oracle_sql()
