@@ -5,12 +5,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from . import core, fits, relational, runtime
+from . import core, fits, measured, relational, runtime
 
 
 def queries() -> dict[str, Callable]:
-    return {n: f for part in (core, relational, runtime, fits) for n, (f, _) in part.QUERIES.items()}
+    return {n: f for part in (core, relational, runtime, measured, fits) for n, (f, _) in part.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {n: q for part in (core, relational, runtime, fits) for n, (_, q) in part.QUERIES.items() if q}
+    return {n: q for part in (core, relational, runtime, measured, fits) for n, (_, q) in part.QUERIES.items() if q}

@@ -27,7 +27,8 @@ class Scan:
 
     n: float = 0.0
     losses: np.ndarray | None = None
-    errors: float = float("nan")
+    errors: float = float("nan")  # at the first point
+    errors_at: np.ndarray | None = None
     gradients: np.ndarray | None = None
     gram: np.ndarray | None = None
     rows: np.ndarray | None = None  # sketched root rows
@@ -37,8 +38,8 @@ class Scan:
 _LOSS, _GRAD, _GRAM, _SKETCH = range(4)
 
 
-def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), hessian_at=None, sketch: BlockSketch | None = None, blocks=None, fan: int = 0) -> Scan:
-    """One job: losses and errors at points, gradients at points, and at ``hessian_at`` the
+def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), hessian_at=None, sketch: BlockSketch | None = None, blocks=None, fan: int = 0, tested: int = 1) -> Scan:
+    """One job: losses at points, errors at the first ``tested`` of them, gradients at points, and at ``hessian_at`` the
     exact Gram matrix of the Hessian's root or its sketch.
 
     Points travel in the closure; partial sums leave each task once, and only vectors of
@@ -46,10 +47,11 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
     d, size = data.d, problem.width(data.d)
     at, grads = [np.asarray(w, float) for w in losses_at], [np.asarray(w, float) for w in gradients_at]
     use = list(range(sketch.blocks)) if sketch is not None and blocks is None else list(blocks or [])
+    known = min(tested, len(at))
     point = None if hessian_at is None else np.asarray(hessian_at, float)
 
     def run(batches):
-        n, err, loss = 0, 0.0, np.zeros(len(at))
+        n, err, loss = 0, np.zeros(known), np.zeros(len(at))
         g = np.zeros((len(grads), size))
         gram = np.zeros((size, size)) if point is not None and sketch is None else None
         into = {k: np.zeros((sketch.width, size)) for k in use} if point is not None and sketch is not None else {}
@@ -59,7 +61,7 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
             n += len(y)
             if at:
                 loss += problem.losses(x, y, at)
-                err += problem.errors(x, y, at[0])
+                err += [problem.errors(x, y, w) for w in at[:known]]
             for i, w in enumerate(grads):
                 g[i] += problem.gradient(x, y, w)
             if point is not None:
@@ -71,7 +73,7 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
                         k = len(a) // max(1, len(y[lo : lo + 2048]))
                         key = np.repeat(ids[lo : lo + 2048], k) * k + np.tile(np.arange(k), len(ids[lo : lo + 2048])) if k > 1 else ids[lo : lo + 2048]
                         sketch.scatter(key, a, into, use)
-        out = [(_LOSS, 0, 0, np.concatenate([[n, err], loss]))] + [(_GRAD, i, 0, v) for i, v in enumerate(g)]
+        out = [(_LOSS, 0, 0, np.concatenate([[n], err, loss]))] + [(_GRAD, i, 0, v) for i, v in enumerate(g)]
         if gram is not None:
             out.append((_GRAM, 0, 0, gram.reshape(-1)))
         for k, buf in into.items():
@@ -84,7 +86,7 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
     for r in sum_packed(parts, ["kind", "block", "bucket"], fan=fan).collect():
         v = np.frombuffer(r["v"], np.float64)
         if r["kind"] == _LOSS:
-            out.n, out.errors, out.losses = v[0], v[1], v[2:].copy()
+            out.n, out.errors_at, out.losses = v[0], v[1 : 1 + known].copy(), v[1 + known :].copy()
         elif r["kind"] == _GRAD:
             out.gradients[r["block"]] = v
         elif r["kind"] == _GRAM:
@@ -97,7 +99,8 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
     scale = 1.0 / max(out.n, 1) if problem.mean else 1.0
     if at:
         out.losses = out.losses * scale + [problem.reg_loss(w) for w in at]
-        out.errors /= max(out.n, 1)
+        out.errors_at /= max(out.n, 1)
+        out.errors = float(out.errors_at[0])
     for i, w in enumerate(grads):
         out.gradients[i] = out.gradients[i] * scale + problem.reg_gradient(w)
     if out.gram is not None:
@@ -216,11 +219,21 @@ class FitResult:
     @staticmethod
     def load(spark, path: str) -> FitResult:
         rows = spark.read.parquet(f"{path}/trace").orderBy("it").collect()
-        keys = ("it", "loss", "grad_norm", "step", "sim_s", "wall_s", "note")
+        keys = ("it", "loss", "grad_norm", "step", "sim_s", "wall_s", "note", "test_loss", "test_error")
         return FitResult(load_vector(spark, f"{path}/w"), [{k: r[k] for k in keys} for r in rows], rows[0]["scheme"] if rows else "")
 
     def rows(self, workload: str) -> list[tuple]:
-        return [(workload, self.scheme, t["it"], float(t["loss"]), float(t["grad_norm"]), float(t["step"]), float(t["sim_s"]), float(t["wall_s"]), t["note"]) for t in self.trace]
+        return [(workload, self.scheme, t["it"], float(t["loss"]), float(t["grad_norm"]), float(t["step"]), float(t["sim_s"]), float(t["wall_s"]), t["note"], t.get("test_loss"), t.get("test_error")) for t in self.trace]
+
+    def tested(self, data: DesignMatrix, problem: Problem) -> FitResult:
+        """Adds loss and error rate on held-out rows to the trace: one scan for all its
+        points.  Points at which the fit diverged are left out."""
+        live = [t for t in self.trace if "w" in t and np.isfinite(t["w"]).all()]
+        if live:
+            s = scan(data, problem, [t["w"] for t in live], tested=len(live))
+            for t, loss, error in zip(live, s.losses, s.errors_at):
+                t["test_loss"], t["test_error"] = float(loss), float(error)
+        return self
 
 
 class _Run:
@@ -231,7 +244,7 @@ class _Run:
 
     def log(self, it, w, loss, g, step, note="") -> None:
         self.out.w = w
-        self.out.trace.append({"it": it, "loss": loss, "grad_norm": float(np.linalg.norm(g)), "step": step, "sim_s": self.sim, "wall_s": time.time() - self.began, "note": note})
+        self.out.trace.append({"it": it, "loss": loss, "grad_norm": float(np.linalg.norm(g)), "step": step, "sim_s": self.sim, "wall_s": time.time() - self.began, "note": note, "w": w})
 
 
 # ------------------------------------------------------------------ Newton methods

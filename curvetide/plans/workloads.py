@@ -1,5 +1,6 @@
 """The experiments, re-expressed on the given tables.  Each gives trace rows (workload,
-scheme, it, loss, grad_norm, step, sim_s, wall_s, note); simulated seconds are a model.
+scheme, it, loss, grad_norm, step, sim_s, wall_s, note, test_loss, test_error); simulated
+seconds are a model.
 
 Ratios follow the published set-ups (sketch size to features, spare blocks, workers to
 rows); feature numbers are smaller."""
@@ -26,8 +27,14 @@ def _held(data: DesignMatrix) -> DesignMatrix:
     return DesignMatrix(data.df.select("row_id", "y", "x").cache(), data.d, data.classes)
 
 
-def _second_order(name, data, problem, multiple, s, workers, iters=5, extra=()):
-    """Sketched and exact Newton and the three local-averaging variants."""
+def _split(data: DesignMatrix, parts: int) -> tuple[DesignMatrix, DesignMatrix]:
+    return tuple(_held(d) for d in data.split(parts))
+
+
+def _second_order(name, split, problem, multiple, s, workers, iters=5):
+    """Sketched and exact Newton and the three local-averaging variants, with the losses and
+    errors on held-out rows."""
+    data, test = split
     w1, w2, w3 = workers
     sk = BlockSketch.of(int(multiple * data.d), data.d, 0.2, seed=1)
     fits = [
@@ -36,44 +43,39 @@ def _second_order(name, data, problem, multiple, s, workers, iters=5, extra=()):
         O.averaged_local_newton(data, problem, 12, WaitAll(), iters=iters),
         O.averaged_local_newton(data, problem, 12, GradientCode(s), iters=2),
         O.averaged_local_newton(data, problem, 12, IgnoreStragglers(0.9), iters=iters),
-        *extra,
     ]
-    return [r for f in fits for r in f.rows(name)]
+    return [r for f in fits for r in f.tested(test, problem).rows(name)]
 
 
 def w01(spark, sf):
     """Synthetic logistic task, m = 10 d, gradient code s = 1."""
-    train, _ = design.synthetic(spark, sf, 20).split(4)
-    return _second_order("synthetic", _held(train), Logistic(LAM), 10, 1, (60, 3600, 600))
+    return _second_order("synthetic", _split(design.synthetic(spark, sf, 20), 4), Logistic(LAM), 10, 1, (60, 3600, 600))
 
 
 def w02(spark, sf):
     """Dense vectors, m = 15 d, s = 3."""
-    train, _ = design.embeddings(spark, sf).split(5)
-    return _second_order("dense", _held(train), Logistic(1e-2), 15, 3, (100, 2500, 1500))
+    return _second_order("dense", _split(design.embeddings(spark, sf), 5), Logistic(1e-2), 15, 3, (100, 2500, 1500))
 
 
 def w03(spark, sf):
     """Sparse text, m = 10 d."""
-    train, _ = design.doc_terms(spark, sf, 30).split(4)
-    return _second_order("text", _held(train), Logistic(1e-2), 10, 1, (30, 900, 300))
+    return _second_order("text", _split(design.doc_terms(spark, sf, 30), 4), Logistic(1e-2), 10, 1, (30, 900, 300))
 
 
 def w04(spark, sf):
     """One-hot table, m = 10 d."""
-    train, _ = design.tabular(spark, sf).split(3)
-    return _second_order("table", _held(train), Logistic(LAM), 10, 1, (30, 900, 300), iters=3)
+    return _second_order("table", _split(design.tabular(spark, sf), 3), Logistic(LAM), 10, 1, (30, 900, 300), iters=3)
 
 
 def w05(spark, sf):
     """Softmax without regularisation: weakly convex; local averaging must refuse."""
-    data, problem = _held(design.embeddings_multi(spark, sf).head(16)), Softmax(10)
+    (data, test), problem = _split(design.embeddings_multi(spark, sf).head(16), 7), Softmax(10)
     fits = [
         O.exact_newton(data, problem, step=O.FixedStep(1.0), iters=5, n_workers=60, hess_workers=3600),
         O.sketched_newton(data, problem, BlockSketch.of(6 * 160, 160, 0.2, seed=2), iters=6, n_workers=60, hess_workers=360),
         O.gradient_descent(data, problem, rule=O.FixedStep(0.02), iters=10),
     ]
-    rows = [r for f in fits for r in f.rows("softmax")]
+    rows = [r for f in fits for r in f.tested(test, problem).rows("softmax")]
     try:
         O.averaged_local_newton(data, problem)
     except ValueError as e:
@@ -83,34 +85,34 @@ def w05(spark, sf):
 
 def w06(spark, sf):
     """Coded or speculative gradients for exact and sketched Newton steps."""
-    data, problem, rows = _held(design.embeddings(spark, sf).head(32)), Logistic(1e-2), []
+    (data, test), problem, rows = _split(design.embeddings(spark, sf).head(32), 5), Logistic(1e-2), []
     for tag, policy in (("coded", CodedGrid()), ("speculative", Speculative(0.9))):
         for name, sk in (("exact", None), ("sketched", BlockSketch.of(480, 32, 0.2, seed=3))):
             fit = O.newton(data, problem, sketch=sk, iters=4, grad_policy=policy, n_workers=100, hess_workers=1500 if sk else 2500)
             fit.scheme = f"{name}-{tag}"
-            rows += fit.rows("coded")
+            rows += fit.tested(test, problem).rows("coded")
     return rows
 
 
 def w07(spark, sf):
     """First-order methods beside a sketched Newton method."""
-    data, problem = _held(design.embeddings(spark, sf)), Logistic(1e-2)
+    (data, test), problem = _split(design.embeddings(spark, sf), 5), Logistic(1e-2)
     fits = [
         O.gradient_descent(data, problem, iters=6, policy=IgnoreStragglers(0.95)),
         O.nesterov(data, problem, iters=6, policy=IgnoreStragglers(0.95)),
         O.sgd(data, problem, iters=6),
         O.sketched_newton(data, problem, BlockSketch.of(15 * 64, 64, 0.2, seed=4), iters=5),
     ]
-    return [r for f in fits for r in f.rows("first-order")]
+    return [r for f in fits for r in f.tested(test, problem).rows("first-order")]
 
 
 def w08(spark, sf):
     """Sketched Newton on functions against local averaging on servers."""
-    data, problem = _held(design.embeddings(spark, sf).head(32)), Logistic(1e-2)
+    (data, test), problem = _split(design.embeddings(spark, sf).head(32), 5), Logistic(1e-2)
     a = O.sketched_newton(data, problem, BlockSketch.of(320, 32, 0.2, seed=5), iters=5, n_workers=60, hess_workers=600)
     b = O.averaged_local_newton(data, problem, 60, WaitAll(), iters=5, profile=SERVERS)
     b.scheme = "local-newton-servers"
-    return a.rows("servers") + b.rows("servers")
+    return a.tested(test, problem).rows("servers") + b.tested(test, problem).rows("servers")
 
 
 def w09(spark, sf):
@@ -200,4 +202,4 @@ NAMES = list(_ALL)
 
 
 def run(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return trace_frame(spark, [(a, b, int(c), *map(float, rest), note) for a, b, c, *rest, note in _ALL[name](spark, sf_dir)])
+    return trace_frame(spark, [(r[0], r[1], int(r[2]), *map(float, r[3:8]), *r[8:]) for r in _ALL[name](spark, sf_dir)])

@@ -44,11 +44,12 @@ def load_vector(spark: SparkSession, path: str) -> np.ndarray:
     return np.array([r["w"] for r in spark.read.parquet(path).orderBy("i").collect()])
 
 
-TRACE = "workload string, scheme string, it int, loss double, grad_norm double, step double, sim_s double, wall_s double, note string"
+TRACE = "workload string, scheme string, it int, loss double, grad_norm double, step double, sim_s double, wall_s double, note string, test_loss double, test_error double"
 
 
 def trace_frame(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, TRACE)
+    """Rows of a trace; losses and errors on held-out rows may be left out."""
+    return spark.createDataFrame([(*r, None, None)[:11] for r in rows], TRACE)
 
 
 def save_trace(df: DataFrame, path: str) -> None:
