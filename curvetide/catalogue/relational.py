@@ -169,11 +169,21 @@ def support_intersect(spark, sf):
 
 @q("SELECT coalesce(l_suppkey::VARCHAR, 'all') AS supp, coalesce(p_brand, 'all') AS brand, round(sum(l_quantity), 6) + 0.0 AS qty FROM lineitem JOIN part ON l_partkey = p_partkey WHERE l_suppkey < 20 GROUP BY CUBE (l_suppkey, p_brand)")
 def load_cube(spark, sf):
-    rows = t(spark, sf, "lineitem", "l_partkey", "l_suppkey", "l_quantity").where("l_suppkey < 20").join(t(spark, sf, "part", "p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
+    """The cube of the suppliers below 20; ``load_cube_whole`` has all."""
+    return _cube(spark, sf, t(spark, sf, "lineitem", "l_partkey", "l_suppkey", "l_quantity").where("l_suppkey < 20"))
+
+
+def _cube(spark, sf, lines):
+    rows = lines.join(t(spark, sf, "part", "p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
     out = rows.cube("l_suppkey", "p_brand").agg(F.sum("l_quantity").alias("qty"))
     return rounded(out.select(F.coalesce(F.col("l_suppkey").cast("string"), F.lit("all")).alias("supp"), F.coalesce("p_brand", F.lit("all")).alias("brand"), "qty"), "qty")
 
 
+@q(QUERIES["load_cube"][1].replace(" WHERE l_suppkey < 20", ""))
+def load_cube_whole(spark, sf):
+    return _cube(spark, sf, t(spark, sf, "lineitem", "l_partkey", "l_suppkey", "l_quantity"))
+
+
 @q("WITH b AS (SELECT * FROM (VALUES (0, 0.0, 10.0), (1, 10.0, 25.0), (2, 25.0, 40.0), (3, 40.0, 1000.0)) v(k, lo, hi)) SELECT k::BIGINT AS k, count(*) AS n, round(avg(l_extendedprice), 6) + 0.0 AS price FROM lineitem JOIN b ON l_quantity >= lo AND l_quantity < hi GROUP BY k")
 def bucketize_range_join(spark, sf):
     """A range join with a table of four rows."""

@@ -39,9 +39,15 @@ def _ranked(spark):
 
 @q(f"{_T} SELECT trial, worker, round(t, 6) + 0.0 AS t, round(t2, 6) + 0.0 AS t2 FROM t WHERE worker < 200")
 def arrival_table(spark, sf):
+    """The first 200 workers; ``arrival_table_whole`` has all."""
     return rounded(_times(spark).where("worker < 200"), "t", "t2")
 
 
+@q(QUERIES["arrival_table"][1].replace(" WHERE worker < 200", ""))
+def arrival_table_whole(spark, sf):
+    return rounded(_times(spark), "t", "t2")
+
+
 @q(f"{_T} SELECT round(quantile_cont(t, 0.5), 6) + 0.0 AS median, round(avg((t > 145)::INT), 6) + 0.0 AS slow, round(max(t), 6) + 0.0 AS longest, round(avg(CASE WHEN t > 145 THEN t END), 6) + 0.0 AS tail FROM t")
 def arrival_summary(spark, sf):
     """Median, share of slow workers, and their mean: the job-time distribution."""
@@ -110,6 +116,7 @@ _BLOCKS = f"{_T}, o AS (SELECT worker // 12 AS tile, worker % 12 AS block, row_n
 
 @q(f"{_BLOCKS} SELECT tile, block FROM o WHERE r <= 10")
 def survivor_first_n(spark, sf):
+    """Ten tiles of the first trial; ``survivor_first_n_whole`` has all."""
     rows = _times(spark).where("trial = 0 AND worker < 120").withColumn("tile", F.floor(F.col("worker") / 12))
     rows = rows.withColumn("r", F.row_number().over(Window.partitionBy("tile").orderBy("t", "worker")))
     return rows.where("r <= 10").select("tile", (F.col("worker") % 12).alias("block"))
@@ -122,6 +129,24 @@ def survivor_lists(spark, sf):
     return rows.groupBy("tile").agg(F.array_join(blocks, ",").alias("blocks"))
 
 
+_TILES = f"{_T}, o AS (SELECT trial, worker // 12 AS tile, worker % 12 AS block, row_number() OVER (PARTITION BY trial, worker // 12 ORDER BY t, worker) AS r FROM t)"
+
+
+@q(f"{_TILES} SELECT trial, tile, block FROM o WHERE r <= 10")
+def survivor_first_n_whole(spark, sf):
+    """All tiles of all trials."""
+    rows = _times(spark).withColumn("tile", F.floor(F.col("worker") / 12))
+    rows = rows.withColumn("r", F.row_number().over(Window.partitionBy("trial", "tile").orderBy("t", "worker")))
+    return rows.where("r <= 10").select("trial", "tile", (F.col("worker") % 12).alias("block"))
+
+
+@q(f"{_TILES} SELECT trial, tile, string_agg(block::VARCHAR, ',' ORDER BY block) AS blocks FROM o WHERE r <= 10 GROUP BY trial, tile")
+def survivor_lists_whole(spark, sf):
+    rows = QUERIES["survivor_first_n_whole"][0](spark, sf)
+    blocks = F.transform(F.sort_array(F.collect_list("block")), lambda b: b.cast("string"))
+    return rows.groupBy("trial", "tile").agg(F.array_join(blocks, ",").alias("blocks"))
+
+
 # ------------------------------------------------------------------ line search and batches
 _P = "(((i * 5 + 1) % 7 - 3) / 10.0)"
 
