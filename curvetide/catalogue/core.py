@@ -87,8 +87,8 @@ _HESSIAN = f"{margin(16)}, g AS (SELECT row_id, {SIG} * (1 - {SIG}) AS s FROM m)
 
 
 @q(f"{_HESSIAN} SELECT p.i, r.i AS j, round(avg(s * p.v * r.v) + CASE WHEN p.i = r.i THEN {LAM} ELSE 0 END, 6) + 0.0 AS h FROM a p JOIN a r USING (row_id) JOIN g USING (row_id) WHERE p.i <= r.i GROUP BY p.i, r.i")
-def logistic_hessian(spark, sf):
-    return _upper(spark, scan(design.embeddings(spark, sf).head(16), Logistic(LAM), hessian_at=w_fix(16)).gram)
+def logistic_hessian(spark, sf, d=16):
+    return _upper(spark, scan(design.embeddings(spark, sf).head(d), Logistic(LAM), hessian_at=w_fix(d)).gram)
 
 
 def _softmax(qd):
@@ -118,10 +118,10 @@ FROM a p JOIN a r USING (row_id) JOIN z x USING (row_id) JOIN z y USING (row_id)
 
 
 @q(_BLOCKS)
-def softmax_hessian_block(spark, sf):
+def softmax_hessian_block(spark, sf, d=8, classes=3):
     """Blocks of three classes, from the Gram matrix of the root rows."""
-    h = scan(design.embeddings_multi(spark, sf).head(8), Softmax(10), hessian_at=w_soft(8)).gram
-    rows = [(k, m, i, j, float(h[k * 8 + i, m * 8 + j])) for k in range(3) for m in range(k, 3) for i in range(8) for j in range(8)]
+    h = scan(design.embeddings_multi(spark, sf).head(d), Softmax(10), hessian_at=w_soft(d)).gram
+    rows = [(k, m, i, j, float(h[k * d + i, m * d + j])) for k in range(classes) for m in range(k, classes) for i in range(d) for j in range(d)]
     return rounded(spark.createDataFrame(rows, "k long, l long, i long, j long, h double"), "h")
 
 
@@ -174,8 +174,8 @@ def svm_gradient(spark, sf):
 
 
 @q(f"{margin(16)} SELECT p.i, r.i AS j, round(avg(CASE WHEN m.y * t < 1 THEN p.v * r.v ELSE 0 END) + CASE WHEN p.i = r.i THEN {LAM} ELSE 0 END, 6) + 0.0 AS h FROM a p JOIN a r USING (row_id) JOIN m USING (row_id) WHERE p.i <= r.i GROUP BY p.i, r.i")
-def svm_active_hessian(spark, sf):
-    return _upper(spark, scan(design.embeddings(spark, sf).head(16), SquaredHinge(LAM), hessian_at=w_fix(16)).gram)
+def svm_active_hessian(spark, sf, d=16):
+    return _upper(spark, scan(design.embeddings(spark, sf).head(d), SquaredHinge(LAM), hessian_at=w_fix(d)).gram)
 
 
 # ------------------------------------------------------------------ linear program and lasso
@@ -252,12 +252,12 @@ def lasso_dual_gradient(spark, sf):
 
 
 @q(f"{_LASSO} SELECT p.i, r.i AS j, round(CASE WHEN p.i = r.i THEN 2.0 ELSE 0.0 END + sum(p.v * r.v * (1 / ((lam - t) * (lam - t)) + 1 / ((lam + t) * (lam + t)))), 4) + 0.0 AS h FROM c p JOIN c r USING (row_id) JOIN t USING (row_id) WHERE p.i <= r.i AND r.i < 16 GROUP BY p.i, r.i")
-def lasso_dual_hessian(spark, sf):
+def lasso_dual_hessian(spark, sf, upto=16):
     from ..plans.problems import LassoDual
 
     d, y, bound = lasso_parts(spark, sf)
     h = scan(d, LassoDual(y, bound, 2.0), hessian_at=0.1 * np.array(y)).gram
-    rows = [(i, j, float(h[i, j])) for i in range(16) for j in range(i, 16)]
+    rows = [(i, j, float(h[i, j])) for i in range(upto) for j in range(i, upto)]
     return spark.createDataFrame(rows, "i long, j long, h double").withColumn("h", F.round("h", 4) + 0.0)
 
 
@@ -270,6 +270,13 @@ def lasso_kkt(spark, sf):
 
 # ------------------------------------------------------------------ sketches
 SK = sketch.BlockSketch(10, 2, 16, 5)
+LIVE = [k for k in range(SK.blocks) if k not in (3, 7)]
+
+
+def _sk(d):
+    """The sketch with as many buckets a block as features."""
+    return sketch.BlockSketch(SK.n, SK.spare, d, SK.seed)
+
 
 
 def _hashed(s: sketch.BlockSketch, blocks, ids="row_id", source="e") -> str:
@@ -294,14 +301,14 @@ def sketch_bucket_occupancy(spark, sf):
 
 
 @q(f"{_APPLIED} SELECT block AS blk, bucket, i, round(v, 6) + 0.0 AS v FROM sk WHERE abs(v) > 1e-9")
-def sketch_apply(spark, sf):
-    out = SK.apply_sql(design.embeddings(spark, sf).head(16).df, [k for k in range(12) if k not in (3, 7)])
+def sketch_apply(spark, sf, d=16):
+    out = _sk(d).apply_sql(design.embeddings(spark, sf).head(d).df, LIVE)
     return rounded(out.where("abs(v) > 1e-9").withColumnRenamed("block", "blk"), "v")
 
 
 @q(QUERIES["sketch_apply"][1])
-def sketch_apply_arrow(spark, sf):
-    out = SK.apply_arrow(design.embeddings(spark, sf).head(16).df, 16, [k for k in range(12) if k not in (3, 7)], group=4)
+def sketch_apply_arrow(spark, sf, d=16):
+    out = _sk(d).apply_arrow(design.embeddings(spark, sf).head(d).df, d, LIVE, group=4)
 
     def unpack(batches):
         import pyarrow as pa
@@ -315,12 +322,12 @@ def sketch_apply_arrow(spark, sf):
 
 
 @q(f"{_APPLIED}, p AS (SELECT block, bucket, sum(v * {W_SQL}) AS p FROM sk GROUP BY ALL), t AS (SELECT sum(t * t) AS n FROM (SELECT sum(v * {W_SQL}) AS t FROM a GROUP BY row_id)) SELECT block AS blk, round(sqrt(sum(p * p) / any_value(n)), 6) + 0.0 AS ratio FROM p, t GROUP BY block")
-def sketch_norm_ratio(spark, sf):
-    d = design.embeddings(spark, sf).head(16)
-    w = w_fix(16)
+def sketch_norm_ratio(spark, sf, features=16):
+    d = design.embeddings(spark, sf).head(features)
+    w = w_fix(features)
     full = d.df.agg(F.sum(F.pow(X.dot(F.col("x"), X.weights(w)), 2))).head()[0]
     weight = spark.createDataFrame([(i, x) for i, x in enumerate(w)], "i int, w double")
-    p = SK.apply_sql(d.df, [k for k in range(12) if k not in (3, 7)]).join(F.broadcast(weight), "i").groupBy("block", "bucket").agg(F.sum(F.col("v") * F.col("w")).alias("p"))
+    p = _sk(features).apply_sql(d.df, LIVE).join(F.broadcast(weight), "i").groupBy("block", "bucket").agg(F.sum(F.col("v") * F.col("w")).alias("p"))
     return rounded(p.groupBy(F.col("block").alias("blk")).agg(F.sqrt(F.sum(F.col("p") * F.col("p")) / full).alias("ratio")), "ratio")
 
 
@@ -328,8 +335,8 @@ _GRAM = f"{_APPLIED} SELECT p.i, r.i AS j, round(sum(p.v * r.v) / 10, 6) + 0.0 A
 
 
 @q(_GRAM)
-def sketched_gram_entries(spark, sf):
-    return rounded(sketch.gram_sql(SK.apply_sql(design.embeddings(spark, sf).head(16).df, [k for k in range(12) if k not in (3, 7)]), 10), "h")
+def sketched_gram_entries(spark, sf, d=16):
+    return rounded(sketch.gram_sql(_sk(d).apply_sql(design.embeddings(spark, sf).head(d).df, LIVE), 10), "h")
 
 
 def _tile_arrivals():
@@ -340,31 +347,32 @@ def _tile_arrivals():
 h AS (SELECT block, p.i // 8 AS ci, r.i // 8 AS cj, p.i, r.i AS j, sum(p.v * r.v) AS h FROM sk p JOIN sk r USING (block, bucket) WHERE p.i // 8 <= r.i // 8 GROUP BY ALL),
 w AS (SELECT *, rank() OVER (PARTITION BY i, j ORDER BY {_tile_arrivals()}, block) AS r FROM h)
 SELECT i, j, round(sum(h) / 10, 6) + 0.0 AS h FROM w WHERE r <= 10 AND i <= j GROUP BY ALL""")
-def sketched_gram_tile_survivors(spark, sf):
+def sketched_gram_tile_survivors(spark, sf, d=16):
     """Every tile keeps the first 10 of its 12 block products to arrive."""
-    rows = SK.apply_arrow(design.embeddings(spark, sf).head(16).df, 16)
-    grid = spark.range(12).select(F.col("id").cast("int").alias("block")).crossJoin(spark.createDataFrame([(0, 0), (0, 1), (1, 1)], "ci int, cj int"))
-    tiles = sketch.gram_tiles(rows, 16, 8, 10, grid.withColumn("t", F.expr(_tile_arrivals())))
-    return _upper(spark, sketch.assemble(tiles.collect(), 16, 8, 10))
+    rows = _sk(d).apply_arrow(design.embeddings(spark, sf).head(d).df, d)
+    pairs = [(i, j) for i in range(d // 8) for j in range(i, d // 8)]
+    grid = spark.range(12).select(F.col("id").cast("int").alias("block")).crossJoin(spark.createDataFrame(pairs, "ci int, cj int"))
+    tiles = sketch.gram_tiles(rows, d, 8, 10, grid.withColumn("t", F.expr(_tile_arrivals())))
+    return _upper(spark, sketch.assemble(tiles.collect(), d, 8, 10))
 
 
 @q(f"{emb(16)} SELECT p.i, r.i AS j, round(sum(p.v * r.v), 6) + 0.0 AS h FROM a p JOIN a r USING (row_id) WHERE p.i <= r.i GROUP BY ALL")
-def gram_long_join(spark, sf):
-    return rounded(sketch.gram_long(design.embeddings(spark, sf).head(16).df), "h")
+def gram_long_join(spark, sf, d=16):
+    return rounded(sketch.gram_long(design.embeddings(spark, sf).head(d).df), "h")
 
 
 @q(QUERIES["gram_long_join"][1])
-def gram_exact_arrow(spark, sf):
-    return _upper(spark, sketch.gram_exact(design.embeddings(spark, sf).head(16).df, 16))
+def gram_exact_arrow(spark, sf, d=16):
+    return _upper(spark, sketch.gram_exact(design.embeddings(spark, sf).head(d).df, d))
 
 
 @q(f"""{_APPLIED}, s AS (SELECT p.i, r.i AS j, sum(p.v * r.v) / 10 AS h FROM sk p JOIN sk r USING (block, bucket) GROUP BY ALL),
 x AS (SELECT p.i, r.i AS j, sum(p.v * r.v) AS h FROM a p JOIN a r USING (row_id) GROUP BY ALL)
 SELECT round(sqrt(sum((s.h - x.h) * (s.h - x.h)) / sum(x.h * x.h)), 6) + 0.0 AS rel_err FROM s JOIN x USING (i, j)""")
-def gram_error_frobenius(spark, sf):
-    d = design.embeddings(spark, sf).head(16)
-    a = sketch.gram_driver(SK.apply_arrow(d.df, 16, [k for k in range(12) if k not in (3, 7)]), 16, 10)
-    b = sketch.gram_exact(d.df, 16)
+def gram_error_frobenius(spark, sf, features=16):
+    d = design.embeddings(spark, sf).head(features)
+    a = sketch.gram_driver(_sk(features).apply_arrow(d.df, features, LIVE), features, 10)
+    b = sketch.gram_exact(d.df, features)
     return rounded(spark.createDataFrame([(float(np.linalg.norm(a - b) / np.linalg.norm(b)),)], "rel_err double"), "rel_err")
 
 
@@ -373,8 +381,8 @@ _JL = sketch.BlockSketch(4, 0, 40, 9)
 
 @q(f"""{emb(8)}, {_hashed(_JL, range(4))}, sk AS (SELECT block, bucket, i, sum(sign * v) / 2.0 AS v FROM a JOIN hs USING (row_id) GROUP BY ALL)
 SELECT p.i, r.i AS j, round(sum(p.v * r.v), 6) + 0.0 AS h FROM sk p JOIN sk r USING (block, bucket) WHERE p.i <= r.i GROUP BY ALL""")
-def sketch_sparse_jl(spark, sf):
-    return rounded(sketch.gram_sql(sketch.sparse_jl(design.embeddings(spark, sf).head(8).df, 160, 4, 9), 1), "h")
+def sketch_sparse_jl(spark, sf, d=8):
+    return rounded(sketch.gram_sql(sketch.sparse_jl(design.embeddings(spark, sf).head(d).df, 20 * d, 4, 9), 1), "h")
 
 
 def _sampled_sql():
@@ -384,19 +392,19 @@ def _sampled_sql():
 
 
 @q(f"{emb(8)}, s AS (SELECT a.* FROM a WHERE {_sampled_sql()} < 0.5) SELECT p.i, r.i AS j, round(sum(p.v * r.v) / 0.5, 6) + 0.0 AS h FROM s p JOIN s r USING (row_id) WHERE p.i <= r.i GROUP BY ALL")
-def sketch_rowsample(spark, sf):
-    return rounded(sketch.gram_long(sketch.row_sample(design.embeddings(spark, sf).head(8).df, 0.5)), "h")
+def sketch_rowsample(spark, sf, d=8):
+    return rounded(sketch.gram_long(sketch.row_sample(design.embeddings(spark, sf).head(d).df, 0.5)), "h")
 
 
 def _other(make):
     def run(spark, sf):
-        return _upper(spark, sketch.gram_driver(make(design.embeddings(spark, sf).head(8).df), 8, 1))
+        return _upper(spark, sketch.gram_driver(make(design.embeddings(spark, sf).df), 64, 1))
 
     return run
 
 
-q(None, "sketch_gaussian")(_other(lambda df: sketch.gaussian(df, 8, 400)))
-q(None, "sketch_hadamard_block")(_other(lambda df: sketch.hadamard(df, 8, 64, 48)))
+q(None, "sketch_gaussian")(_other(lambda df: sketch.gaussian(df, 64, 3200)))
+q(None, "sketch_hadamard_block")(_other(lambda df: sketch.hadamard(df, 64, 64, 48)))
 
 
 # ------------------------------------------------------------------ codes
@@ -415,10 +423,10 @@ def _code(spark, sf):
     return coding.ProductCode.encode(rows, n, 3)
 
 
-def _parity(where, keep):
+def _parity(where, keep, upto=8):
     def run(spark, sf):
         long = _code(spark, sf).blocks.where(where).select("r", "c", F.col("offset").alias("offset_"), F.posexplode("x").alias("i", "v"))
-        return rounded(long.where("i < 8").select(*keep, "offset_", "i", "v"), "v")
+        return rounded(long.where(F.col("i") < upto).select(*keep, "offset_", "i", "v"), "v")
 
     return run
 
@@ -514,3 +522,20 @@ def gradient_code_placement(spark, sf):
 def vector_sum(spark, sf):
     e = tables.table(spark, sf, "embeddings", "label", "embedding").withColumn("embedding", F.col("embedding").cast("array<double>"))
     return rounded(sum_arrays(e, "label", "embedding"), "s")
+
+
+# ------------------------------------------------------------------ all features
+def _wide(name):
+    """The SQL of a query over the first features, over all 64 (and all classes), with the
+    sketch as much larger."""
+    sql = QUERIES[name][1]
+    for cut, whole in (("range(0, 16)", "range(0, 64)"), ("range(0, 8)", "range(0, 64)"), ("(h // 2) % 16)", "(h // 2) % 64)"), ("(h // 2) % 40)", "(h // 2) % 320)"), (" AND r.i < 16", ""), (" AND y.k < 3", ""), (" WHERE i < 8", "")):
+        sql = sql.replace(cut, whole)
+    return sql
+
+
+for _f in (logistic_hessian, svm_active_hessian, lasso_dual_hessian, sketch_apply, sketch_apply_arrow, sketch_norm_ratio, sketched_gram_entries, sketched_gram_tile_survivors, gram_long_join, gram_exact_arrow, gram_error_frobenius, sketch_sparse_jl, sketch_rowsample):
+    q(_wide(_f.__name__), f"{_f.__name__}_whole")(lambda spark, sf, _f=_f: _f(spark, sf, 64))
+q(_wide("softmax_hessian_block"), "softmax_hessian_block_whole")(lambda spark, sf: softmax_hessian_block(spark, sf, 64, 10))
+for _name, _where, _keep in (("row", "c = 3 AND r < 3", ["r"]), ("col", "r = 3 AND c < 3", ["c"]), ("corner", "r = 3 AND c = 3", [])):
+    q(_wide(f"code_{_name}_parity"), f"code_{_name}_parity_whole")(_parity(_where, _keep, 64))

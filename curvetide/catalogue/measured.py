@@ -130,8 +130,8 @@ def measure_constants(spark, sf):
 @q(None)
 def step_fixed_tuned(spark, sf):
     """The constant step that a short trial of exact Newton steps picks, and its loss."""
-    data = design.embeddings(spark, sf).head(4)
-    data = design.DesignMatrix(data.df.cache(), 4)
+    data = design.embeddings(spark, sf)
+    data = design.DesignMatrix(data.df.cache(), 64)
     best = optimise.tune_fixed_step(data, Logistic(LAM), grid=(1.0, 0.5, 0.25), iters=2)
     fit = optimise.exact_newton(data, Logistic(LAM), step=optimise.FixedStep(best), iters=4)
     data.df.unpersist()
@@ -153,8 +153,8 @@ def semidefinite_barrier(spark, sf):
 @q(None)
 def race_any_n(spark, sf):
     """A sketched Hessian from the first blocks to end of real jobs: its relative error."""
-    data, problem, w = design.embeddings(spark, sf).head(4), Logistic(LAM), np.zeros(4)
-    sk = BlockSketch(6, 2, 32, 3)
+    data, problem, w = design.embeddings(spark, sf), Logistic(LAM), np.zeros(64)
+    sk = BlockSketch(6, 2, 512, 3)
     used, rows = race.raced_sketch(spark, data, problem, w, sk)
     exact = optimise.scan(data, problem, (), (), w)
     near = sum(rows[k].T @ rows[k] for k in used) / (len(used) * exact.n) + problem.reg_hessian(w)
@@ -166,11 +166,11 @@ def race_any_n(spark, sf):
 def measure_embedding_eps(spark, sf):
     """Error of the sketched Hessian over 20 draws by sketch size, and how often it passes a
     half: the draws are disjoint blocks of one sketch, so a size takes one scan."""
-    data, problem, w, draws = design.embeddings(spark, sf).head(8), Logistic(LAM), np.zeros(8), 20
-    data = design.DesignMatrix(data.df.cache(), 8)
+    data, problem, w, draws = design.embeddings(spark, sf), Logistic(LAM), np.zeros(64), 20
+    data = design.DesignMatrix(data.df.cache(), 64)
     h, rows = optimise.scan(data, problem, hessian_at=w).gram, []
     for multiple in (2, 5, 10, 15, 50):
-        s = optimise.scan(data, problem, hessian_at=w, sketch=BlockSketch(multiple * draws, 0, 8, 31))
+        s = optimise.scan(data, problem, hessian_at=w, sketch=BlockSketch(multiple * draws, 0, 64, 31))
         eps = [measures.embedding_eps(h, optimise.sketched_hessian(s, problem, w, list(range(k * multiple, (k + 1) * multiple)))) for k in range(draws)]
         rows.append((multiple, float(np.median(eps)), max(eps), measures.failure_rate(eps, 0.5)))
     data.df.unpersist()
@@ -181,21 +181,21 @@ def measure_embedding_eps(spark, sf):
 def measure_rate_bounds(spark, sf):
     """Each step's contraction of the loss gap (or, weakly convex, of the squared gradient
     norm) beside the guaranteed one, and whether the conditions of the local bound hold."""
-    data, beta, rows = design.embeddings(spark, sf).head(4), 0.1, []
-    data = design.DesignMatrix(data.df.cache(), 4)
+    data, beta, rows = design.embeddings(spark, sf), 0.1, []
+    data = design.DesignMatrix(data.df.cache(), 64)
     problem = Logistic(LAM)
     best = optimise.exact_newton(data, problem, iters=8)
     s = optimise.scan(data, problem, (), [best.w], best.w)
     c = measures.constants(s.gram, s.gradients[0])
-    sk = BlockSketch.of(200, 8, 0.0, seed=4)
+    sk = BlockSketch.of(3200, 128, 0.0, seed=4)
     eps = measures.embedding_eps(s.gram, optimise.sketched_hessian(optimise.scan(data, problem, (), (), best.w, sk), problem, best.w, list(range(sk.blocks))))
     fit = optimise.sketched_newton(data, problem, sk, iters=4, step=optimise.ArmijoF())
     gaps = [max(t["loss"] - best.loss, 1e-16) for t in fit.trace]
     for t, a, b in zip(fit.trace, gaps, gaps[1:]):
         bound = measures.global_rate(t["step"], beta, c["k"], c["M"], eps)
         rows.append(("strong", t["it"], float(b / a), float(bound), bool(b <= bound * a + 1e-12), bool(measures.local_bound_applies(eps, c["k"], c["M"]))))
-    many, soft = design.embeddings_multi(spark, sf).head(3), Softmax(10)
-    many = design.DesignMatrix(many.df.cache(), 3, many.classes)
+    many, soft = design.embeddings_multi(spark, sf), Softmax(10)
+    many = design.DesignMatrix(many.df.cache(), 64, many.classes)
     fit = optimise.newton(many, soft, iters=3)
     for t, u in zip(fit.trace, fit.trace[1:]):
         here = optimise.scan(many, soft, (), [t["w"]], t["w"])

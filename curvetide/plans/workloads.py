@@ -69,10 +69,10 @@ def w04(spark, sf):
 
 def w05(spark, sf):
     """Softmax without regularisation: weakly convex; local averaging must refuse."""
-    (data, test), problem = _split(design.embeddings_multi(spark, sf).head(16), 7), Softmax(10)
+    (data, test), problem = _split(design.embeddings_multi(spark, sf), 7), Softmax(10)
     fits = [
         O.exact_newton(data, problem, step=O.FixedStep(1.0), iters=5, n_workers=60, hess_workers=3600),
-        O.sketched_newton(data, problem, BlockSketch.of(6 * 160, 160, 0.2, seed=2), iters=6, n_workers=60, hess_workers=360),
+        O.sketched_newton(data, problem, BlockSketch.of(6 * 640, 640, 0.2, seed=2), iters=6, n_workers=60, hess_workers=360),
         O.gradient_descent(data, problem, rule=O.FixedStep(0.02), iters=10),
     ]
     rows = [r for f in fits for r in f.tested(test, problem).rows("softmax")]
@@ -85,9 +85,9 @@ def w05(spark, sf):
 
 def w06(spark, sf):
     """Coded or speculative gradients for exact and sketched Newton steps."""
-    (data, test), problem, rows = _split(design.embeddings(spark, sf).head(32), 5), Logistic(1e-2), []
+    (data, test), problem, rows = _split(design.embeddings(spark, sf), 5), Logistic(1e-2), []
     for tag, policy in (("coded", CodedGrid()), ("speculative", Speculative(0.9))):
-        for name, sk in (("exact", None), ("sketched", BlockSketch.of(480, 32, 0.2, seed=3))):
+        for name, sk in (("exact", None), ("sketched", BlockSketch.of(15 * 64, 64, 0.2, seed=3))):
             fit = O.newton(data, problem, sketch=sk, iters=4, grad_policy=policy, n_workers=100, hess_workers=1500 if sk else 2500)
             fit.scheme = f"{name}-{tag}"
             rows += fit.tested(test, problem).rows("coded")
@@ -108,8 +108,8 @@ def w07(spark, sf):
 
 def w08(spark, sf):
     """Sketched Newton on functions against local averaging on servers."""
-    (data, test), problem = _split(design.embeddings(spark, sf).head(32), 5), Logistic(1e-2)
-    a = O.sketched_newton(data, problem, BlockSketch.of(320, 32, 0.2, seed=5), iters=5, n_workers=60, hess_workers=600)
+    (data, test), problem = _split(design.embeddings(spark, sf), 5), Logistic(1e-2)
+    a = O.sketched_newton(data, problem, BlockSketch.of(10 * 64, 64, 0.2, seed=5), iters=5, n_workers=60, hess_workers=600)
     b = O.averaged_local_newton(data, problem, 60, WaitAll(), iters=5, profile=SERVERS)
     b.scheme = "local-newton-servers"
     return a.tested(test, problem).rows("servers") + b.tested(test, problem).rows("servers")
@@ -182,9 +182,9 @@ def w15(spark, sf):
 
 def w16(spark, sf):
     """Spare blocks: simulated time to finish the same number of steps."""
-    data, problem, rows = _held(design.embeddings(spark, sf).head(16)), Logistic(1e-2), []
+    data, problem, rows = _held(design.embeddings(spark, sf)), Logistic(1e-2), []
     for zeta in (0.0, 0.1, 0.2, 0.5):
-        fit = O.sketched_newton(data, problem, BlockSketch.of(160, 16, zeta, seed=10), iters=3, hess_workers=600)
+        fit = O.sketched_newton(data, problem, BlockSketch.of(10 * 64, 64, zeta, seed=10), iters=3, hess_workers=600)
         fit.scheme = f"zeta={zeta}"
         rows += fit.rows("spares")
     return rows
@@ -192,8 +192,8 @@ def w16(spark, sf):
 
 def svm(spark, sf):
     """Support vectors by exact and sketched Newton steps."""
-    data, problem = _held(design.embeddings(spark, sf).head(32)), SquaredHinge(1e-2)
-    fits = [O.exact_newton(data, problem, iters=4, step=O.ArmijoF()), O.sketched_newton(data, problem, BlockSketch.of(640, 32, 0.2, seed=12), iters=4, step=O.ArmijoF())]
+    data, problem = _held(design.embeddings(spark, sf)), SquaredHinge(1e-2)
+    fits = [O.exact_newton(data, problem, iters=4, step=O.ArmijoF()), O.sketched_newton(data, problem, BlockSketch.of(20 * 64, 64, 0.2, seed=12), iters=4, step=O.ArmijoF())]
     return [r for f in fits for r in f.rows("svm")]
 
 
