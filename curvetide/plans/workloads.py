@@ -31,40 +31,50 @@ def _split(data: DesignMatrix, parts: int) -> tuple[DesignMatrix, DesignMatrix]:
     return tuple(_held(d) for d in data.split(parts))
 
 
-def _second_order(name, split, problem, multiple, s, workers, iters=5):
-    """Sketched and exact Newton and the three local-averaging variants, with the losses and
-    errors on held-out rows."""
+def _second_order(name, split, problem, multiple, s, workers, ratio, iters=7):
+    """Sketched and exact Newton and the local-averaging variants, all with as many
+    iterations, with the losses and errors on held-out rows.
+
+    Averaging runs with few workers and with the published ``ratio`` of rows per worker and
+    feature (but more than s workers), with unit steps and damped ones."""
     data, test = split
     w1, w2, w3 = workers
     sk = BlockSketch.of(int(multiple * data.d), data.d, 0.2, seed=1)
     fits = [
-        O.sketched_newton(data, problem, sk, iters=iters + 2, n_workers=w1, hess_workers=w3),
+        O.sketched_newton(data, problem, sk, iters=iters, n_workers=w1, hess_workers=w3),
         O.exact_newton(data, problem, iters=iters, n_workers=w1, hess_workers=w2),
-        O.averaged_local_newton(data, problem, 12, WaitAll(), iters=iters),
-        O.averaged_local_newton(data, problem, 12, GradientCode(s), iters=2),
-        O.averaged_local_newton(data, problem, 12, IgnoreStragglers(0.9), iters=iters),
     ]
+    for tag, n in (("", 12), ("-published-ratio", max(s + 1, round(data.df.count() / (ratio * data.d))))):
+        for policy, step, damped in ((WaitAll(), None, ""), (GradientCode(s), None, ""), (IgnoreStragglers(0.9), None, ""), (WaitAll(), O.ArmijoF(), "-damped")):
+            fit = O.averaged_local_newton(data, problem, n, policy, step, iters=iters)
+            fit.scheme += damped + tag
+            fits.append(fit)
     return [r for f in fits for r in f.tested(test, problem).rows(name)]
 
 
 def w01(spark, sf):
     """Synthetic logistic task, m = 10 d, gradient code s = 1."""
-    return _second_order("synthetic", _split(design.synthetic(spark, sf, 20), 4), Logistic(LAM), 10, 1, (60, 3600, 600))
+    return _second_order("synthetic", _split(design.synthetic(spark, sf, 60), 4), Logistic(LAM), 10, 1, (60, 3600, 600), 1.67)
 
 
 def w02(spark, sf):
     """Dense vectors, m = 15 d, s = 3."""
-    return _second_order("dense", _split(design.embeddings(spark, sf), 5), Logistic(1e-2), 15, 3, (100, 2500, 1500))
+    return _second_order("dense", _split(design.embeddings(spark, sf), 5), Logistic(1e-2), 15, 3, (100, 2500, 1500), 2.0)
 
 
 def w03(spark, sf):
-    """Sparse text, m = 10 d."""
-    return _second_order("text", _split(design.doc_terms(spark, sf, 30), 4), Logistic(1e-2), 10, 1, (30, 900, 300))
+    """Sparse text by tf-idf, both targets, m = 10 d; 300 terms where there are rows for
+    such a sketch, else 30."""
+    d = 300 if design.tables.table(spark, sf, "labels").count() > 3000 else 30
+    rows = []
+    for name, target in (("text", "quality"), ("text-toxic", "toxic")):
+        rows += _second_order(name, _split(design.doc_terms(spark, sf, d, target, idf=True), 4), Logistic(1e-2), 10, 1, (30, 900, 300), 5.5)
+    return rows
 
 
 def w04(spark, sf):
     """One-hot table, m = 10 d."""
-    return _second_order("table", _split(design.tabular(spark, sf), 3), Logistic(LAM), 10, 1, (30, 900, 300), iters=3)
+    return _second_order("table", _split(design.tabular(spark, sf), 3), Logistic(LAM), 10, 1, (30, 900, 300), 8.8)
 
 
 def w05(spark, sf):

@@ -155,15 +155,25 @@ def numeric(spark: SparkSession, sf_dir: str) -> DesignMatrix:
     return DesignMatrix(rows.select("row_id", y.alias("y"), F.array(*x).alias("x")), len(x))
 
 
-def doc_terms(spark: SparkSession, sf_dir: str, d: int = 50, target: str = "quality") -> DesignMatrix:
-    """Hashed term frequencies of labelled documents, of unit length; +1 for target 1."""
+def doc_terms(spark: SparkSession, sf_dir: str, d: int = 50, target: str = "quality", idf: bool = False) -> DesignMatrix:
+    """Hashed term frequencies of labelled documents, of unit length; +1 for target 1.
+
+    With ``idf`` counts are weighed by one more than the logarithm of all documents over
+    those that have the slot; else their roots are taken."""
     docs = tables.table(spark, sf_dir, "documents", "doc_id", "text")
     labels = tables.table(spark, sf_dir, "labels", "doc_id", target)
     words = F.filter(F.split(F.lower("text"), r"[\x20\x09-\x0D]+"), lambda t: t != "")
     slot = F.transform(words, lambda t: F.pmod(F.crc32(t.cast("binary")), F.lit(d)))
     long = docs.join(labels, "doc_id").select("doc_id", F.when(F.col(target) == 1, 1.0).otherwise(-1.0).alias("y"), F.explode(slot).alias("i"))
     tf = long.groupBy("doc_id", "y", "i").agg(F.count(F.lit(1)).alias("n"))
-    row = tf.groupBy("doc_id", "y").agg(F.map_from_entries(F.collect_list(F.struct(F.col("i").cast("int"), F.sqrt("n").alias("v")))).alias("m"), F.sqrt(F.sum("n")).alias("len"))
+    if idf:
+        total = F.broadcast(tf.agg(F.countDistinct("doc_id").alias("docs")))
+        rare = tf.groupBy("i").agg(F.count(F.lit(1)).alias("with")).crossJoin(total)
+        tf = tf.join(F.broadcast(rare.select("i", (F.log((1 + F.col("docs")) / (1 + F.col("with"))) + 1).alias("idf"))), "i")
+        tf = tf.withColumn("v", F.col("n") * F.col("idf"))
+    else:
+        tf = tf.withColumn("v", F.sqrt("n"))
+    row = tf.groupBy("doc_id", "y").agg(F.map_from_entries(F.collect_list(F.struct(F.col("i").cast("int"), "v"))).alias("m"), F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("len"))
     x = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0)) / F.col("len"))
     return DesignMatrix(row.select(F.col("doc_id").alias("row_id"), "y", x.alias("x")), d)
 
