@@ -130,7 +130,8 @@ def local_newton_shards_1d(spark, sf):
 
 @q(None)
 def logistic_sketched_fit(spark, sf):
-    """The whole worked algorithm on all 64 coordinates: the trace of a sketched fit."""
+    """A sketched fit on all 64 coordinates: its trace.  Gradients come from an uncoded scan;
+    the code of the gradient counts in simulated seconds only."""
     d = design.embeddings(spark, sf)
     fit = optimise.sketched_newton(design.DesignMatrix(d.df.cache(), 64), Logistic(LAM), BlockSketch.of(640, 64, 0.2), iters=6)
     from ..sources.tables import trace_frame
