@@ -9,10 +9,13 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 WORD = r"[^\x20\x09-\x0D]+"
 GAP = r"[\x20\x09-\x0D]+"
@@ -25,11 +28,13 @@ _U = np.uint64
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Only where no such folder is configured (tests) a temporary one is set."""
+    Where it isn't set, a local session (tests) gets a temporary folder; on a cluster, where
+    such a folder would be another one on each machine, this is an error."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="curvetide-")
-        spark.sparkContext.setCheckpointDir(found)
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+        spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="curvetide-"))
         found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
 
@@ -43,33 +48,60 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, name)
     df.write.parquet(path)
-    _made.append(path)
+    note(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-_made: list[str] = []
+_open: ContextVar[tuple[list[str], ...]] = ContextVar("curvetide_scratch", default=())
 
 
-def mark() -> int:
-    """The number of tables written so far; see ``release``."""
-    return len(_made)
+def note(path: str) -> None:
+    """Let the innermost open scratch delete ``path`` at its end."""
+    if _open.get():
+        _open.get()[-1].append(path)
 
 
-def release(spark: SparkSession, since: int, *keep: DataFrame) -> None:
-    """Delete the tables written since a mark but for those that ``keep`` read."""
-    gone = unread(_made[since:], *keep)
-    discard(spark, *gone)
-    _made[since:] = [p for p in _made[since:] if p not in gone]
+@contextmanager
+def watched():
+    """The list of the tables that are written inside the block and outlive it."""
+    paths: list[str] = []
+    token = _open.set((*_open.get(), paths))
+    try:
+        yield paths
+    finally:
+        _open.reset(token)
 
 
-def made(since: int) -> list[str]:
-    return _made[since:]
+class Scratch:
+    """``with Scratch(spark) as tables: ...; return tables.keep(df)``
 
+    Tables written inside the block are deleted at its end.  ``keep`` writes its frame as a
+    table that outlives the block (it then belongs to the scratch around, if any).  Each
+    thread and each block has its own list."""
 
-def unread(paths: list[str], *frames: DataFrame) -> list[str]:
-    """The tables that none of the frames reads."""
-    kept = {f for df in frames for f in df.inputFiles()}
-    return [p for p in paths if not any(p.split("/curvetide/")[-1] in f for f in kept)]
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths, self.kept = spark, [], []
+
+    def __enter__(self) -> Scratch:
+        self._token = _open.set((*_open.get(), self.paths))
+        return self
+
+    def keep(self, df: DataFrame, name: str = "result") -> DataFrame:
+        out = materialize(df, name)
+        self.kept.append(self.paths.pop())
+        return out
+
+    def drop(self, *names: str) -> None:
+        """Delete tables of these names now: nothing reads them any more."""
+        gone = [p for p in self.paths if any(p.rsplit("/", 1)[-1].startswith(n + "-") for n in names)]
+        discard(self.spark, *gone)
+        self.paths[:] = [p for p in self.paths if p not in gone]
+
+    def __exit__(self, *error) -> None:
+        _open.reset(self._token)
+        discard(self.spark, *self.paths)
+        for path in self.kept:
+            note(path)
 
 
 def discard(spark: SparkSession, *paths: str) -> None:
@@ -210,32 +242,34 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
 
     Each round every node joins the neighbour of least hash (drawn anew each round), and
     the edges between the merged nodes form the next, smaller graph; the expected number
-    of rounds is logarithmic.  Every round is a table of the shared folder.  Nodes
-    without an edge aren't returned."""
+    of rounds is logarithmic.  Every round is a table of the shared folder.  A hub's edges
+    are aggregated before they meet, and joins on it are left to the adaptive skew split.
+    Nodes may be of any type with an order; those without an edge aren't returned."""
     spark = edges.sparkSession
-    todo = materialize(edges.select(F.col(a).cast("long").alias("a"), F.col(b).cast("long").alias("b")).where("a <> b").distinct(), "edges")
-    steps: list[DataFrame] = []
-    rnd = 0
-    while not todo.isEmpty():
-        rank = F.xxhash64(F.lit(rnd), F.col("b"))
-        both = todo.union(todo.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        step = both.groupBy("a").agg(F.min(F.struct(rank.alias("r"), F.col("b"))).alias("m"))
-        own = F.xxhash64(F.lit(rnd), F.col("a"))
-        step = materialize(step.select(F.col("a").alias("node"), F.when(own < F.col("m.r"), F.col("a")).otherwise(F.col("m.b")).alias("to")), f"hook{rnd}")
-        steps.append(step)
-        x = todo.join(step.withColumnRenamed("node", "a"), "a").select(F.col("to").alias("x"), "b")
-        y = x.join(step.withColumnRenamed("node", "b"), "b").select("x", F.col("to").alias("y"))
-        todo = materialize(y.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), f"edges{rnd}")
-        rnd += 1
-    if not steps:
-        return spark.createDataFrame([], "node long, component long")
-    label = steps[0]
-    for nxt in steps[1:]:
-        nxt = nxt.select(F.col("node").alias("to"), F.col("to").alias("up"))
-        label = label.join(nxt, "to", "left").select("node", F.coalesce("up", "to").alias("to"))
-    label = materialize(label, "labels")
-    least = label.groupBy("to").agg(F.min("node").alias("component"))
-    return label.join(least, "to").select("node", "component")
+    node = edges.schema[a].dataType
+    with Scratch(spark) as tables:
+        todo = materialize(edges.select(F.col(a).alias("a"), F.col(b).alias("b")).where("a <> b").distinct(), "edges")
+        steps: list[DataFrame] = []
+        while not todo.isEmpty():
+            rnd = len(steps)
+            rank = F.xxhash64(F.lit(rnd), F.col("b"))
+            both = todo.union(todo.select(F.col("b").alias("a"), F.col("a").alias("b")))
+            step = both.groupBy("a").agg(F.min(F.struct(rank.alias("r"), F.col("b"))).alias("m"))
+            own = F.xxhash64(F.lit(rnd), F.col("a"))
+            step = materialize(step.select(F.col("a").alias("node"), F.when(own < F.col("m.r"), F.col("a")).otherwise(F.col("m.b")).alias("to")), f"hook{rnd}")
+            steps.append(step)
+            x = todo.join(step.withColumnRenamed("node", "a"), "a").select(F.col("to").alias("x"), "b")
+            y = x.join(step.withColumnRenamed("node", "b"), "b").select("x", F.col("to").alias("y"))
+            todo = materialize(y.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), f"edges{rnd}")
+        if not steps:
+            return spark.createDataFrame([], StructType([StructField("node", node), StructField("component", node)]))
+        label = steps[0]
+        for nxt in steps[1:]:
+            nxt = nxt.select(F.col("node").alias("to"), F.col("to").alias("up"))
+            label = label.join(nxt, "to", "left").select("node", F.coalesce("up", "to").alias("to"))
+        label = materialize(label, "labels")
+        least = label.groupBy("to").agg(F.min("node").alias("component"))
+        return tables.keep(label.join(least, "to").select("node", "component"), "components")
 
 
 def tmp_name(path: str) -> str:
