@@ -57,6 +57,21 @@ def test_edge_cases(docs):
     assert sorted(((r["doc_id"], r["component_id"], r["kept"]) for r in rows), key=str) == [(1, 1, True), (1, 1, True), (3, 3, True), (None, None, True)]
 
 
+def test_one_id_with_two_texts(docs):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = N.near_duplicates(docs([(1, a), (1, b), (2, a + " more"), (3, b + " more"), (4, "c d e f g")]), 4, 80).collect()
+    assert sorted((r["doc_id"], r["component_id"], r["kept"]) for r in rows) == [(1, 1, True), (1, 1, True), (2, 1, False), (3, 1, False), (4, 4, True)]
+
+
+def test_a_leader_with_many_members(docs, monkeypatch):
+    monkeypatch.setattr(N, "LEADER_SHINGLES", 300)
+    rng = random.Random(3)
+    vocab = [f"t{i}" for i in range(500)]
+    pairs = list(enumerate(family(rng, vocab, 60, 80) + family(rng, vocab, 5, 30)))
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in N.near_duplicates(docs(pairs), 4, 80).collect()}
+    assert got == brute(pairs)
+
+
 def test_filter_keeps_columns(docs):
     df = docs([(2, "one two three four five six"), (1, "One two three four five six"), (3, ""), (None, "one two three four five six")])
     out = N.without_near_duplicates(df, 5, 80)

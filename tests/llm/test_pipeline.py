@@ -1,6 +1,7 @@
 import random
 
 import corpus_pipeline as P
+from curvetide.llm import common as C
 from curvetide.llm import queries as R
 
 
@@ -19,7 +20,7 @@ def test_stages(spark, table):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     columns, seen = docs.columns, []
     for name, stage in P.STAGES:
-        docs = R.C.materialize(stage(spark, docs, sf), "test-stage")
+        docs = C.materialize(stage(spark, docs, sf), "test-stage")
         seen.append(docs)
         if name != P.STAGES[-1][0]:
             assert docs.columns == columns
