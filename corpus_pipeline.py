@@ -7,6 +7,8 @@ last return the columns of documents; the last returns the encoded mix.
 
 from __future__ import annotations
 
+import threading
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -42,19 +44,18 @@ def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "source", F.size("ids").alias("n_tokens"), "ids")
 
 
-_scratch: list[str] = []
+_pending = threading.local()  # tables that the last stage of this thread left for its result
 
 
 def _tidy(stage):
-    """A stage's tables in the shared folder go when the next stage starts: by then its
-    result is written.  Tables that the given documents still read stay."""
+    """A stage's tables in the shared folder go when the next stage of the thread starts: by
+    then its result is written.  Tables that the given documents still read stay."""
 
     def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-        C.discard(spark, *C.unread(_scratch, docs))
-        since = C.mark()
-        out = stage(spark, docs, sf_dir)
-        _scratch[:] = C.made(since)
-        return out
+        read = docs.inputFiles()
+        C.discard(spark, *[p for p in getattr(_pending, "paths", ()) if not any(p.rsplit("/", 1)[-1] in f for f in read)])
+        with C.watched() as _pending.paths:
+            return stage(spark, docs, sf_dir)
 
     run.__name__, run.__doc__ = stage.__name__, stage.__doc__
     return run
