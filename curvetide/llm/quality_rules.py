@@ -2,25 +2,34 @@
 
 All in DataFrame functions.  A document's statistics come from its own row alone (array
 functions), so texts are never shuffled.  Per language and source a minimum-covariance-
-determinant estimate is reached by concentration steps: from medians and median
-deviations, then the mean and covariance of the three quarters of rows that lie nearest,
-again and again.  A document is rejected if the Mahalanobis distance of its transformed
-statistics exceeds a cut.  Groups below ``MIN_GROUP`` rows are judged with the other
-small groups of their language, and those of small languages all together.
-
-Aggregates are means, covariances and quantile sketches, which combine before the shuffle;
-a hot source costs no more than any other.
+determinant estimate is found: of several deterministic starts (medians with median
+deviations, all rows, the half of the rows that is nearest to the medians) each goes through
+concentration steps (mean and covariance of the share ``NEAR`` of the rows that is nearest)
+until its determinant falls no more, and the least determinant wins.  The covariance is made
+consistent for normal data and regularised by least spreads ``FLOOR``, as most statistics
+are 0 in most rows.  A document is rejected if the squared Mahalanobis distance of its
+transformed statistics is beyond the chi-squared quantile of tail ``TAIL``.  Groups below
+``MIN_GROUP`` rows are judged with the other small groups of their language, and those of
+small languages all together.
+
+The steps don't run over rows but over cells of a fixed grid (one ``FLOOR`` wide, over a
+bounded range): counts, sums and products of the rows of a cell, which add up before the
+shuffle.  Moments of whole cells are exact; a cell is in or out as one.  So a hot source is a
+bounded number of cells, and costs no more than any other.
 
 Edge cases: null text has no words and fails the base rules; null lang or source is a
 group of its own; with fewer than ``MIN_GROUP`` rows in all, only the base rules hold;
-repeated rows are judged each; null ids are kept as they are.
+repeated rows are judged each; null ids are kept as they are; other columns aren't read by
+``judge`` and stay as they are in ``keep_good``.
 """
 
 from __future__ import annotations
 
+import math
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import common as C
@@ -28,12 +37,12 @@ from . import common as C
 SYMBOLS = "#*$%&|<>"
 BLANKS = " \t\n\x0b\f\r"
 MIN_GROUP = 40
-STEPS = 3
-NEAR = 0.75
-CUT = 45.0  # of the squared distance; the clean mass of the statistics isn't normal
-CHI2_MEDIAN = 3.3567  # of 4 degrees of freedom
+STEPS = 40  # at most; the determinant converges long before
+NEAR = 0.75  # of a group's rows that an estimate rests on
+TAIL = 1e-7  # of the chi-squared distribution that is rejected
 #: Least standard deviations: a statistic that is nearly always 0 has no spread of its own.
-FLOOR = (0.35, 0.03, 0.05, 0.1)
+FLOOR = (0.35, 0.03, 0.05, 0.1, 0.12)
+LIMITS = ((0, 20), (-3, 10), (0, 3), (0, 1), (0, 1))  # of the grid; beyond lies its last cell
 _X = [f"x{i}" for i in range(len(FLOOR))]
 
 
@@ -75,70 +84,123 @@ def statistics(docs: DataFrame) -> DataFrame:
 
 
 def transformed() -> list[Column]:
-    """The statistic vector: length, shrunken word length, share of symbols and repeats."""
+    """The statistic vector: length, shrunken word length, shares of symbols, repeated words
+    and repeated lines."""
     n, chars = F.col("n_words"), F.col("word_chars")
     return [
         F.log(n + 1.0),
         F.log((chars + 200.0) / (n + 40.0)),
         F.sqrt(F.col("n_symbols") / F.greatest(chars, F.lit(1))),
         F.sqrt(F.col("n_repeat_words") / F.greatest(n, F.lit(1))),
+        F.sqrt(F.col("n_dup_lines") / (F.col("n_lines") + 2.0)),
     ]
 
 
+# ------------------------------------------------------------------ chi-squared
+def chi2_tail(x: float, df: int) -> float:
+    """The share beyond x of the chi-squared distribution."""
+    value, k = (math.erfc(math.sqrt(x / 2)), 1) if df % 2 else (math.exp(-x / 2), 2)
+    while k < df:
+        value += (x / 2) ** (k / 2) * math.exp(-x / 2) / math.gamma(k / 2 + 1)
+        k += 2
+    return value
+
+
+def chi2_quantile(tail: float, df: int) -> float:
+    low, high = 0.0, 2000.0
+    for _ in range(200):
+        mid = (low + high) / 2
+        low, high = (mid, high) if chi2_tail(mid, df) > tail else (low, mid)
+    return low
+
+
+_P = len(FLOOR)
+CUT = chi2_quantile(TAIL, _P)
+#: Makes the covariance of the nearest rows consistent for normal data.
+CONSISTENT = NEAR / (1 - chi2_tail(chi2_quantile(1 - NEAR, _P), _P + 2))
+
+
 # ------------------------------------------------------------------ robust estimates
-def _distance() -> Column:
-    """Squared Mahalanobis distance, by a Cholesky factor written out as columns."""
-    p = len(_X)
-    low: dict[tuple[int, int], Column] = {}
-    for i in range(p):
+_PAIRS = [(i, j) for i in range(_P) for j in range(i, _P)]
+
+
+def cells(rows: DataFrame) -> DataFrame:
+    """(grp, n, s_i, q_ij) of the grid cells of rows (grp, x0..)."""
+    at = []
+    for i, ((low, high), width) in enumerate(zip(LIMITS, FLOOR)):
+        at.append(F.floor((F.least(F.greatest(F.col(_X[i]), F.lit(float(low))), F.lit(float(high))) - low) / width).alias(f"cell{i}"))
+    agg = [F.count(F.lit(1)).alias("n")] + [F.sum(x).alias(f"s{i}") for i, x in enumerate(_X)]
+    agg += [F.sum(F.col(_X[i]) * F.col(_X[j])).alias(f"q{i}{j}") for i, j in _PAIRS]
+    return rows.groupBy("grp", *at).agg(*agg).withColumns({f"a{i}": F.col(f"s{i}") / F.col("n") for i in range(_P)})
+
+
+def _factored(par: DataFrame) -> DataFrame:
+    """Adds the entries l_ij of the Cholesky factor of the regularised covariance c_ij, and
+    the logarithm of its determinant."""
+    for i in range(_P):
         for j in range(i + 1):
             rest = reduce(lambda a, k: a - F.col(f"l{i}{k}") * F.col(f"l{j}{k}"), range(j), F.col(f"c{j}{i}"))
-            low[i, j] = F.sqrt(F.greatest(rest, F.lit(1e-12))) if i == j else rest / F.col(f"l{j}{j}")
-    return low
+            par = par.withColumn(f"l{i}{j}", F.sqrt(F.greatest(rest, F.lit(1e-12))) if i == j else rest / F.col(f"l{j}{j}"))
+    return par.withColumn("det", 2 * reduce(lambda a, b: a + b, [F.ln(F.col(f"l{i}{i}")) for i in range(_P)])).drop(*[f"c{i}{j}" for i, j in _PAIRS])
 
 
-def _factored(par: DataFrame) -> DataFrame:
-    """Adds the entries l_ij of the Cholesky factor of the covariance c_ij."""
-    for (i, j), value in _distance().items():
-        par = par.withColumn(f"l{i}{j}", value)
-    return par.select("grp", *[f"m{i}" for i in range(len(_X))], *[f"l{i}{j}" for i in range(len(_X)) for j in range(i + 1)])
+def _squared_distance(rows: DataFrame, names: list[str]) -> DataFrame:
+    """Adds d2, the squared Mahalanobis distance of the columns ``names``."""
+    for i, name in enumerate(names):
+        rest = reduce(lambda a, j: a - F.col(f"l{i}{j}") * F.col(f"z{j}"), range(i), F.col(name) - F.col(f"m{i}"))
+        rows = rows.withColumn(f"z{i}", rest / F.col(f"l{i}{i}"))
+    return rows.withColumn("d2", reduce(lambda a, b: a + b, [F.col(f"z{i}") * F.col(f"z{i}") for i in range(_P)])).drop(*[f"z{i}" for i in range(_P)])
 
 
-def _with_distance(rows: DataFrame, par: DataFrame) -> DataFrame:
-    out = rows.join(par, "grp")
-    for i in range(len(_X)):
-        rest = reduce(lambda a, j: a - F.col(f"l{i}{j}") * F.col(f"z{j}"), range(i), F.col(_X[i]) - F.col(f"m{i}"))
-        out = out.withColumn(f"z{i}", rest / F.col(f"l{i}{i}"))
-    d2 = reduce(lambda a, b: a + b, [F.col(f"z{i}") * F.col(f"z{i}") for i in range(len(_X))])
-    return out.select(*rows.columns, d2.alias("d2"))
+def _moments(chosen: DataFrame, *by: str) -> DataFrame:
+    """Means and consistent, regularised covariance of cells, factored."""
+    total = chosen.groupBy(*by).agg(F.sum("n").alias("n"), *[F.sum(f"s{i}").alias(f"s{i}") for i in range(_P)], *[F.sum(f"q{i}{j}").alias(f"q{i}{j}") for i, j in _PAIRS])
+    mean = {f"m{i}": F.col(f"s{i}") / F.col("n") for i in range(_P)}
+    cov = {f"c{i}{j}": CONSISTENT * F.greatest(F.lit(0.0 if i == j else -1e300), F.col(f"q{i}{j}") / F.col("n") - F.col(f"m{i}") * F.col(f"m{j}")) + (FLOOR[i] ** 2 if i == j else 0.0) for i, j in _PAIRS}
+    return _factored(total.withColumns(mean).withColumns(cov)).drop("n", *[f"s{i}" for i in range(_P)], *[f"q{i}{j}" for i, j in _PAIRS])
 
 
-def _moments(rows: DataFrame) -> DataFrame:
-    p = len(_X)
-    agg = [F.avg(x).alias(f"m{i}") for i, x in enumerate(_X)]
-    agg += [(F.covar_pop(_X[i], _X[j]) + (FLOOR[i] ** 2 if i == j else 0.0)).alias(f"c{i}{j}") for i in range(p) for j in range(i, p)]
-    return _factored(rows.groupBy("grp").agg(*agg))
+def _nearest(near: DataFrame, share: float, *by: str) -> DataFrame:
+    """The cells nearest by d2 that hold the share of the rows of each group.  A group has a
+    bounded number of cells."""
+    order = W.partitionBy(*by).orderBy("d2", *[f"a{i}" for i in range(_P)])
+    seen, every = F.sum("n").over(order.rowsBetween(W.unboundedPreceding, -1)), F.sum("n").over(W.partitionBy(*by))
+    return near.withColumns({"_seen": F.coalesce(seen, F.lit(0)), "_all": every}).where(F.col("_seen") < F.ceil(share * F.col("_all"))).drop("_seen", "_all")
 
 
-def _start(rows: DataFrame, tag: str) -> DataFrame:
-    """Medians and median absolute deviations, without covariances."""
-    p = len(_X)
-    mid = C.materialize(rows.groupBy("grp").agg(*[F.percentile_approx(x, 0.5, 10000).alias(f"m{i}") for i, x in enumerate(_X)]), f"mcd-mid{tag}")
-    dev = rows.join(mid, "grp").groupBy("grp").agg(*[F.first(f"m{i}").alias(f"m{i}") for i in range(p)], *[F.percentile_approx(F.abs(F.col(x) - F.col(f"m{i}")), 0.5, 10000).alias(f"s{i}") for i, x in enumerate(_X)])
-    cov = {f"c{i}{j}": (F.pow(1.4826 * F.col(f"s{i}"), 2) + FLOOR[i] ** 2 if i == j else F.lit(0.0)) for i in range(p) for j in range(i, p)}
-    return _factored(dev.withColumns(cov))
+def _starts(grid: DataFrame) -> DataFrame:
+    """(grp, start, m_i, l_ij, det) of the deterministic starts."""
+    half = lambda x: F.expr(f"percentile({x}, 0.5, n)")
+    mid = grid.groupBy("grp").agg(*[half(f"a{i}").alias(f"m{i}") for i in range(_P)])
+    off = grid.join(mid, "grp").withColumns({f"o{i}": F.abs(F.col(f"a{i}") - F.col(f"m{i}")) for i in range(_P)})
+    dev = off.groupBy("grp").agg(*[F.first(f"m{i}").alias(f"m{i}") for i in range(_P)], *[half(f"o{i}").alias(f"v{i}") for i in range(_P)])
+    cov = {f"c{i}{j}": (F.pow(1.4826 * F.col(f"v{i}"), 2) + FLOOR[i] ** 2 if i == j else F.lit(0.0)) for i, j in _PAIRS}
+    medians = C.materialize(_factored(dev.withColumns(cov)).drop(*[f"v{i}" for i in range(_P)]), "mcd-medians")
+    inner = _nearest(_squared_distance(grid.join(medians, "grp"), [f"a{i}" for i in range(_P)]), 0.5, "grp")
+    found = [medians, _moments(grid, "grp"), _moments(inner, "grp")]
+    out = [f.withColumn("start", F.lit(k)) for k, f in enumerate(found)]
+    return out[0].unionByName(out[1]).unionByName(out[2])
 
 
 def fit(rows: DataFrame) -> DataFrame:
-    """Per group (grp) of rows (grp, x0..): robust centre, factor, scale, and whether the
-    group is large enough to be judged."""
-    par = C.materialize(_start(rows, ""), "mcd-start")
+    """Per group (grp) of rows (grp, x0..): robust centre m_i, factor l_ij, scale, and
+    whether the group is large enough to be judged."""
+    grid = C.materialize(cells(rows), "mcd-cells")
+    par = C.materialize(_starts(grid), "mcd-start")
+    par = par.withColumn("was", F.lit(float("inf")))
     for step in range(STEPS):
-        near = C.materialize(_with_distance(rows, par), f"mcd-d{step}")
-        edge = C.materialize(near.groupBy("grp").agg(F.percentile_approx("d2", NEAR, 10000).alias("edge")), f"mcd-edge{step}")
-        par = C.materialize(_moments(near.join(edge, "grp").where("d2 <= edge")), f"mcd-par{step}")
-    last = _with_distance(rows, par).groupBy("grp").agg(F.greatest(F.percentile_approx("d2", 0.5, 10000) / CHI2_MEDIAN, F.lit(1.0)).alias("scale"), (F.count(F.lit(1)) >= MIN_GROUP).alias("enough"))
-    return par.join(C.materialize(last, "mcd-scale"), "grp")
+        near = _squared_distance(grid.join(par.drop("det", "was"), "grp"), [f"a{i}" for i in range(_P)])
+        new = _moments(_nearest(near, NEAR, "grp", "start"), "grp", "start")
+        # a start's own determinant isn't that of a share of the rows: it doesn't count
+        before = par.select("grp", "start", (F.lit(float("inf")) if step == 0 else F.col("det")).alias("was"))
+        par = C.materialize(new.join(before, ["grp", "start"]), f"mcd-step{step}")
+        if par.where("was - det > 1e-9").isEmpty():
+            break
+    best = W.partitionBy("grp").orderBy("det", "start")
+    par = par.withColumn("_r", F.row_number().over(best)).where("_r = 1").drop("_r", "was", "start")
+    last = _squared_distance(grid.join(par, "grp"), [f"a{i}" for i in range(_P)]).groupBy("grp").agg(F.expr("percentile(d2, 0.5, n)").alias("mid"), (F.sum("n") >= MIN_GROUP).alias("enough"))
+    last = last.select("grp", "enough", F.greatest(F.col("mid") / chi2_quantile(0.5, _P), F.lit(1.0)).alias("scale"))
+    return C.materialize(par.join(last, "grp"), "mcd-best")
 
 
 _TAGS = ["_lang", "_source"]
@@ -167,21 +229,18 @@ def estimates(rows: DataFrame) -> DataFrame:
 def _judged(rows: DataFrame, fitted: DataFrame) -> DataFrame:
     """Adds d2 and kept to prepared rows.  ``fitted`` has a row for each language and
     source; Spark broadcasts it where its size allows, else the join is by these keys."""
-    out = rows.join(fitted, _TAGS, "left")
-    for i in range(len(_X)):
-        rest = reduce(lambda a, j: a - F.col(f"l{i}{j}") * F.col(f"z{j}"), range(i), F.col(_X[i]) - F.col(f"m{i}"))
-        out = out.withColumn(f"z{i}", rest / F.col(f"l{i}{i}"))
-    d2 = reduce(lambda a, b: a + b, [F.col(f"z{i}") * F.col(f"z{i}") for i in range(len(_X))]) / F.col("scale")
-    fine = F.coalesce((d2 <= CUT) | ~F.col("enough"), F.lit(True))
-    return out.withColumns({"d2": d2, "kept": ~F.col("base_failed") & fine})
+    out = _squared_distance(rows.join(fitted.drop("det"), _TAGS, "left"), _X).withColumn("d2", F.col("d2") / F.col("scale"))
+    fine = F.coalesce((F.col("d2") <= CUT) | ~F.col("enough"), F.lit(True))
+    return out.withColumn("kept", ~F.col("base_failed") & fine)
 
 
 def judge(docs: DataFrame) -> DataFrame:
     """(doc_id, lang, source, STATS, base_failed, d2, kept) of each row (doc_id, text, lang,
     source)."""
     C.need(docs, "doc_id", "text", "lang", "source")
-    rows = C.materialize(_prepared(docs.select("doc_id", "text", "lang", "source")), "rules-stats")
-    return _judged(rows, estimates(rows)).select("doc_id", "lang", "source", *STATS, "base_failed", "d2", "kept")
+    with C.Scratch(docs.sparkSession) as tables:
+        rows = C.materialize(_prepared(docs.select("doc_id", "text", "lang", "source")), "rules-stats")
+        return tables.keep(_judged(rows, estimates(rows)).select("doc_id", "lang", "source", *STATS, "base_failed", "d2", "kept"), "rules-judged")
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
@@ -190,7 +249,9 @@ def keep_good(docs: DataFrame) -> DataFrame:
     C.need(docs, "doc_id", "text", "lang", "source")
     inner = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"), "doc_id", "text", "lang", "source")
     rows = C.materialize(_prepared(inner), "rules-rows")
-    return _judged(rows, estimates(rows.drop("_doc"))).where("kept").select("_doc.*")
+    with C.Scratch(docs.sparkSession) as tables:
+        fitted = tables.keep(estimates(rows.drop("_doc")), "rules-estimates")
+    return _judged(rows, fitted).where("kept").select("_doc.*")
 
 
 def op8_quality_rules(spark, sf_dir: str) -> DataFrame:
