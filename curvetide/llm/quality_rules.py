@@ -41,7 +41,7 @@ STEPS = 40  # at most; the determinant converges long before
 NEAR = 0.75  # of a group's rows that an estimate rests on
 TAIL = 1e-7  # of the chi-squared distribution that is rejected
 #: Least standard deviations: a statistic that is nearly always 0 has no spread of its own.
-FLOOR = (0.35, 0.03, 0.05, 0.1, 0.12)
+FLOOR = (0.35, 0.03, 0.05, 0.1, 0.07)
 LIMITS = ((0, 20), (-3, 10), (0, 3), (0, 1), (0, 1))  # of the grid; beyond lies its last cell
 _X = [f"x{i}" for i in range(len(FLOOR))]
 
@@ -92,7 +92,7 @@ def transformed() -> list[Column]:
         F.log((chars + 200.0) / (n + 40.0)),
         F.sqrt(F.col("n_symbols") / F.greatest(chars, F.lit(1))),
         F.sqrt(F.col("n_repeat_words") / F.greatest(n, F.lit(1))),
-        F.sqrt(F.col("n_dup_lines") / (F.col("n_lines") + 2.0)),
+        F.col("n_dup_lines") / (F.col("n_lines") + 2.0),
     ]
 
 
