@@ -4,18 +4,27 @@ Words of a source form one long stream: documents in the order of (bucket, id),
 dealt by hash, with running offsets taken inside buckets and over bucket totals, so that no
 window holds more than a bucket.  The stream is cut in blocks of ``block`` words.
 
-A source's target is a number of words.  It is met by slots: slot ``i`` of a source takes
-the block that an affine permutation of the block indices, drawn anew for each pass over
-the source, gives for ``i``; a whole pass takes every block once, and the last slot takes
-only the words that are still missing.  Slots are dealt to output shards by hash, which
-makes the source counts of a shard multinomial given the totals; totals are thus exact.
+A source's target is a number of words, and so a number of slots of one block each.  Output
+shards have ``shard_slots`` slots; each draws the sources of its slots independently, by
+the share of the sources in all slots, so its counts are multinomial.  The draws of a source
+are numbered over all shards.  Those beyond its number of slots are given to the sources
+that were drawn too seldom, in order; they are the last draws of their source, about the root
+of all slots in number.  So all shards are full, and totals are exact.
+
+Number ``i`` of a source's slots takes, in pass ``i`` div blocks, the block that a keyed
+permutation of the block indices gives for the rest: a Feistel network over the least power
+of two, walked until it falls on an index (drawn anew for each pass).  A whole pass takes
+every block once; the last slot takes only the words that are still missing.
 
 Blocks and documents meet in an equi-join by (source, block), both sides of which have many
-small keys, so a hot source is spread evenly.
+small keys, so a hot source is spread evenly.  Sources are ranked, summed and found by
+ranges of names, so there may be many.
 
 Edge cases: null and empty texts have size 0 and are taken 0 times; null source is a source
 of its own, last in order; sources of size 0 have target 0; an empty table mixes to an
-empty table; repeated rows are documents of their own (ties by text).
+empty table; repeated rows are documents of their own (ties by text); other columns aren't
+read by ``mix`` and travel with the text in ``mixed_texts``, where an id occurs once for each
+pass that takes words of the document.
 """
 
 from __future__ import annotations
@@ -28,34 +37,55 @@ from . import common as C
 
 WEIGHTS = (3.0, 1.0, 2.0)  # fixed values of the contract, repeating over the sources
 BLOCK = 256
-SPREAD = 4096  # slots that one row unfolds at once
+SHARD_SLOTS = 256
+RUN_SLOTS = 1 << 16  # draws that are numbered in one window
+BUCKET_ROWS = 50_000  # documents of a source whose offsets are taken in one window, about
+RANGES = 4096  # parts of all slots by which a draw finds its source
+WALK = 64  # steps of a walk; each falls on an index with a chance of a half at least
 
 
 # ------------------------------------------------------------------ targets
+def _running(df: DataFrame, value: str, out: str, *order) -> DataFrame:
+    """Adds the sum of ``value`` over the rows before, in the order that ``df`` (with a
+    column ``part`` of consecutive ranges of that order) lies in."""
+    sums = df.groupBy("part").agg(F.sum(value).alias("_sum"))  # a row for each range
+    sums = sums.select("part", F.coalesce(F.sum("_sum").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_base"))
+    inner = W.partitionBy("part").orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
+    return df.join(F.broadcast(sums), "part").withColumn(out, F.coalesce(F.sum(value).over(inner), F.lit(0)) + F.col("_base")).drop("_base")
+
+
+def _by_name(column: str) -> Column:
+    return F.col(column).asc_nulls_last()
+
+
+def ranked(sizes: DataFrame, weights=WEIGHTS) -> DataFrame:
+    """Adds ``part`` (a range of names) and the weight ``w`` of each source."""
+    rows = sizes.repartitionByRange(C.shuffle_width(sizes.sparkSession), _by_name("source")).withColumns({"part": F.spark_partition_id(), "one": F.lit(1)})
+    rows = _running(C.materialize(rows, "mix-ranges"), "one", "rank", _by_name("source"))
+    w = F.element_at(F.array(*[F.lit(float(x)) for x in weights]), (F.col("rank") % len(weights) + 1).cast("int"))
+    return C.materialize(rows.withColumn("w", w).drop("one", "rank"), "mix-ranked")
+
+
 def targets(sizes: DataFrame, share: float = 1.5, cap: float = 2.0, weights=WEIGHTS) -> DataFrame:
-    """(source, source_size, target) from one row (source, source_size) for each source.
+    """(source, source_size, part, target) from one row (source, source_size) for each
+    source.
 
     Weights follow the order of the sources by code point, null last.  Every target is
-    ``level * weight``, stopped at ``cap`` times the source's size; the level is the one at
-    which all targets sum to ``share`` of all words.  With the sources in the order in
-    which they stop, it is found from running sums."""
-    order = W.orderBy(F.col("source").asc_nulls_last())
-    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), ((F.row_number().over(order) - 1) % len(weights) + 1).cast("int"))
-    rows = sizes.withColumn("w", weight).withColumn("stop", cap * F.col("source_size"))
-    rise = W.orderBy(F.col("stop") / F.col("w"), F.col("source").asc_nulls_last())
-    before = rise.rowsBetween(W.unboundedPreceding, -1)
-    every = W.partitionBy()
-    rows = rows.withColumns({
-        "full": F.coalesce(F.sum("stop").over(before), F.lit(0.0)),
-        "gone": F.coalesce(F.sum("w").over(before), F.lit(0.0)),
-        "total": share * F.sum("source_size").over(every),
-        "all_w": F.sum("w").over(every),
-    })
-    rows = rows.withColumn("level", (F.col("total") - F.col("full")) / (F.col("all_w") - F.col("gone")))
-    # the first source, in that order, which its own level doesn't stop sets the level
-    rows = rows.withColumn("level", F.min(F.when(F.col("stop") > F.col("w") * F.col("level"), F.struct("gone", "level"))).over(every)["level"])
-    target = F.when(F.col("level").isNull(), F.col("stop")).otherwise(F.least("stop", F.col("w") * F.col("level")))
-    return rows.select("source", "source_size", target.cast("double").alias("target"))
+    ``level * weight``, stopped at ``cap`` times the source's size.  The level at which all
+    targets sum to ``share`` of all words is reached from below: what the stopped sources
+    leave is spread over the others, until no further one stops."""
+    rows = ranked(sizes, weights).withColumn("stop", cap * F.col("source_size"))
+    level, stopped = 0.0, -1
+    while True:
+        over = F.col("stop") < F.lit(level) * F.col("w")
+        got = rows.agg(
+            F.sum("source_size").alias("words"), F.sum(over.cast("int")).alias("n"), F.sum(F.when(over, F.col("stop")).otherwise(0.0)).alias("full"), F.sum(F.when(over, 0.0).otherwise(F.col("w"))).alias("w")
+        ).collect()[0]
+        if not got["w"] or got["n"] == stopped:
+            break
+        stopped, level = got["n"], (share * got["words"] - got["full"]) / got["w"]
+    target = F.col("stop") if got["w"] == 0 else F.least(F.col("stop"), F.lit(level) * F.col("w"))
+    return rows.select("source", "source_size", "part", target.cast("double").alias("target"))
 
 
 # ------------------------------------------------------------------ blocks and slots
@@ -64,21 +94,35 @@ def _tag(source: Column) -> Column:
     return F.coalesce(F.concat(F.lit("v"), source), F.lit("n"))
 
 
-def _primes(n: int, above: int = 100_000_000) -> list[int]:
-    out, x = [], above + 1
-    while len(out) < n:
-        if all(x % d for d in range(3, int(x**0.5) + 1, 2)):
-            out.append(x)
-        x += 2
-    return out
+def _bits(n: Column) -> Column:
+    """Bits of the least power of two that holds n indices, 2 at least."""
+    return F.greatest(F.lit(2), F.length(F.bin(F.greatest(n - 1, F.lit(0).cast("long")))))
+
+
+def _feistel(x: Column, bits: Column, key: Column, rounds: int = 4) -> Column:
+    """A keyed permutation of the numbers of so many bits."""
+    few = F.floor(bits / 2).cast("int")
+    many = bits - few
+    one = F.lit(1).cast("long")
+    mask = lambda b: F.call_function("shiftleft", one, b) - 1
+    high, low = F.call_function("shiftright", x, many), x.bitwiseAND(mask(many))
+    for i in range(rounds):
+        if i % 2:
+            low = low.bitwiseXOR(F.xxhash64(high, F.lit(i), key).bitwiseAND(mask(many)))
+        else:
+            high = high.bitwiseXOR(F.xxhash64(low, F.lit(i), key).bitwiseAND(mask(few)))
+    return F.call_function("shiftleft", high, many).bitwiseOR(low)
 
 
-PRIMES = _primes(12)
+def permuted(x: Column, n: Column, key: Column) -> Column:
+    """Where a keyed permutation of 0 .. n - 1 sends x."""
+    bits = _bits(n)
+    walk = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), _feistel(x, bits, key), lambda y, _: F.when(y < n, y).otherwise(_feistel(y, bits, key)))
+    return F.when(walk < n, walk).otherwise(F.raise_error(F.lit("a walk didn't end")).cast("long"))
 
 
-def _placed(docs: DataFrame) -> DataFrame:
+def _placed(docs: DataFrame, buckets: int) -> DataFrame:
     """Adds ``start``, the place of the first word in the source's stream."""
-    buckets = max(16, 8 * C.shuffle_width(docs.sparkSession))
     rows = docs.withColumns({"tag": _tag(F.col("source")), "bucket": F.pmod(F.xxhash64("doc_id", F.lit("mix")), F.lit(buckets))})
     sums = C.materialize(rows.groupBy("tag", "bucket").agg(F.sum("size").alias("n")), "mix-buckets")
     run = W.partitionBy("tag").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)
@@ -88,28 +132,68 @@ def _placed(docs: DataFrame) -> DataFrame:
     return rows.join(sums, ["tag", "bucket"]).withColumn("start", F.col("start") + F.col("base")).drop("base", "bucket")
 
 
-def slots(plan: DataFrame, block: int, n_shards: int, seed: int) -> DataFrame:
-    """(tag, epoch, slot, shard, block, words): the block of each slot and how many of its
-    words it takes, from one row (tag, source_size, want) for each source.
-
-    Whole blocks are permuted; the short last block of a stream is the last slot of a pass.
-    A multiplier is a prime that doesn't divide the number of blocks."""
-    p = plan.where("want > 0").withColumn("n", F.floor(F.col("source_size") / block))
-    p = p.withColumn("epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("want") - 1) / F.col("source_size")))))
-    p = p.withColumn("need", F.least("source_size", F.col("want") - F.col("epoch") * F.col("source_size")))
-    key = F.xxhash64("tag", "epoch", F.lit(seed))
-    fit = F.filter(F.array(*[F.lit(x).cast("long") for x in PRIMES]), lambda x: (F.col("n") == 0) | (F.col("n") % x != 0))
-    p = p.withColumns({"mul": F.get(fit, F.pmod(key, F.size(fit)).cast("int")), "add": F.pmod(F.xxhash64(key), F.greatest("n", F.lit(1))), "n_slots": F.ceil(F.col("need") / block)})
-    last = F.ceil(F.col("n_slots") / SPREAD) - 1
-    p = p.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), last))).repartition(C.shuffle_width(plan.sparkSession), "tag", "epoch", "part")
-    low = F.col("part") * SPREAD
-    p = p.withColumn("slot", F.explode(F.sequence(low, F.least(low + SPREAD, F.col("n_slots")) - 1)))
-    p = p.withColumn("block", F.when(F.col("slot") < F.col("n"), (F.col("slot") * F.col("mul") + F.col("add")) % F.col("n")).otherwise(F.col("n")))
-    shard = F.pmod(F.xxhash64("tag", "epoch", "slot", F.lit(seed + 1)), F.lit(n_shards))
-    return p.select("tag", "epoch", "slot", shard.alias("shard"), "block", F.least(F.lit(block), F.col("need") - F.col("slot") * block).alias("words"))
-
-
-def mix(docs: DataFrame, block: int = BLOCK, n_shards: int = 64, seed: int = 17) -> DataFrame:
+def counted(plan: DataFrame, block: int) -> DataFrame:
+    """Adds ``per_pass``, the slots of a whole pass, and ``n_slots``, all slots of a source,
+    to (source_size, want)."""
+    passes = F.floor(F.col("want") / F.greatest("source_size", F.lit(1)))
+    rest = F.col("want") - passes * F.col("source_size")
+    plan = plan.withColumn("per_pass", F.ceil(F.col("source_size") / block))
+    return plan.withColumn("n_slots", F.when(F.col("want") > 0, passes * F.col("per_pass") + F.ceil(rest / block)).otherwise(0).cast("long"))
+
+
+def _found(points: DataFrame, at: str, ranges: DataFrame, every: int) -> DataFrame:
+    """Join each point to the range (lo <= point < hi) that holds it, by equal parts of all."""
+    width = max(1, -(-every // RANGES))
+    live = ranges.where("hi > lo")
+    parts = live.withColumn("_bin", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
+    met = points.withColumn("_bin", F.floor(F.col(at) / width)).join(parts, "_bin")
+    return met.where((F.col(at) >= F.col("lo")) & (F.col(at) < F.col("hi"))).drop("_bin", "lo", "hi")
+
+
+def draws(plan: DataFrame, shard_slots: int, seed: int) -> DataFrame:
+    """(g, tag, number): for each slot of the mix its source and which of the source's slots
+    it is, from (tag, part, n_slots) for each source."""
+    spark = plan.sparkSession
+    every = plan.agg(F.sum("n_slots")).collect()[0][0] or 0
+    share = _running(plan.select("tag", "part", "n_slots"), "n_slots", "lo", "tag").withColumn("hi", F.col("lo") + F.col("n_slots"))
+    share = C.materialize(share, "mix-share")
+    u = F.shiftrightunsigned(F.xxhash64("g", F.lit(seed)), 11) / float(1 << 53)
+    points = spark.range(0, every, 1, C.shuffle_width(spark)).select(F.col("id").alias("g"), F.least(F.floor(u * every), F.lit(every - 1)).alias("at"))
+    drawn = _found(points, "at", share.select("tag", "lo", "hi", "n_slots"), every).select("g", "tag", "n_slots", F.floor(F.col("g") / RUN_SLOTS).alias("run"))
+    drawn = C.materialize(drawn, "mix-draws")
+    runs = drawn.groupBy("tag", "run").agg(F.count(F.lit(1)).alias("n"))
+    runs = C.materialize(runs.withColumn("base", F.coalesce(F.sum("n").over(W.partitionBy("tag").orderBy("run").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))), "mix-runs")
+    number = F.row_number().over(W.partitionBy("tag", "run").orderBy("g")) - 1 + F.col("base")
+    numbered = C.materialize(drawn.join(runs.drop("n"), ["tag", "run"]).withColumn("number", number).select("g", "run", "tag", "number", "n_slots"), "mix-numbered")
+
+    # draws too many of a source go, in order, to the sources with draws too few
+    extra = numbered.where("number >= n_slots").select("g", "run")
+    order = W.partitionBy("run").orderBy("g").rowsBetween(W.unboundedPreceding, -1)
+    over = extra.groupBy("run").agg(F.count(F.lit(1)).alias("n"))
+    over = over.select("run", F.coalesce(F.sum("n").over(W.orderBy("run").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    extra = extra.withColumn("_k", F.coalesce(F.sum(F.lit(1)).over(order), F.lit(0))).join(F.broadcast(over), "run").select("g", (F.col("_k") + F.col("base")).alias("at"))
+    have = runs.groupBy("tag").agg(F.sum("n").alias("have"))
+    lack = share.drop("lo", "hi").join(have, "tag", "left").withColumn("have", F.least("n_slots", F.coalesce("have", F.lit(0))))
+    lack = _running(C.materialize(lack.withColumn("lack", F.col("n_slots") - F.col("have")), "mix-lack"), "lack", "lo", "tag")
+    lack = C.materialize(lack.select("tag", "have", "lo", (F.col("lo") + F.col("lack")).alias("hi")), "mix-missing")
+    moved = _found(extra, "at", lack.withColumn("first", F.col("lo")), every).select("g", "tag", (F.col("have") + F.col("at") - F.col("first")).alias("number"))
+    return numbered.where("number < n_slots").select("g", "tag", "number").unionByName(moved)
+
+
+def slots(plan: DataFrame, block: int, shard_slots: int, seed: int) -> DataFrame:
+    """(tag, epoch, shard, slot, block, words): the block of each slot of each shard and how
+    many of its words it takes, from (tag, part, source_size, want) for each source.
+
+    Whole blocks are permuted; the short last block of a stream is the last slot of a pass."""
+    plan = C.materialize(counted(plan, block), "mix-counted")
+    rows = draws(plan, shard_slots, seed).join(plan.select("tag", "source_size", "want", "per_pass"), "tag")
+    rows = rows.withColumns({"epoch": F.floor(F.col("number") / F.col("per_pass")), "i": F.col("number") % F.col("per_pass"), "n": F.floor(F.col("source_size") / block)})
+    need = F.least("source_size", F.col("want") - F.col("epoch") * F.col("source_size"))
+    at = F.when(F.col("i") < F.col("n"), permuted(F.col("i"), F.col("n"), F.xxhash64("tag", "epoch", F.lit(seed)))).otherwise(F.col("n"))
+    return rows.select("tag", "epoch", F.floor(F.col("g") / shard_slots).alias("shard"), (F.col("g") % shard_slots).alias("slot"), at.alias("block"), F.least(F.lit(block), need - F.col("i") * block).alias("words"))
+
+
+def mix(docs: DataFrame, block: int = BLOCK, shard_slots: int = SHARD_SLOTS, seed: int = 17) -> DataFrame:
     """Mix the rows (doc_id, text, source): doc_id, row, source, size, source_size, target,
     taken, pieces.
 
@@ -118,11 +202,14 @@ def mix(docs: DataFrame, block: int = BLOCK, n_shards: int = 64, seed: int = 17)
     C.need(docs, "doc_id", "text", "source")
     sized = docs.select("doc_id", "source", C.word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("row"))
     sized = C.materialize(sized, "mix-sizes")
-    plan = targets(C.materialize(sized.groupBy("source").agg(F.sum("size").alias("source_size")), "mix-sources"))
+    totals = C.materialize(sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("docs")), "mix-sources")
+    plan = targets(totals.select("source", "source_size"))
     plan = C.materialize(plan.withColumns({"tag": _tag(F.col("source")), "want": F.round("target").cast("long")}), "mix-plan")
-    taken = slots(plan.select("tag", "source_size", "want"), block, n_shards, seed)
+    taken = C.materialize(slots(plan.select("tag", "part", "source_size", "want"), block, shard_slots, seed), "mix-slots")
+    most = totals.agg(F.max("docs")).collect()[0][0] or 0
+    buckets = max(16, -(-most // BUCKET_ROWS))
     first, last = F.floor(F.col("start") / block), F.floor((F.col("start") + F.col("size") - 1) / block)
-    parts = _placed(sized).withColumn("block", F.explode_outer(F.when(F.col("size") > 0, F.sequence(first, last))))
+    parts = _placed(sized, buckets).withColumn("block", F.explode_outer(F.when(F.col("size") > 0, F.sequence(first, last))))
     lo, hi = F.greatest("start", F.col("block") * block), F.least(F.col("start") + F.col("size"), F.col("block") * block + F.col("words"))
     piece = F.struct("epoch", (lo - F.col("start")).alias("lo"), (hi - F.col("start")).alias("hi"), "shard", "slot")
     # sizes of unfolded rows are underestimated: merge joins, so that nothing large is broadcast
@@ -151,5 +238,6 @@ def mixed_texts(docs: DataFrame, **options) -> DataFrame:
 
 
 def op5_mixing(spark, sf_dir: str) -> DataFrame:
-    out = mix(C.read_table(spark, sf_dir, "documents", "doc_id", "text", "source"))
-    return out.select("doc_id", "size", "source_size", "target", "taken")
+    with C.Scratch(spark) as tables:
+        out = mix(C.read_table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+        return tables.keep(out.select("doc_id", "size", "source_size", "target", "taken"), "mix-result")

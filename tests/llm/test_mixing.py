@@ -68,10 +68,65 @@ def test_edges(spark):
     assert len(rows) == 3 and sum(r["taken"] for r in rows) == 11 and all(r["taken"] <= 2 * r["size"] for r in rows)
 
 
-def test_slots_are_dealt_to_shards(spark):
-    plan = spark.createDataFrame([("vs", 100_000, 150_000)], "tag string, source_size long, want long")
-    rows = M.slots(plan, 100, 8, 1).collect()
-    assert len(rows) == 1500 and len({(r["epoch"], r["block"]) for r in rows}) == 1500
-    assert [r["slot"] for r in rows] != [r["block"] for r in rows]
-    counts = [sum(1 for r in rows if r["shard"] == k) for k in range(8)]
-    assert min(counts) > 120 and sum(r["words"] for r in rows) == 150_000
+def test_shards_draw_multinomial_counts(spark):
+    sizes = {"va": 60_000, "vb": 25_000, "vc": 15_050, "n": 40}
+    plan = spark.createDataFrame([(t, k % 2, n, int(1.5 * n)) for k, (t, n) in enumerate(sizes.items())], "tag string, part int, source_size long, want long")
+    rows = M.slots(plan, 100, 25, 1).collect()
+    assert sorted((r["shard"], r["slot"]) for r in rows) == [(g // 25, g % 25) for g in range(len(rows))]  # all shards are full
+    for tag, n in sizes.items():
+        mine = [r for r in rows if r["tag"] == tag]
+        assert sum(r["words"] for r in mine) == int(1.5 * n) and len({(r["epoch"], r["block"]) for r in mine}) == len(mine)
+        assert {r["block"] for r in mine if r["epoch"] == 0} == set(range(-(-n // 100)))
+    counts = [sum(1 for r in rows if r["shard"] == k and r["tag"] == "va") for k in range(len(rows) // 25)]
+    mean, share = sum(counts) / len(counts), 0.6
+    spread = sum((c - mean) ** 2 for c in counts) / len(counts)
+    assert abs(mean - 25 * share) < 1 and 0.5 < spread / (25 * share * (1 - share)) < 1.6  # as binomial counts
+    assert rows and sorted(map(tuple, rows)) == sorted(map(tuple, M.slots(plan, 100, 25, 1).collect()))
+
+
+def test_keyed_permutation(spark):
+    from pyspark.sql import functions as F
+
+    for n in (1, 2, 3, 5, 64, 65, 1000):
+        x = spark.range(n).select(F.col("id"), M.permuted(F.col("id"), F.lit(n).cast("long"), F.lit(7)).alias("a"), M.permuted(F.col("id"), F.lit(n).cast("long"), F.lit(8)).alias("b"))
+        rows = x.orderBy("id").collect()
+        assert sorted(r["a"] for r in rows) == list(range(n)) == sorted(r["b"] for r in rows)
+        if n > 60:
+            assert [r["a"] for r in rows] != [r["b"] for r in rows]
+            steps = {(q["a"] - p["a"]) % n for p, q in zip(rows, rows[1:])}
+            assert len(steps) > n // 4  # not a line
+
+
+def test_many_sources(spark):
+    rows = [(i, "w " * (1 + i % 40), f"host{i % 700}") for i in range(2000)]
+    out = M.mix(spark.createDataFrame(rows, "doc_id long, text string, source string"), block=8).collect()
+    sizes = {}
+    for r in out:
+        sizes[r["source"]] = sizes.get(r["source"], 0) + r["size"]
+    want = expected_targets(sizes)
+    taken = dict.fromkeys(sizes, 0)
+    for r in out:
+        taken[r["source"]] += r["taken"]
+        assert abs(r["target"] - want[r["source"]]) < 1e-6 and r["taken"] <= 2 * r["size"]
+    assert all(abs(taken[s] - want[s]) <= 0.5 for s in sizes)
+
+
+def test_words_by_brute_force(spark):
+    """Slots to words: each document's pieces from the slots' blocks over the stream."""
+    df = corpus(spark)
+    block, rows = 16, M.mix(df, block=16).collect()
+    for source in {r["source"] for r in rows}:
+        mine = [r for r in rows if r["source"] == source and r["size"]]
+        if not mine:
+            continue
+        # passes of a source take each word once: rebuild the words of a pass from its pieces
+        for epoch in {p["epoch"] for r in mine for p in r["pieces"]}:
+            words = {(p["shard"], p["slot"]): 0 for r in mine for p in r["pieces"] if p["epoch"] == epoch}
+            for r in mine:
+                for p in r["pieces"]:
+                    if p["epoch"] == epoch:
+                        words[p["shard"], p["slot"]] += p["hi"] - p["lo"]
+            full = mine[0]["source_size"]
+            want = min(full, round(mine[0]["target"]) - epoch * full)
+            assert sum(words.values()) == want and max(words.values()) <= block
+            assert sum(1 for n in words.values() if n < block) <= 2  # the short block and the last slot
