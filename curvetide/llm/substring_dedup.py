@@ -38,6 +38,7 @@ from .fm_index import FMIndex
 
 CHUNK_BYTES = 6 << 20
 SHARD_BYTES = 4 << 20  # of text for each shard, about
+TASKS = 32_768  # of a stage, at most; a task takes its shards one by one
 WINDOWS = (6, 200)  # words of a window, least and most
 RUN = 6  # words of an anchor
 ANCHOR = 5  # bytes of an anchor's hash that a shard compares
@@ -448,13 +449,14 @@ def remove_repeats(docs: DataFrame, window: int = 13, layout: bool = False) -> D
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), rest.alias("rest"))
     packed = C.materialize(rows.mapInArrow(_pack, _PACKED), "sub-packed")
     shards = max(1, -(-(packed.agg(F.sum("bytes")).collect()[0][0] or 0) // SHARD_BYTES))
-    packed, plain = packed.drop("bytes"), packed.select("chunk", "ids", "sizes", "z")
-    anchors = plain.mapInArrow(_anchors(window, shards), "shard long, chunk long, anchors binary, many binary")
-    repeated = anchors.groupBy("shard").applyInArrow(_repeated, "chunk long, shard long, anchors binary")
-    sent = plain.groupBy("chunk").cogroup(repeated.groupBy("chunk")).applyInArrow(_send(window, shards), "shard long, chunk long, sizes binary, words binary, low binary, high binary")
-    answers = sent.groupBy("shard").applyInArrow(_search(window), "chunk long, keys binary, counts binary, least binary")
+    dealt = lambda df, key: df.repartition(min(shards, TASKS), key).groupBy(key)
+    anchors = packed.select("chunk", "ids", "sizes", "z").mapInArrow(_anchors(window, shards), "shard long, chunk long, anchors binary, many binary")
+    repeated = dealt(anchors, "shard").applyInArrow(_repeated, "chunk long, shard long, anchors binary")
+    packed = dealt(packed.drop("bytes"), "chunk")  # one exchange serves both meetings
+    sent = packed.cogroup(dealt(repeated, "chunk")).applyInArrow(_send(window, shards), "shard long, chunk long, sizes binary, words binary, low binary, high binary")
+    answers = dealt(sent, "shard").applyInArrow(_search(window), "chunk long, keys binary, counts binary, least binary")
     kind = StructType().add("doc_id", "long").add("n_words", "long").add("n_removed", "long").add("kept", "string").add("spans", ArrayType(StructType().add("lo", "integer").add("hi", "integer"))).add("rest", _nullable(rows.schema["rest"].dataType))
-    return packed.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_cut(window, layout), kind)
+    return packed.cogroup(dealt(answers, "chunk")).applyInArrow(_cut(window, layout), kind)
 
 
 def without_repeats(docs: DataFrame, window: int = 13) -> DataFrame:
