@@ -6,7 +6,6 @@ exactly that set of separators, so splitting UTF-8 bytes gives the contract's wo
 
 from __future__ import annotations
 
-import os
 import tempfile
 import uuid
 from contextlib import contextmanager
@@ -270,7 +269,3 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         label = materialize(label, "labels")
         least = label.groupBy("to").agg(F.min("node").alias("component"))
         return tables.keep(label.join(least, "to").select("node", "component"), "components")
-
-
-def tmp_name(path: str) -> str:
-    return f"{path}.{os.getpid()}-{uuid.uuid4().hex[:8]}"

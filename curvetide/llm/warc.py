@@ -7,18 +7,22 @@ member of its own, and leaves a sidecar index of their offsets, so that each rec
 read alone.  ``read_archives`` reads archives back through their sidecars.
 
 Files are written by the executors through ``pyarrow.fs`` to a URI that all machines reach
-(the shared folder), under a temporary name first; a lost or repeated task leaves at most
-such a name behind.
+(the shared folder).  Each attempt of a task writes under names of its own and renames
+nothing; the manifest, which Spark writes from the attempts that count, publishes them.
+``sweep`` deletes what lost or repeated attempts left.
 
 Edge cases: null html is an empty payload; null page_id reads back as null; null url is
 empty; payloads below ``MIN_REVISIT`` bytes are always responses; rows of one page_id and
-one payload are all responses if that id is the largest; other columns aren't read.
+one payload are all responses if that id is the largest; record ids name page and payload,
+so pages of one id with several payloads have records of their own; other columns
+aren't read.
 """
 
 from __future__ import annotations
 
 import hashlib
 import json
+import uuid
 import zlib
 
 import pyarrow as pa
@@ -46,7 +50,7 @@ def record(kind: str, page, url: str, digest: str, size: int, body: bytes, refer
     block = http + body
     head = [
         ("WARC-Type", kind),
-        ("WARC-Record-ID", f"<urn:page:{'none' if page is None else page}>"),
+        ("WARC-Record-ID", record_id(page, digest)),
         ("WARC-Date", DATE),
         ("WARC-Target-URI", url),
         ("WARC-Payload-Digest", f"sha1:{digest}"),
@@ -55,11 +59,15 @@ def record(kind: str, page, url: str, digest: str, size: int, body: bytes, refer
         ("Content-Length", str(len(block))),
     ]
     if refers_to is not None:
-        head += [("WARC-Refers-To", f"<urn:page:{refers_to}>"), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")]
+        head += [("WARC-Refers-To", record_id(refers_to, digest)), ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")]
     lines = "".join(f"{k}: {_plain(v)}\r\n" for k, v in head if v != "")
     return b"WARC/1.1\r\n" + lines.encode("utf-8", "surrogatepass") + b"\r\n" + block + b"\r\n\r\n"
 
 
+def record_id(page, digest: str) -> str:
+    return f"<urn:page:{'none' if page is None else page}:{digest or 'info'}>"
+
+
 def _plain(value: str) -> str:
     return " ".join(value.split())
 
@@ -117,8 +125,8 @@ def inflated(stream):
 def normalise(files: pafs.FileSystem, source: str, target: str) -> int:
     """Rewrite a gzip WARC file with one member for each record, and its sidecar
     ``target + '.idx'`` of JSON lines (offset, length, type, id).  Returns the records."""
-    done, at, tmp = 0, 0, C.tmp_name(target)
-    with files.open_input_stream(source, compression=None) as stream, files.open_output_stream(tmp, compression=None) as out, files.open_output_stream(tmp + ".idx", compression=None) as side:
+    done, at = 0, 0
+    with files.open_input_stream(source, compression=None) as stream, files.open_output_stream(target, compression=None) as out, files.open_output_stream(target + ".idx", compression=None) as side:
         for raw in records(inflated(stream)):
             z = zlib.compressobj(LEVEL_MEMBER, zlib.DEFLATED, _GZIP)
             member = z.compress(raw) + z.flush()
@@ -128,22 +136,20 @@ def normalise(files: pafs.FileSystem, source: str, target: str) -> int:
             side.write((json.dumps(line) + "\n").encode())
             at += len(member)
             done += 1
-    files.move(tmp, target)
-    files.move(tmp + ".idx", target + ".idx")
     return done
 
 
 def _write(uri: str, keep_whole: bool):
     def run(batches):
         files, root = pafs.FileSystem.from_uri(uri)
-        part, seq = TaskContext.get().partitionId(), 0
-        out = path = tmp = z = None
+        task = TaskContext.get()
+        name, seq = f"{root}/part-{task.partitionId():06d}-{task.taskAttemptId()}-{uuid.uuid4().hex[:8]}", 0
+        out = path = z = None
         size = 0
 
         def finish():
             out.write(z.flush())
             out.close()
-            files.move(tmp, path + ".whole")
             n = normalise(files, path + ".whole", path)
             if not keep_whole:
                 files.delete_file(path + ".whole")
@@ -153,9 +159,8 @@ def _write(uri: str, keep_whole: bool):
             for page, url, html, digest, refers in zip(*(batch.column(c) for c in ("page_id", "url", "html", "digest", "refers_to"))):
                 body = C.encoded(html.as_py())
                 if out is None:
-                    path = f"{root}/part-{part:06d}-{seq:04d}.warc.gz"
-                    tmp = C.tmp_name(path)
-                    out, z = files.open_output_stream(tmp, compression=None), zlib.compressobj(LEVEL_WHOLE, zlib.DEFLATED, _GZIP)
+                    path = f"{name}-{seq:04d}.warc.gz"
+                    out, z = files.open_output_stream(path + ".whole", compression=None), zlib.compressobj(LEVEL_WHOLE, zlib.DEFLATED, _GZIP)
                     out.write(z.compress(record("warcinfo", None, "", "", 0, b"software: curvetide\r\n")))
                 refers = refers.as_py()
                 kind = "response" if refers is None else "revisit"
@@ -171,7 +176,7 @@ def _write(uri: str, keep_whole: bool):
 
 
 def _page(urn: str | None):
-    value = urn and urn[len("<urn:page:") : -1]
+    value = urn and urn[len("<urn:page:") : -1].split(":")[0]
     return None if value in (None, "none") else int(value)
 
 
@@ -223,6 +228,20 @@ def write_archives(pages: DataFrame, uri: str, keep_whole: bool = False) -> Data
     return C.materialize(plan_records(pages).mapInArrow(_write(uri, keep_whole), "path string, n_records long"), "warc-manifest")
 
 
+def sweep(manifest: DataFrame, uri: str) -> int:
+    """Delete files under ``uri`` that no archive of the manifest owns; returns how many.
+    For a time when no task writes there any more."""
+    files, root = pafs.FileSystem.from_uri(uri)
+    spark = manifest.sparkSession
+    there = [f.path for f in files.get_file_info(pafs.FileSelector(root)) if f.is_file]
+    owner = F.regexp_replace("file", r"\.(idx|whole)$", "")
+    found = spark.createDataFrame([(f,) for f in there], "file string").withColumn("path", owner)
+    lost = [r["file"] for r in found.join(manifest, "path", "left_anti").collect()]
+    for path in lost:
+        files.delete_file(path)
+    return len(lost)
+
+
 def read_archives(manifest: DataFrame, uri: str) -> DataFrame:
     """Records (page_id, url, payload_bytes, payload_digest, record_type, refers_to)."""
     spread = manifest.select("path").repartition(C.shuffle_width(manifest.sparkSession))
@@ -230,9 +249,11 @@ def read_archives(manifest: DataFrame, uri: str) -> DataFrame:
 
 
 def op3_warc(spark, sf_dir: str) -> DataFrame:
-    uri = _uri(C.fresh_path(spark, "warc"))
-    manifest = write_archives(C.read_table(spark, sf_dir, "pages", "page_id", "url", "html"), uri)
-    return read_archives(manifest, uri).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    with C.Scratch(spark) as tables:
+        path = C.fresh_path(spark, "warc")
+        C.note(path)
+        manifest = write_archives(C.read_table(spark, sf_dir, "pages", "page_id", "url", "html"), _uri(path))
+        return tables.keep(read_archives(manifest, _uri(path)).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"), "warc-result")
 
 
 def _uri(path: str) -> str:

@@ -24,6 +24,31 @@ def test_pages_come_back(spark):
     assert sorted(((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in got), key=str) == want
 
 
+def test_attempts_share_no_names(spark):
+    """Two runs of the same tasks into one folder: manifests own their files; the rest goes."""
+    df = spark.createDataFrame([(i, "u", f"page {i} " * 300, None) for i in range(8)], SCHEMA)
+    uri = W._uri(C.fresh_path(spark, "warc-twice"))
+    lost, kept = (W.write_archives(df, uri) for _ in range(2))
+    paths = [{r["path"] for r in m.collect()} for m in (lost, kept)]
+    assert not paths[0] & paths[1]
+    assert W.sweep(kept, uri) == 2 * len(paths[0]) and W.sweep(kept, uri) == 0
+    assert sorted(r["page_id"] for r in W.read_archives(kept, uri).collect()) == list(range(8))
+
+
+def test_record_ids(spark):
+    rows = [(1, "u", "a" * 2000, None), (1, "u", "b" * 2000, None), (2, "u", "a" * 2000, None)]
+    uri = W._uri(C.fresh_path(spark, "warc-ids"))
+    manifest = W.write_archives(spark.createDataFrame(rows, SCHEMA), uri).collect()
+    heads = []
+    for m in manifest:
+        for raw in W.records(W.inflated(open(m["path"], "rb"))):
+            heads.append(W.parse(raw)[0])
+    heads = [h for h in heads if h["warc-type"] != "warcinfo"]
+    ids = [h["warc-record-id"] for h in heads]
+    assert len(set(ids)) == 3
+    assert [h["warc-refers-to"] for h in heads if h["warc-type"] == "revisit"] == [i for i in ids if i.startswith("<urn:page:2:")]
+
+
 def test_empty_table(spark):
     uri = W._uri(C.fresh_path(spark, "warc-none"))
     assert W.read_archives(W.write_archives(spark.createDataFrame([], SCHEMA), uri), uri).count() == 0
