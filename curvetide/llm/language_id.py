@@ -9,7 +9,8 @@ Training reads at most ``SAMPLE`` rows of each language (those of least hash of
 among rows that aren't held out), a documented bound; every text is scored as a whole.
 
 Edge cases: null text and text without a letter give ``und`` with score 0; rows of null
-lang teach nothing; without a learned language every text is ``und``; a single learned
+lang teach nothing; of several texts of an id in one language one teaches, that of least
+hash; without a learned language every text is ``und``; a single learned
 language is always predicted; repeated rows are scored each; null id counts as held out.
 """
 
@@ -100,12 +101,14 @@ def learn(docs: DataFrame) -> CodeModel | None:
     """Fit on a bounded sample of rows (doc_id, text, lang) that aren't held out."""
     from pyspark.sql import Window
 
-    # by parts of a language, so that no task gets a whole language
+    # by parts of a language, so that no task gets a whole language; of an id's texts in a
+    # language that of least hash teaches, so that rows are bounded, not only ids
     rank = F.row_number().over(Window.partitionBy("lang", "part").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    pool = docs.where(~C.held_out(F.col("doc_id")) & F.col("lang").isNotNull() & F.col("text").isNotNull())
-    ids = pool.select("doc_id", "lang", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(PARTS)).alias("part")).withColumn("r", rank).where(F.col("r") <= SAMPLE // PARTS).select("doc_id")
-    ids = [r[0] for r in ids.collect()]
-    rows = pool.where(F.col("doc_id").isin(ids)).select("lang", "text").mapInArrow(_features, "lang string, f binary, v binary").collect() if ids else []
+    pool = docs.where(~C.held_out(F.col("doc_id")) & F.col("lang").isNotNull() & F.col("text").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text")
+    part = F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(PARTS)).alias("part")
+    chosen = pool.select("doc_id", "lang", part).distinct().withColumn("r", rank).where(F.col("r") <= SAMPLE // PARTS).select("doc_id", "lang")
+    rows = pool.join(F.broadcast(chosen), ["doc_id", "lang"]).groupBy("doc_id", "lang").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
+    rows = rows.select("lang", "text").mapInArrow(_features, "lang string, f binary, v binary").collect()
     if not rows:
         return None
     names = sorted({r["lang"] for r in rows})

@@ -6,7 +6,8 @@ labelled rows (those of least hash of the id among rows that aren't held out), a
 bound, in an order drawn from the ids, and passes over them ``EPOCHS`` times.
 
 Edge cases: null and empty texts score by the intercept; labels of null quality teach
-nothing; a document labelled twice teaches twice; without labels every score is 0.5; null
+nothing; a document labelled twice teaches twice; of several texts of an id one teaches,
+that of least hash; without labels every score is 0.5; null
 id counts as held out.
 """
 
@@ -40,7 +41,10 @@ def learn(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, float]:
     C.need(labels, "doc_id", "quality")
     known = labels.where("quality IS NOT NULL AND doc_id IS NOT NULL").where(~C.held_out(F.col("doc_id"))).select("doc_id", F.col("quality").cast("int").alias("quality"))
     chosen = known.withColumn("key", F.xxhash64(F.lit("quality"), "doc_id")).orderBy("key", "doc_id", "quality").limit(SAMPLE)
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("key", "quality", "text").mapInArrow(_features, "key long, quality int, f binary, v binary").collect()
+    # of an id's texts that of least hash teaches, so that rows are bounded, not only ids
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(chosen.select(F.col("doc_id").cast("long").alias("doc_id")).distinct()), "doc_id")
+    texts = texts.groupBy("doc_id").agg(F.min_by(F.coalesce("text", F.lit("")), F.xxhash64("text")).alias("text"))
+    rows = texts.join(F.broadcast(chosen), "doc_id").select("key", "quality", "text").mapInArrow(_features, "key long, quality int, f binary, v binary").collect()
     model = FTRL(DIM)
     rows.sort(key=lambda r: (r["key"], r["quality"], r["f"]))
     data = [(np.frombuffer(r["f"], np.int32), np.frombuffer(r["v"], np.float32).astype(float), int(r["quality"] == 1)) for r in rows]

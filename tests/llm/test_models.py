@@ -27,6 +27,56 @@ def test_languages(spark):
     assert all(0 <= r["score"] <= 1 for r in got) and len(got) == len(rows)
 
 
+def test_languages_by_brute_force(spark):
+    """The query's decision, with n-grams, margins and losses taken one by one."""
+    rng = random.Random(4)
+    rows = [(i, text(rng, TONGUES[k], rng.randint(5, 40)), k) for i, k in enumerate(list(TONGUES) * 10)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = L.learn(df)
+    got = {r["doc_id"]: r for r in L.identify(df, model).collect()}
+
+    def slot(gram):
+        code = 0
+        for c in gram:
+            code = (code * 0x01000193 + c) % 2**32
+        x = (code + len(gram)) * 0x9E3779B1 % 2**32
+        return ((x >> 13) ^ x) % L.DIM
+
+    for i, t, _ in rows[:12]:
+        raw = [c if c > 127 else c | 32 if chr(c).isalpha() else 32 for c in (" " + t + " ").encode()]
+        counts = {}
+        for n in range(1, 5):
+            for k in range(len(raw) - n + 1):
+                f = slot(raw[k : k + n])
+                counts[f] = counts.get(f, 0) + 1
+        size = sum(counts.values()) ** 0.5
+        loss = []
+        for word in model.code:
+            margins = [sum(c**0.5 / size * float(model.w[f, b]) for f, c in counts.items()) + model.c[b] for b in range(len(word))]
+            loss.append(sum(w * np.log1p(np.exp(-m * s)) for w, m, s in zip(model.trust, margins, word)) * len(word))
+        best = min(range(len(loss)), key=loss.__getitem__)
+        p = 1 / sum(np.exp(loss[best] - x) for x in loss)
+        assert got[i]["lang_pred"] == model.names[best] and abs(got[i]["score"] - p) < 1e-4
+
+
+def test_repeated_ids_teach_once(spark):
+    rng = random.Random(9)
+    base = [(i, text(rng, TONGUES[k], 20), k) for i, k in enumerate(["en", "de"] * 30)]
+    again = [(0, text(rng, TONGUES["en"], 20), "en") for _ in range(300)] + [base[1]] * 300
+    schema = "doc_id long, text string, lang string"
+    seen = []
+    original, L.fit_bits = L.fit_bits, lambda x, *rest: seen.append(len(x)) or original(x, *rest)
+    try:
+        L.learn(spark.createDataFrame(base, schema))
+        L.learn(spark.createDataFrame(base + again, schema))
+    finally:
+        L.fit_bits = original
+    assert seen[0] == seen[1]
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(60)], "doc_id long, quality int, toxic int")
+    one, two = (Q.learn(spark.createDataFrame(r, schema), labels) for r in (base + base, base))
+    assert (one[0] == two[0]).all() and one[1] == two[1]
+
+
 def test_language_edges(spark):
     schema = "doc_id long, text string, lang string"
     empty = spark.createDataFrame([], schema)
@@ -87,6 +137,28 @@ def test_ftrl_is_logistic_regression():
     assert (strong.weights() == 0).all()
 
 
+def test_quality_by_brute_force(spark):
+    rng = random.Random(12)
+    texts = [text(rng, TONGUES["en"], 30) + (" BUY now now!!" if i % 2 else "") for i in range(40)] + ["", "The THE the"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1 - i % 2, 0) for i in range(40)], "doc_id long, quality int, toxic int")
+    w, c = Q.learn(docs, labels)
+    got = {r["doc_id"]: r["score"] for r in Q.score(docs, (w, c)).collect()}
+    for i, t in enumerate(texts):
+        counts, tokens = {}, linear._Tokens([t.encode()])
+        h = [int(x) for x in tokens.hashes()]
+        low = [bytes(tokens.raw[a:b]).lower() for a, b in zip(tokens.start, tokens.end)]
+        feats = [x % Q.DIM for x in h]
+        feats += [int(C.mix64(np.array([(b * 3 + a) % 2**64], np.uint64))[0]) % Q.DIM for a, b in zip(h, h[1:])]
+        feats += [1 for a, b in zip(low, low[1:]) if a == b]
+        feats += [2 for a, b in zip(tokens.start, tokens.end) if b - a > 1 and all(65 <= x <= 90 for x in tokens.raw[a:b])]
+        for f in feats:
+            counts[f] = counts.get(f, 0) + 1
+        size = max(sum(counts.values()) ** 0.5, 1e-12)
+        margin = sum(n**0.5 / size * float(w[f]) for f, n in counts.items()) + c
+        assert abs(got[i] - 1 / (1 + np.exp(-margin))) < 1e-6
+
+
 def test_quality(spark):
     rng = random.Random(2)
     good = [text(rng, TONGUES["en"], rng.randint(20, 200)) for _ in range(150)]
