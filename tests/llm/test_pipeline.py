@@ -33,6 +33,43 @@ def test_stages(spark, table):
     assert P.run(spark, sf).count() == seen[4].count()
 
 
+def test_stages_by_brute_force(spark, table):
+    """Each stage's rows from its own input: kept ids, cut texts, words of the mix, ids."""
+    import public_tokenizers
+    import sentencepiece
+    from pyspark.sql import functions as F
+    from test_near import brute as near
+    from test_substring import brute as cut
+
+    data, _ = rows(60)
+    sf = table(documents=spark.createDataFrame(data, "doc_id long, text string, lang string, source string, n_chars long").withColumn("at", F.expr("timestamp'2024-02-03 04:05:06.123456' + make_interval(0, 0, 0, doc_id)")))
+    docs, seen = spark.read.parquet(f"{sf}/documents.parquet"), []
+    at = {r["doc_id"]: r["at"] for r in docs.collect()}
+    for name, stage in P.STAGES:
+        docs = C.materialize(stage(spark, docs, sf), "brute-stage")
+        seen.append(docs.collect())
+    rules, apart, passages, mix, ids = seen
+    assert all(r["at"] == at[r["doc_id"]] and r["at"].microsecond == 123456 for s in seen[:4] for r in s)
+    text = {r["doc_id"]: r["text"] for r in rules}
+    assert {r["doc_id"] for r in apart} == {i for i, (_, _, kept) in near(list(text.items()), 5, 80).items() if kept}
+    want = {i: kept for i, _, _, kept in cut([(r["doc_id"], r["text"]) for r in apart])}
+    assert {r["doc_id"]: " ".join(r["text"].split()) for r in passages} == {i: t for i, t in want.items() if t}
+    words = {r["doc_id"]: r["text"].split() for r in passages}
+    sizes = {}
+    for r in passages:
+        sizes[r["source"]] = sizes.get(r["source"], 0) + len(words[r["doc_id"]])
+    got = dict.fromkeys(sizes, 0)
+    for r in mix:
+        part = iter(words[r["doc_id"]])
+        assert all(w in part for w in r["text"].split())  # words of the document, in order
+        got[r["source"]] += len(r["text"].split())
+    from test_mixing import expected_targets
+
+    assert all(abs(got[s] - t) <= 0.5 for s, t in expected_targets(sizes).items())
+    library = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    assert sorted((r["doc_id"], tuple(r["ids"])) for r in ids) == sorted((r["doc_id"], tuple(library.encode(r["text"]))) for r in mix)
+
+
 def test_empty_documents(spark, table):
     sf = table(documents=spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long"))
     assert P.run(spark, sf).count() == 0
