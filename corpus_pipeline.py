@@ -17,27 +17,34 @@ from curvetide.llm import mixing, near_dedup, quality_rules, sentencepiece_codec
 
 
 def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules keep."""
+    """Documents that the quality rules keep.  Null and empty texts go; repeated rows are
+    judged each; null lang or source is a group of its own; other columns stay."""
     return quality_rules.keep_good(docs)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: five words, similarity 0.8."""
+    """One document of each group of near duplicates: five words, similarity 0.8.  That of
+    least id stays, with all rows of that id; rows of null id stay; other columns stay."""
     return near_dedup.without_near_duplicates(docs, k=5, percent=80)
 
 
 def passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the windows of 13 words that an earlier document has."""
+    """Texts without the windows of 13 words that an earlier document has.  Rows of one id
+    and rows of null id lose nothing to each other; a row that loses every word goes; other
+    columns stay as they are (n_chars follows the text)."""
     return substring_dedup.without_repeats(docs, window=13)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mix of all sources, a row for each document and pass that takes words of it."""
+    """The mix of all sources, a row for each document and pass that takes words of it: ids
+    and other columns occur once for each pass.  Empty texts are taken in no pass; null
+    source is a source; repeated rows are documents of their own."""
     return mixing.mixed_texts(docs)
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """(doc_id, source, n_tokens, ids): the encoded mix."""
+    """(doc_id, source, n_tokens, ids): a row for each row of the mix, in any order; a null or
+    empty text has no ids."""
     import public_tokenizers
 
     out = sentencepiece_codec.encode(docs.select("doc_id", "source", "text"), public_tokenizers.path("piece_bpe_32k.model"))
