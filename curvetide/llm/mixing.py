@@ -114,11 +114,26 @@ def _feistel(x: Column, bits: Column, key: Column, rounds: int = 4) -> Column:
     return F.call_function("shiftleft", high, many).bitwiseOR(low)
 
 
-def permuted(x: Column, n: Column, key: Column) -> Column:
-    """Where a keyed permutation of 0 .. n - 1 sends x."""
+def _once(value: Column, use) -> Column:
+    """use(value), with the value computed once."""
+    return F.get(F.transform(F.array(value), use), 0)
+
+
+def permuted(x: Column, n: Column, key: Column, ahead: int = 3) -> Column:
+    """Where a keyed permutation of 0 .. n - 1 sends x.  Of the walks half end at once, and
+    half of the others at each further step; ``ahead`` steps are written out."""
     bits = _bits(n)
-    walk = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), _feistel(x, bits, key), lambda y, _: F.when(y < n, y).otherwise(_feistel(y, bits, key)))
-    return F.when(walk < n, walk).otherwise(F.raise_error(F.lit("a walk didn't end")).cast("long"))
+    turn = lambda y: _feistel(y, bits, key)
+
+    def rest(y):
+        far = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), y, lambda z, _: F.when(z < n, z).otherwise(turn(z)))
+        return _once(far, lambda z: F.when(z < n, z).otherwise(F.raise_error(F.lit("a walk didn't end")).cast("long")))
+
+    def walk(y, left):
+        more = (lambda z: walk(z, left - 1)) if left else rest
+        return F.when(y < n, y).otherwise(_once(turn(y), more))
+
+    return _once(turn(x), lambda y: walk(y, ahead))
 
 
 def _placed(docs: DataFrame, buckets: int) -> DataFrame:
@@ -207,7 +222,7 @@ def mix(docs: DataFrame, block: int = BLOCK, shard_slots: int = SHARD_SLOTS, see
     plan = C.materialize(plan.withColumns({"tag": _tag(F.col("source")), "want": F.round("target").cast("long")}), "mix-plan")
     taken = C.materialize(slots(plan.select("tag", "part", "source_size", "want"), block, shard_slots, seed), "mix-slots")
     most = totals.agg(F.max("docs")).collect()[0][0] or 0
-    buckets = max(16, -(-most // BUCKET_ROWS))
+    buckets = max(256, -(-most // BUCKET_ROWS))
     first, last = F.floor(F.col("start") / block), F.floor((F.col("start") + F.col("size") - 1) / block)
     parts = _placed(sized, buckets).withColumn("block", F.explode_outer(F.when(F.col("size") > 0, F.sequence(first, last))))
     lo, hi = F.greatest("start", F.col("block") * block), F.least(F.col("start") + F.col("size"), F.col("block") * block + F.col("words"))
