@@ -409,9 +409,9 @@ q(None, "sketch_hadamard_block")(_other(lambda df: sketch.hadamard(df, 64, 64, 4
 
 # ------------------------------------------------------------------ codes
 def _ranked(spark, sf):
-    """Embeddings ranked by id, and their number.  (A global rank, for this small table.)"""
+    """Embeddings ranked by id, and their number."""
     d = design.embeddings(spark, sf).df
-    return d.select((F.row_number().over(Window.orderBy("row_id")) - 1).alias("rank"), "row_id", "x"), d.count()
+    return coding.ranked(d.select("row_id", "x"), "row_id").select("rank", "row_id", "x"), d.count()
 
 
 _GRID = f"""{emb()}, k AS (SELECT row_id, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM e), z AS (SELECT greatest(1, ceil(count(*) / 9.0))::BIGINT AS size FROM e),
@@ -475,24 +475,26 @@ def blocks_surviving_anti(spark, sf):
     return g.join(spark.createDataFrame(sorted(ERASED), "r long, c long"), ["r", "c"], "left_anti")
 
 
-@q(f"{margin()}, k AS (SELECT row_id, t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT (count(*) // 2)::BIGINT AS half FROM m) SELECT rank % half AS offset_, round(t, 6) + 0.0 AS alpha FROM k, h WHERE rank < half")
+@q(f"{margin()}, k AS (SELECT row_id, t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT ceil(count(*) / 2.0)::BIGINT AS half FROM m) SELECT rank % half AS offset_, round(t, 6) + 0.0 AS alpha FROM k, h WHERE rank < half")
 def coded_single_parity(spark, sf):
-    """Two halves and their sum: the first half's product from the other two results."""
+    """Two halves and their sum: the first half's product from the other two results.  A last
+    half that is a row short counts as ending in zeros."""
     rows, n = _ranked(spark, sf)
-    half = n // 2
-    part = rows.where(F.col("rank") < 2 * half).select(F.floor(F.col("rank") / half).cast("int").alias("part"), (F.col("rank") % half).alias("offset"), F.posexplode("x").alias("i", "v"))
+    half = max(1, -(-n // 2))
+    part = rows.select(F.floor(F.col("rank") / half).cast("int").alias("part"), (F.col("rank") % half).alias("offset"), F.posexplode("x").alias("i", "v"))
     coded = part.unionByName(part.groupBy("offset", "i").agg(F.sum("v").alias("v")).withColumn("part", F.lit(2)))
     w = spark.createDataFrame([(i, x) for i, x in enumerate(w_fix(64))], "i int, w double")
     y = coded.join(F.broadcast(w), "i").where("part <> 0").groupBy("part", "offset").agg(F.sum(F.col("v") * F.col("w")).alias("y"))
     return rounded(y.groupBy(F.col("offset").alias("offset_")).agg(F.sum(F.when(F.col("part") == 2, F.col("y")).otherwise(-F.col("y"))).alias("alpha")), "alpha")
 
 
-@q(f"{margin()}, k AS (SELECT row_id, t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT (count(*) // 4)::BIGINT AS n FROM m) SELECT rank // n AS part, rank % n AS offset_, round(t, 6) + 0.0 AS alpha FROM k, h WHERE rank < 4 * n")
+@q(f"{margin()}, k AS (SELECT row_id, t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT ceil(count(*) / 4.0)::BIGINT AS n FROM m), z AS (SELECT p AS part, o AS offset_ FROM h, range(0, 4) a(p), unnest(range(0, n)) b(o)) SELECT z.part, z.offset_, round(coalesce(t, 0), 6) + 0.0 AS alpha FROM z CROSS JOIN h LEFT JOIN k ON k.rank = z.part * h.n + z.offset_")
 def mds_decode(spark, sf):
-    """Any four of six coded parts give the product; here parts 1, 3, 4 and 5."""
+    """Any four of six coded parts give the product; here parts 1, 3, 4 and 5.  Rows missing
+    from the last part are zeros."""
     rows, n = _ranked(spark, sf)
-    size = n // 4
-    part = rows.where(F.col("rank") < 4 * size).select(F.floor(F.col("rank") / size).cast("int").alias("part"), (F.col("rank") % size).alias("offset"), F.posexplode("x").alias("i", "v"))
+    size = max(1, -(-n // 4))
+    part = rows.select(F.floor(F.col("rank") / size).cast("int").alias("part"), (F.col("rank") % size).alias("offset"), F.posexplode("x").alias("i", "v"))
     w = spark.createDataFrame([(i, x) for i, x in enumerate(w_fix(64))], "i int, w double")
     y = coding.mds_encode(part, 4, 2).join(F.broadcast(w), "i").groupBy("part", "offset").agg(F.sum(F.col("v") * F.col("w")).alias("y"))
     out = coding.mds_decode(y.where("part IN (1, 3, 4, 5)"), 4, 2, [1, 3, 4, 5])

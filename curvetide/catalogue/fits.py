@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from ..functions.hashing import coefficients, hash_sql
+from ..operators import sketch
 from ..operators.sketch import BlockSketch
 from ..plans import optimise, workloads
-from ..plans.problems import Logistic
+from ..plans.coded import CodedPair
+from ..plans.problems import Logistic, Softmax
 from ..sources import design
-from .base import Registry, rounded
+from .base import Registry, rounded, w_fix
+from .core import QUERIES as CORE
 
 QUERIES = Registry()
 q = QUERIES.add
@@ -78,8 +82,6 @@ SKETCH = BlockSketch(8, 2, 8, 4)
 
 
 def _used(it):
-    import numpy as np
-
     s = SKETCH.fresh(it)
     t = optimise.FUNCTIONS.model.draw(s.blocks, it, 5)
     return s, sorted(np.argsort(t, kind="stable")[: s.n].tolist())
@@ -92,11 +94,15 @@ def _sketched(k):
     return [_root(k), sums, f"h{k} AS (SELECT sum(a * a) / {s.n}.0 / n AS h11, sum(a * b) / {s.n}.0 / n AS h12, sum(b * b) / {s.n}.0 / n AS h22 FROM s{k}, (SELECT count(*) AS n FROM e) GROUP BY n)"]
 
 
-def _newton_2d(sketch):
+def _newton_2d(sketch, coded=False):
     def run(spark, sf):
         d = design.DesignMatrix(design.embeddings(spark, sf).head(2).df.cache(), 2)
-        fits = [optimise.newton(d, Logistic(LAM), sketch=sketch, iters=k, tol=0.0, guard=False).w for k in range(6)]
+        pair = CodedPair.encode(d, 3, 1) if coded else None
+        trace = optimise.newton(d, Logistic(LAM), sketch=sketch, iters=5, tol=0.0, guard=False, coded=pair).trace
+        fits = [t["w"] for t in trace]
         d.df.unpersist()
+        if pair:
+            pair.release()
         return _iterates(spark, lambda k: fits[k], 5, 2)
 
     return run
@@ -104,21 +110,80 @@ def _newton_2d(sketch):
 
 q(_unrolled(_exact, 5), "logistic_exact_newton_2d")(_newton_2d(None))
 q(_unrolled(_sketched, 5), "logistic_fit_2d")(_newton_2d(SKETCH))
+q(_unrolled(_sketched, 5), "logistic_fit_coded_2d")(_newton_2d(SKETCH, coded=True))
+
+
+@q(CORE["logistic_gradient"][1])
+def coded_gradient(spark, sf):
+    """The gradient by two coded rounds, each without the blocks that come last."""
+    pair = CodedPair.encode(design.embeddings(spark, sf), 3, 3)
+    g = pair.evaluate(Logistic(LAM), np.array(w_fix(64)), it=4).gradient
+    pair.release()
+    return rounded(spark.createDataFrame([(i, float(v)) for i, v in enumerate(g)], "i long, g double"), "g")
+
+
+@q(CORE["logistic_gradient"][1])
+def gradient_code_in_a_fit(spark, sf):
+    """The gradient that a gradient-coded fit decodes: 12 workers, the three slowest lost."""
+    d, workers = design.embeddings(spark, sf), 12
+    g = optimise.coded_gradient(d, Logistic(LAM), np.array(w_fix(64)), workers, 3, optimise._worker(workers), optimise.FUNCTIONS.model.draw(workers, 2, 0))
+    return rounded(spark.createDataFrame([(i, float(v)) for i, v in enumerate(g)], "i long, g double"), "g")
+
+
+_RAN = f"a AS (SELECT vec_id AS id, label, [embedding[1]::DOUBLE, embedding[2]::DOUBLE] AS x FROM embeddings), z AS (SELECT id, x, k, exp(x[1] * ((2 * k * 7 + 3) % 11 - 5) / 10.0 + x[2] * (((2 * k + 1) * 7 + 3) % 11 - 5) / 10.0) AS e FROM a, range(0, 10) c(k))"
+_RAN += ", p AS (SELECT id, x, k, e / sum(e) OVER (PARTITION BY id) AS p FROM z)"
+_RAN += ", r AS (SELECT s.id, s.k AS s, t.k * 2 + f.f AS i, sqrt(s.p) * ((s.k = t.k)::INT - t.p) * s.x[f.f + 1] AS v FROM p s JOIN p t ON s.id = t.id, range(0, 2) f(f))"
+
+
+@q(f"WITH {_RAN} SELECT u.i, v.i AS j, round(sum(u.v * v.v), 6) + 0.0 AS h FROM r u JOIN r v ON u.id = v.id AND u.s = v.s AND u.i <= v.i GROUP BY ALL")
+def softmax_root_gram(spark, sf):
+    """Gram matrix of the softmax root rows (ten for each example, ten classes, two
+    coordinates): the Hessian that a sketch of these rows approximates."""
+    d = design.embeddings_multi(spark, sf).head(2)
+    w = np.array(w_fix(20))
+    root = optimise.root_rows(d, Softmax(10), w)
+    h = sketch.gram_exact(root, 20)
+    rows = [(i, j, float(h[i, j])) for i in range(20) for j in range(i, 20)]
+    return rounded(spark.createDataFrame(rows, "i long, j long, h double"), "h")
+
+
+@q(_unrolled(_sketched, 1).split(" SELECT 0::BIGINT AS it")[0] + """ SELECT 'a' AS k, round(h11, 6) + 0.0 AS h FROM h0 UNION ALL SELECT 'b', round(h12, 6) + 0.0 FROM h0 UNION ALL SELECT 'c', round(h22, 6) + 0.0 FROM h0""")
+def sketched_hessian_tiles(spark, sf):
+    """The sketched Hessian by distributed tiles of one column each, two blocks at a time."""
+    d = design.embeddings(spark, sf).head(2)
+    s, used = _used(0)
+    h = optimise.tiled_hessian(d, Logistic(0.0), np.zeros(2), s, used, float(d.df.count()), tile=1)
+    return rounded(spark.createDataFrame([("a", float(h[0, 0])), ("b", float(h[0, 1])), ("c", float(h[1, 1]))], "k string, h double"), "h")
 
 _LOCAL = f"""WITH {_E2}, p AS (SELECT a, y, 1 / (1 + exp(-0.3 * a)) AS s, {hash_sql('id', coefficients(97))} % 4 AS worker FROM e), g AS (SELECT avg(a * -y / (1 + exp(y * 0.3 * a))) + {LAM} * 0.3 AS g FROM p)
 SELECT worker::BIGINT AS worker, count(*) AS n, round(-any_value(g) / (avg(a * a * s * (1 - s)) + {LAM}), 6) + 0.0 AS p1 FROM p, g GROUP BY worker"""
 
 
+_LOCAL2 = f"""WITH {_E2}, p AS (SELECT a, b, y, 1 / (1 + exp(-(0.3 * a - 0.2 * b))) AS s, {hash_sql('id', coefficients(97))} % 4 AS worker FROM e),
+g AS (SELECT avg(a * -y / (1 + exp(y * (0.3 * a - 0.2 * b)))) + {LAM} * 0.3 AS g1, avg(b * -y / (1 + exp(y * (0.3 * a - 0.2 * b)))) - {LAM} * 0.2 AS g2 FROM p),
+h AS (SELECT worker, count(*) AS n, avg(a * a * s * (1 - s)) + {LAM} AS h11, avg(a * b * s * (1 - s)) AS h12, avg(b * b * s * (1 - s)) + {LAM} AS h22 FROM p GROUP BY worker)
+SELECT worker::BIGINT AS worker, n, round(-(h22 * g1 - h12 * g2) / (h11 * h22 - h12 * h12), 6) + 0.0 AS p1, round(-(h11 * g2 - h12 * g1) / (h11 * h22 - h12 * h12), 6) + 0.0 AS p2 FROM h, g"""
+
+
+@q(_LOCAL2)
+def local_newton_shards_2d(spark, sf):
+    """Each of four workers' own Newton direction on two coordinates."""
+    d, w = design.embeddings(spark, sf).head(2), np.array([0.3, -0.2])
+    g = optimise.scan(d, Logistic(LAM), (), [w]).gradients[0]
+    rows = optimise.local_directions(optimise.by_worker(d, 4), 2, Logistic(LAM), w, g, 4).collect()
+    out = [(r["worker"], r["n"], *map(float, np.frombuffer(r["v"], np.float64))) for r in rows]
+    return rounded(spark.createDataFrame(out, "worker long, n long, p1 double, p2 double"), "p1", "p2")
+
+
 @q(_LOCAL)
 def local_newton_shards_1d(spark, sf):
     """Each of four workers' own Newton direction on one coordinate."""
-    import numpy as np
     import pyarrow as pa
 
     d = design.embeddings(spark, sf).head(1)
     w = np.array([0.3])
     g = optimise.scan(d, Logistic(LAM), (), [w]).gradients[0]
-    rows = optimise.local_directions(d, Logistic(LAM), w, g, 4)
+    rows = optimise.local_directions(optimise.by_worker(d, 4), 1, Logistic(LAM), w, g, 4)
 
     def unpack(batches):
         for b in batches:
@@ -130,10 +195,13 @@ def local_newton_shards_1d(spark, sf):
 
 @q(None)
 def logistic_sketched_fit(spark, sf):
-    """A sketched fit on all 64 coordinates: its trace.  Gradients come from an uncoded scan;
-    the code of the gradient counts in simulated seconds only."""
+    """The whole method on all 64 coordinates: data encoded once, gradients by two coded
+    rounds that wait for no slow block, sketched Hessians from any N blocks; its trace."""
     d = design.embeddings(spark, sf)
-    fit = optimise.sketched_newton(design.DesignMatrix(d.df.cache(), 64), Logistic(LAM), BlockSketch.of(640, 64, 0.2), iters=6)
+    d = design.DesignMatrix(d.df.cache(), 64)
+    pair = CodedPair.encode(d)
+    fit = optimise.sketched_newton(d, Logistic(LAM), BlockSketch.of(640, 64, 0.2), iters=6, coded=pair)
+    pair.release()
     from ..sources.tables import trace_frame
 
     return trace_frame(spark, fit.rows("logistic"))

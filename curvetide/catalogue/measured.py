@@ -33,13 +33,14 @@ def workload_w10(spark, sf):
     return rounded(out, "g")
 
 
-@q(f"{margin()}, k AS (SELECT t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT (count(*) // 2)::BIGINT AS half FROM m) SELECT l.w AS lost, rank // half AS part, rank % half AS offset_, round(t, 6) + 0.0 AS alpha FROM k, h, range(0, 3) l(w) WHERE rank < 2 * half")
+@q(f"{margin()}, k AS (SELECT t, row_number() OVER (ORDER BY row_id) - 1 AS rank FROM m), h AS (SELECT ceil(count(*) / 2.0)::BIGINT AS half FROM m), z AS (SELECT p AS part, o AS offset_ FROM h, range(0, 2) a(p), unnest(range(0, half)) b(o)) SELECT l.w AS lost, z.part, z.offset_, round(coalesce(t, 0), 6) + 0.0 AS alpha FROM z CROSS JOIN h CROSS JOIN range(0, 3) l(w) LEFT JOIN k ON k.rank = z.part * h.half + z.offset_")
 def workload_w11(spark, sf):
-    """Three workers hold two halves and their sum: any two of them give the product."""
+    """Three workers hold two halves and their sum: any two of them give the product.  A last
+    half that is a row short ends in a row of zeros."""
     rows, n = _ranked(spark, sf)
-    half = n // 2
-    x = F.transform("x", lambda v: v)
-    part = rows.where(F.col("rank") < 2 * half).select(F.floor(F.col("rank") / half).cast("long").alias("part"), (F.col("rank") % half).alias("offset_"), x.alias("x"))
+    half = max(1, -(-n // 2))
+    pad = spark.range(n, 2 * half).select(F.col("id").alias("rank"), F.array_repeat(F.lit(0.0), 64).alias("x"))
+    part = rows.select("rank", "x").unionByName(pad).select(F.floor(F.col("rank") / half).cast("long").alias("part"), (F.col("rank") % half).alias("offset_"), "x")
     parity = part.groupBy("offset_").agg(F.max_by("x", -F.col("part")).alias("a"), F.max_by("x", "part").alias("b"))
     parity = parity.select(F.lit(2).cast("long").alias("part"), "offset_", F.zip_with("a", "b", lambda a, b: a + b).alias("x"))
     y = part.unionByName(parity).select("part", "offset_", X.dot(F.col("x"), X.weights(w_fix(64))).alias("y"))

@@ -7,7 +7,7 @@ import math
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import columns as X
@@ -39,35 +39,94 @@ class ProductCode:
 
     @staticmethod
     def parities(data: DataFrame, g: int) -> DataFrame:
-        """Row, column and corner parities by one unfolding to the four roles of a row."""
-        long = data.select("r", "c", "offset", F.posexplode("x").alias("i", "v"))
-        role = F.explode(F.array(F.struct(F.col("r").alias("pr"), F.lit(g).alias("pc")), F.struct(F.lit(g).alias("pr"), F.col("c").alias("pc")), F.struct(F.lit(g).alias("pr"), F.lit(g).alias("pc"))))
-        sums = long.withColumn("_p", role).groupBy("_p.pr", "_p.pc", "offset", "i").agg(F.sum("v").alias("v"))
-        packed = sums.groupBy("pr", "pc", "offset").agg(F.sort_array(F.collect_list(F.struct("i", "v"))).alias("p"))
-        return packed.select(F.col("pr").alias("r"), F.col("pc").alias("c"), "offset", F.lit(None).cast("long").alias("row_id"), F.transform("p", lambda t: t["v"]).alias("x"))
+        """Row and column parities, a group of at most g vectors each; the corner from the
+        row parities."""
+        line = F.explode(F.array(F.struct(F.col("r").alias("pr"), F.lit(g).alias("pc")), F.struct(F.lit(g).alias("pr"), F.col("c").alias("pc"))))
+        sums = data.select(line.alias("_p"), "offset", "x").groupBy("_p.pr", "_p.pc", "offset").agg(_array_sum("x").alias("x"))
+        corner = sums.where(F.col("pc") == g).groupBy("offset").agg(_array_sum("x").alias("x")).select(F.lit(g).alias("pr"), F.lit(g).alias("pc"), "offset", "x")
+        every = sums.unionByName(corner)
+        return every.select(F.col("pr").alias("r"), F.col("pc").alias("c"), "offset", F.lit(None).cast("long").alias("row_id"), "x")
 
     def products(self, x) -> DataFrame:
         """(r, c, offset, row_id, y): every block times the vector."""
         return self.blocks.select("r", "c", "offset", "row_id", X.dot(F.col("x"), X.weights(x)).alias("y"))
 
     def decode(self, products: DataFrame, erased: set[tuple[int, int]]) -> DataFrame:
-        """(row_id or place, y) of the data blocks from the products that arrived."""
-        plan = peel(erased, self.g)
-        if plan is None:
-            raise ValueError("these blocks can't be decoded")
-        lost = products.sparkSession.createDataFrame([(r, c) for r, c in erased] or [(-1, -1)], "r int, c int")
-        have = products.join(F.broadcast(lost), ["r", "c"], "left_anti").select("r", "c", "offset", "y")
-        for (r, c), line in plan:
-            # a line's parity is the sum of its data blocks, so all its blocks but the
-            # missing one give that one; lines of parities sum to the corner likewise
-            on = (F.col("r") == r) if line == "row" else (F.col("c") == c)
-            at_end = (F.col("c") == self.g) if line == "row" else (F.col("r") == self.g)
-            lost_is_parity = (c if line == "row" else r) == self.g
-            term = F.col("y") if lost_is_parity else F.when(at_end, F.col("y")).otherwise(-F.col("y"))
-            got = have.where(on).groupBy("offset").agg(F.sum(term).alias("y"))
-            have = have.unionByName(got.select(F.lit(r).alias("r"), F.lit(c).alias("c"), "offset", "y"))
-        ids = self.blocks.where("row_id IS NOT NULL").select("r", "c", "offset", "row_id")
-        return ids.join(have, ["r", "c", "offset"]).select("row_id", "y")
+        """(row_id, y) of the data blocks from the products that arrived, in one pass: each
+        lost data block is a signed sum of blocks that arrived."""
+        plan = combinations(erased, self.g)
+        spark = products.sparkSession
+        data = products.where((F.col("r") < self.g) & (F.col("c") < self.g) & F.col("row_id").isNotNull())
+        gone = [(r, c) for r, c in erased]
+        lost = spark.createDataFrame(gone or [(-1, -1)], "r int, c int")
+        here = data.join(F.broadcast(lost), ["r", "c"], "left_anti").select("row_id", "y")
+        terms = [(r, c, tr, tc, float(v)) for (tr, tc), of in plan.items() if tr < self.g and tc < self.g for (r, c), v in of.items()]
+        if not terms:
+            return here
+        table = spark.createDataFrame(terms, "r int, c int, tr int, tc int, coef double")
+        found = products.join(F.broadcast(table), ["r", "c"]).groupBy("tr", "tc", "offset").agg(F.sum(F.col("coef") * F.col("y")).alias("y"))
+        ids = self.blocks.where("row_id IS NOT NULL").select("r", "c", "offset", "row_id").join(F.broadcast(lost), ["r", "c"], "left_semi")
+        return here.unionByName(ids.join(found.withColumnsRenamed({"tr": "r", "tc": "c"}), ["r", "c", "offset"]).select("row_id", "y"))
+
+
+def _array_sum(column: str):
+    """The sum of a group's arrays, entry by entry; for groups of bounded size."""
+    every = F.collect_list(column)
+    return F.aggregate(F.slice(every, 2, F.greatest(F.size(every) - 1, F.lit(0))), F.get(every, 0), lambda a, x: F.zip_with(a, x, lambda u, v: u + v))
+
+
+def placed(df: DataFrame, g: int, per: int = 50_000) -> tuple[DataFrame, int]:
+    """Adds (r, c, offset) to rows with a ``row_id``: blocks dealt by hash, and in each the
+    place within one of its parts of about ``per`` rows.  No window holds more than a part."""
+    n = df.count()
+    parts = max(1, math.ceil(n / (g * g * per)))
+    block = F.pmod(F.xxhash64("row_id", F.lit("block")), F.lit(g * g))
+    rows = df.withColumns({"_block": block, "_part": F.pmod(F.xxhash64("row_id", F.lit("part")), F.lit(parts))})
+    rows = rows.withColumn("_at", F.row_number().over(Window.partitionBy("_block", "_part").orderBy("row_id")) - 1)
+    stride = (rows.agg(F.max("_at")).collect()[0][0] or 0) + 1
+    out = rows.withColumns({"r": F.floor(F.col("_block") / g).cast("int"), "c": (F.col("_block") % g).cast("int"), "offset": F.col("_part") * stride + F.col("_at")})
+    return out.drop("_block", "_part", "_at"), parts * stride
+
+
+def ranked(df: DataFrame, key: str) -> DataFrame:
+    """Adds ``rank``, 0 .. n - 1 in the order of ``key``: ranges of keys, the sizes of the
+    ranges before, and the place within a range."""
+    rows = df.repartitionByRange(key).withColumn("_range", F.spark_partition_id()).persist()
+    sizes = rows.groupBy("_range").count()
+    before = sizes.select("_range", F.coalesce(F.sum("count").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_base"))
+    place = F.row_number().over(Window.partitionBy("_range").orderBy(key)) - 1
+    return rows.join(F.broadcast(before), "_range").withColumn("rank", place + F.col("_base")).drop("_range", "_base")
+
+
+def combinations(erased: set[tuple[int, int]], g: int) -> dict[tuple[int, int], dict[tuple[int, int], float]]:
+    """Each erased block as a signed sum of blocks that arrived, along the peeling order.
+
+    A line's parity is the sum of its data blocks, and lines of parities sum to the corner
+    likewise; so all blocks of a line but one give that one."""
+    plan = peel(erased, g)
+    if plan is None:
+        raise ValueError("these blocks can't be decoded")
+    known: dict[tuple[int, int], dict[tuple[int, int], float]] = {}
+    for (r, c), line in plan:
+        cells = [(r, k) for k in range(g + 1) if k != c] if line == "row" else [(k, c) for k in range(g + 1) if k != r]
+        end = c if line == "row" else r
+        total: dict[tuple[int, int], float] = {}
+        for cell in cells:
+            at = cell[1] if line == "row" else cell[0]
+            sign = 1.0 if end == g or at == g else -1.0
+            for source, v in known.get(cell, {cell: 1.0}).items():
+                total[source] = total.get(source, 0.0) + sign * v
+        known[r, c] = {k: v for k, v in total.items() if v}
+    return known
+
+
+def arrived(times: np.ndarray, g: int) -> tuple[set[tuple[int, int]], float]:
+    """Of (g + 1)^2 blocks the ones that needn't be waited for, and when the others are
+    there: blocks are awaited, in the order of their times, until the rest can be peeled."""
+    cells = [(i // (g + 1), i % (g + 1)) for i in range((g + 1) ** 2)]
+    order = np.argsort(times[: len(cells)], kind="stable")
+    k = wait_set([cells[i] for i in order], g)
+    return {cells[i] for i in order[k:]}, float(times[order[k - 1]])
 
 
 def peel(erased: set[tuple[int, int]], g: int) -> list | None:

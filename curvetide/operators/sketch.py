@@ -130,9 +130,13 @@ def gram_tiles(sketched: DataFrame, d: int, tile: int, need: int, arrivals: Data
 
     def cut(batches):
         for batch in batches:
-            for k, b, raw in zip(*(batch.column(c).to_pylist() for c in ("block", "bucket", "v"))):
-                v = np.frombuffer(raw, np.float64)
-                yield pa.record_batch([pa.array([k] * len(cuts), pa.int32()), pa.array([b] * len(cuts), pa.int32()), pa.array([c for c, _, _ in cuts], pa.int32()), pa.array([pack(v[lo:hi]) for _, lo, hi in cuts], pa.binary())], names=["block", "bucket", "ci", "v"])
+            if not batch.num_rows:
+                continue
+            v = np.frombuffer(b"".join(batch.column("v").to_pylist()), np.float64).reshape(batch.num_rows, d)
+            parts = [np.ascontiguousarray(v[:, lo:hi]) for _, lo, hi in cuts]
+            index = pa.array(np.tile(np.arange(batch.num_rows), len(cuts)))
+            ci = pa.array(np.repeat(np.arange(len(cuts), dtype=np.int32), batch.num_rows))
+            yield pa.record_batch([batch.column("block").take(index), batch.column("bucket").take(index), ci, pa.array([row.tobytes() for p in parts for row in p], pa.binary())], names=["block", "bucket", "ci", "v"])
 
     def product(table: pa.Table) -> pa.Table:
         stack = lambda c: np.stack([np.frombuffer(x, np.float64) for x in table.column(c).to_pylist()])

@@ -12,11 +12,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import coefficients, hash_col, hash_np
-from ..operators.sketch import BlockSketch
+from ..operators.sketch import BlockSketch, assemble, gram_tiles
 from ..operators.vectors import matrix, pack, sum_packed
 from ..sources.design import DesignMatrix
 from ..sources.tables import load_vector, save_vector, trace_frame
 from .arrivals import FUNCTIONS, AnyN, ClusterProfile, CodedGrid, GradientCode, IgnoreStragglers, Speculative, WaitAll
+from .coded import CodedPair, coded_gradient
 from .problems import Problem
 from .solve import pinv_solve, solve_spd
 
@@ -114,6 +115,32 @@ def sketched_hessian(s: Scan, problem: Problem, w: np.ndarray, used: list[int])
     return a.T @ a * (scale / len(used)) + problem.reg_hessian(w)
 
 
+def root_rows(data: DesignMatrix, problem: Problem, w: np.ndarray) -> DataFrame:
+    """(row_id, x): the rows of the Hessian's root, with ids of their own."""
+    d, size = data.d, problem.width(data.d)
+
+    def run(batches):
+        for batch in batches:
+            x, y, ids = matrix(batch.column("x"), d), batch.column("y").to_numpy(), batch.column("row_id").to_numpy()
+            for lo in range(0, len(y), 512):
+                a = problem.root(x[lo : lo + 512], y[lo : lo + 512], w)
+                k = len(a) // max(1, len(y[lo : lo + 512]))
+                key = np.repeat(ids[lo : lo + 512], k) * k + np.tile(np.arange(k), len(ids[lo : lo + 512])) if k > 1 else ids[lo : lo + 512]
+                rows = pa.ListArray.from_arrays(pa.array(np.arange(len(a) + 1) * size, pa.int32()), pa.array(np.ascontiguousarray(a).reshape(-1)))
+                yield pa.record_batch([pa.array(key), rows], names=["row_id", "x"])
+
+    return data.df.select("row_id", F.col("y").cast("double").alias("y"), "x").mapInArrow(run, "row_id long, x array<double>")
+
+
+def tiled_hessian(data: DesignMatrix, problem: Problem, w: np.ndarray, sketch: BlockSketch, used: list[int], n: float, tile: int = 256, group: int = 2) -> np.ndarray:
+    """The sketched Hessian by distributed tiles: blocks are sketched ``group`` at a time, each
+    tile of each block is one product, and only the summed tiles reach the driver."""
+    size = problem.width(data.d)
+    sketched = sketch.apply_arrow(root_rows(data, problem, w), size, blocks=used, group=group)
+    h = assemble(gram_tiles(sketched, size, min(tile, size), len(used)).collect(), size, min(tile, size), len(used))
+    return h * (1.0 / max(n, 1) if problem.mean else 1.0) + problem.reg_hessian(w)
+
+
 # ------------------------------------------------------------------ step rules
 GRID = tuple(4.0**-k for k in range(6))
 
@@ -248,14 +275,16 @@ class _Run:
 
 
 # ------------------------------------------------------------------ Newton methods
-def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch | None = None, step=None, iters: int = 8, tol: float = 1e-10, rcond: float = 1e-8, grad_policy=None, hess_policy=None, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, hess_workers: int | None = None, schedule=None, guard: bool = True, fresh: bool = True) -> FitResult:
+def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch | None = None, step=None, iters: int = 8, tol: float = 1e-10, rcond: float = 1e-8, grad_policy=None, hess_policy=None, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, hess_workers: int | None = None, schedule=None, guard: bool = True, fresh: bool = True, coded: CodedPair | None = None, fan: int = 0, driver_bytes: int = 256 << 20) -> FitResult:
     """Newton steps with the exact Hessian (``sketch`` None) or a sketched one.
 
     The gradient is exact.  Of the sketch's N + e blocks the first N to arrive in the
     simulated round are used.  Weakly convex problems take the pseudo-inverse and the
     gradient-norm rule.  A sketch is drawn anew each iteration (``fresh``); ``schedule``
     maps the iteration to a growth factor.  With ``guard`` two rises of the loss in a row
-    switch unit steps to a line search."""
+    switch unit steps to a line search.  With ``coded`` losses, gradients and sketches come
+    from the two coded rounds over the encoded data, whose waiting times count.  Sketches of
+    over ``driver_bytes`` aren't collected: their Gram matrix is summed by distributed tiles."""
     weak = problem.convexity == "weak"
     step = step or (ArmijoGrad() if weak else UnitStep())
     grad_policy = grad_policy or (CodedGrid() if sketch else Speculative())
@@ -267,7 +296,15 @@ def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch |
         if sketch is not None:
             now = sketch.fresh(it) if fresh else sketch
             now = now.grown(schedule(it)) if schedule else now
-        s = scan(data, problem, [w], [w], w if it < iters else None, now)
+        large = now is not None and 8 * now.blocks * now.width * len(w) > driver_bytes
+        ride = None if large or it == iters else now
+        if coded is not None:
+            r = coded.evaluate(problem, w, it, profile.model, ride, fan=fan)
+            s = Scan(r.n, np.array([r.loss]), gradients=r.gradient[None], rows=r.rows, block_of=r.block_of)
+            if sketch is None and it < iters:
+                s.gram = scan(data, problem, hessian_at=w, fan=fan).gram
+        else:
+            s = scan(data, problem, [w], [w], w if it < iters and not large else None, ride, fan=fan)
         g, loss = s.gradients[0], s.losses[0]
         rises = rises + 1 if loss > last else 0
         last = loss
@@ -279,9 +316,13 @@ def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch |
         else:
             t = profile.model.draw(now.blocks, it, 5)
             used = sorted(np.argsort(t, kind="stable")[: now.n].tolist())
-            h, policy = sketched_hessian(s, problem, w, used), hess_policy or AnyN(now.n, now.spare)
+            h = tiled_hessian(data, problem, w, now, used, s.n) if large else sketched_hessian(s, problem, w, used)
+            policy = hess_policy or AnyN(now.n, now.spare)
         p = -(pinv_solve(h, g, rcond) if weak else solve_spd(h, g))
-        run.sim += profile.round(grad_policy, n_workers, it, 0, 8 * len(w) * n_workers) + profile.round(grad_policy, n_workers, it, 1)
+        if coded is not None:
+            run.sim += sum(profile.start + profile.unit * t for t in r.waited) + profile.per_gb * 8 * len(w) * n_workers / 1e9
+        else:
+            run.sim += profile.round(grad_policy, n_workers, it, 0, 8 * len(w) * n_workers) + profile.round(grad_policy, n_workers, it, 1)
         run.sim += profile.round(policy, hess_workers, it, 2, 8 * len(w) ** 2)
         note = ""
         rule = step
@@ -310,8 +351,7 @@ def _survivors(data: DesignMatrix, policy, n_workers: int, profile, it: int) ->
         return data
     keep = policy.survivors(profile.model.draw(n_workers, it, 0))
     live = [int(i) for i in np.flatnonzero(keep)]
-    worker = F.pmod(hash_col(F.col("row_id"), coefficients(97)), F.lit(n_workers))
-    return DesignMatrix(data.df.where(worker.isin(live)), data.d, data.classes)
+    return DesignMatrix(data.df.where(_worker(n_workers).isin(live)), data.d, data.classes)
 
 
 def first_order(data, problem, w0=None, momentum: bool = False, fraction: float = 1.0, policy=None, rule=None, start: float = 64.0, iters: int = 20, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, scheme: str = "") -> FitResult:
@@ -355,46 +395,79 @@ def sgd(data, problem, fraction: float = 0.2, **kw) -> FitResult:
 
 
 # ------------------------------------------------------------------ averaged local Newton
-def local_directions(data: DesignMatrix, problem: Problem, w: np.ndarray, g: np.ndarray, n_workers: int) -> DataFrame:
-    """(worker, n, v packed): the solution of each worker's own Hessian for the gradient."""
-    d = data.d
+def _worker(n_workers: int):
+    return F.pmod(hash_col(F.col("row_id"), coefficients(97)), F.lit(n_workers)).cast("int")
+
+
+def by_worker(data: DesignMatrix, n_workers: int) -> DataFrame:
+    """(worker, y, x) with the rows of a worker one behind the other in one partition; laid
+    out once for all iterations."""
+    rows = data.df.select(_worker(n_workers).alias("worker"), F.col("y").cast("double").alias("y"), "x")
+    return rows.repartition("worker").sortWithinPartitions("worker")
+
+
+def local_directions(laid: DataFrame, d: int, problem: Problem, w: np.ndarray, g: np.ndarray, n_workers: int) -> DataFrame:
+    """(worker, n, v packed): the solution of each worker's own Hessian for the gradient, from
+    rows as ``by_worker`` lays them.  Hessians are summed as the rows stream by; a task holds
+    one at a time."""
+    size = problem.width(d)
 
-    def solve(table: pa.Table) -> pa.Table:
-        x = matrix(table.column("x"), d)
-        y = table.column("y").to_numpy()
-        a = problem.root(x, y, w)
-        h = a.T @ a * (1 / len(y) if problem.mean else float(n_workers)) + problem.reg_hessian(w)
-        return pa.table({"worker": table.column("worker").slice(0, 1), "n": pa.array([len(y)], pa.int64()), "v": pa.array([pack(-solve_spd(h + 1e-12 * np.eye(len(h)), g))], pa.binary())})
+    def solve(batches):
+        now, n, h = None, 0, None
 
-    worker = F.pmod(hash_col(F.col("row_id"), coefficients(97)), F.lit(n_workers)).cast("int")
-    rows = data.df.select(worker.alias("worker"), F.col("y").cast("double").alias("y"), "x")
-    return rows.groupBy("worker").applyInArrow(solve, "worker int, n long, v binary")
+        def finish():
+            full = h * (1 / n if problem.mean else float(n_workers)) + problem.reg_hessian(w)
+            return pa.record_batch([pa.array([now], pa.int32()), pa.array([n], pa.int64()), pa.array([pack(-solve_spd(full + 1e-12 * np.eye(size), g))], pa.binary())], names=["worker", "n", "v"])
+
+        for batch in batches:
+            x, y, of = matrix(batch.column("x"), d), batch.column("y").to_numpy(), batch.column("worker").to_numpy()
+            cut = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]])) if len(of) else []
+            for lo, hi in zip(cut, [*cut[1:], len(of)]):
+                if of[lo] != now:
+                    if now is not None:
+                        yield finish()
+                    now, n, h = int(of[lo]), 0, np.zeros((size, size))
+                a = problem.root(x[lo:hi], y[lo:hi], w)
+                n, h = n + int(hi - lo), h + a.T @ a
+        if now is not None:
+            yield finish()
+
+    return laid.mapInArrow(solve, "worker int, n long, v binary")
 
 
 def averaged_local_newton(data, problem, n_workers: int = 60, policy=None, step=None, iters: int = 8, w0=None, profile: ClusterProfile = FUNCTIONS) -> FitResult:
     """Two rounds an iteration: the full gradient, then the mean of local Newton steps.
 
     Policies: wait for all, ignore stragglers in both rounds, or a gradient code for the
-    first (its result is the exact gradient, at s + 1 times the work)."""
+    first: the exact gradient is decoded from the messages of all workers but the s slowest,
+    at s + 1 times the work.  Rows are laid out by worker once."""
     if problem.convexity == "weak":
         raise ValueError("averaging local Newton steps needs a strongly convex problem")
     policy, step = policy or WaitAll(), step or UnitStep()
     w = np.zeros(problem.width(data.d)) if w0 is None else np.asarray(w0, float)
     run = _Run(f"local-newton-{policy.name}", w, profile)
+    laid = by_worker(data, n_workers).persist()
     for it in range(iters + 1):
         full = scan(data, problem, [w], [w])
         if it == iters or not np.isfinite(full.losses[0]):
             run.log(it, w, full.losses[0], full.gradients[0], 0.0, "" if np.isfinite(full.losses[0]) else "diverged")
             break
-        part = _survivors(data, policy, n_workers, profile, it)
-        g = full.gradients[0] if part is data else scan(part, problem, (), [w]).gradients[0]
-        rows = local_directions(part, problem, w, g, n_workers).collect()
+        part, kept = _survivors(data, policy, n_workers, profile, it), laid
+        if part is not data:
+            live = np.flatnonzero(policy.survivors(profile.model.draw(n_workers, it, 0))).tolist()
+            kept = laid.where(F.col("worker").isin(live))
+        if isinstance(policy, GradientCode):
+            g = coded_gradient(data, problem, w, n_workers, policy.s, _worker(n_workers), profile.model.draw(n_workers, it, 0))
+        else:
+            g = full.gradients[0] if part is data else scan(part, problem, (), [w]).gradients[0]
+        rows = local_directions(kept, data.d, problem, w, g, n_workers).collect()
         p = np.mean([np.frombuffer(r["v"], np.float64) for r in rows], axis=0)
         alpha, failed = step.pick(_Context(data, problem, w, p, g))
         second = WaitAll() if isinstance(policy, GradientCode) else policy
         run.sim += profile.round(policy, n_workers, it, 0, 8 * len(w) * n_workers) + profile.round(second, n_workers, it, 2, 8 * len(w) * n_workers)
         run.log(it, w, full.losses[0], full.gradients[0], alpha, "ls_failed" if failed else "")
         w = w + alpha * p
+    laid.unpersist()
     return run.out
 
 

@@ -37,6 +37,10 @@ class Problem:
         """Rows whose Gram matrix is the Hessian's sum over these rows."""
         raise NotImplementedError
 
+    def at_margins(self, t, y) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Losses, slopes and curvatures of the rows as functions of their products t."""
+        raise NotImplementedError(f"{type(self).__name__} isn't a function of one product for each row")
+
     def reg_loss(self, w) -> float:
         return 0.5 * self.lam * float(w @ w)
 
@@ -67,6 +71,10 @@ class Logistic(Problem):
         s = _sig(x @ w)
         return np.sqrt(s * (1 - s))[:, None] * x
 
+    def at_margins(self, t, y):
+        s = _sig(t)
+        return _softplus(-y * t), -y * _sig(-y * t), s * (1 - s)
+
     def errors(self, x, y, w):
         return float((np.where(x @ w > 0, 1.0, -1.0) != y).sum())
 
@@ -128,6 +136,9 @@ class Ridge(Problem):
     def root(self, x, y, w):
         return x
 
+    def at_margins(self, t, y):
+        return 0.5 * (t - y) ** 2, t - y, np.ones_like(t)
+
 
 class SquaredHinge(Problem):
     """Support vectors: half the mean squared hinge plus lam / 2 |w|^2."""
@@ -144,6 +155,10 @@ class SquaredHinge(Problem):
     def root(self, x, y, w):
         return x * (y * (x @ w) < 1)[:, None]
 
+    def at_margins(self, t, y):
+        short = np.maximum(0, 1 - y * t)
+        return 0.5 * short**2, -y * short, (short > 0).astype(float)
+
     def errors(self, x, y, w):
         return float((np.where(x @ w > 0, 1.0, -1.0) != y).sum())
 
