@@ -81,14 +81,26 @@ class BlockSketch:
         return long.groupBy("block", "bucket", "i").agg(F.sum(F.col("sign") * F.col("v")).alias("v"))
 
     # -------------------------------------------------------------- Arrow form
+    def slabs(self, into: dict[int, np.ndarray]):
+        """The buffers cut in pieces of about a megabyte: (block, piece, rows)."""
+        for k, buf in into.items():
+            step = max(1, (1 << 20) // (8 * buf.shape[1]))
+            for j, lo in enumerate(range(0, len(buf), step)):
+                if buf[lo : lo + step].any():
+                    yield k, j, buf[lo : lo + step].reshape(-1)
+
     def scatter(self, ids: np.ndarray, rows: np.ndarray, into: dict[int, np.ndarray], blocks) -> None:
+        if not len(ids):
+            return
         for k in blocks:
             bucket, sign = self.place_np(ids, k)
-            order = np.argsort(bucket, kind="stable")
-            b = bucket[order]
-            head = np.flatnonzero(np.concatenate([[True], b[1:] != b[:-1]])) if len(b) else []
-            if len(b):
-                into[k][b[head]] += np.add.reduceat((rows * sign[:, None])[order], head, axis=0)
+            slot = 2 * bucket + (sign < 0)  # rows of one bucket and sign are summed as they are
+            order = np.argsort(slot, kind="stable")
+            s = slot[order]
+            head = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
+            sums = np.add.reduceat(rows[order], head, axis=0)
+            sums[s[head] % 2 == 1] *= -1
+            np.add.at(into[k], s[head] // 2, sums)
 
     def apply_arrow(self, df: DataFrame, d: int, blocks: list[int] | None = None, group: int = 0) -> DataFrame:
         """(block, bucket, v packed): buffers of all blocks inside each task, then sums.

@@ -126,8 +126,8 @@ class CodedPair:
                     x = b.reshape(-1, gf + 1, gf + 1, size)[:, :gf, :gf].reshape(len(b), -1)[:, :d]
                     sketch.scatter(batch.column("row_id").to_numpy(), np.sqrt(bend)[:, None] * x, into, use)
             out = [(-1, 0, np.array([n, loss]))] + [(-2, i, v) for i, v in enumerate(total)]
-            for k, buf in into.items():
-                out += [(k, int(j), buf[j]) for j in np.flatnonzero(buf.any(axis=1))]
+            if into:
+                out += list(sketch.slabs(into))
             yield pa.record_batch([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.int32()), pa.array([pack(o[2]) for o in out], pa.binary())], names=["block", "bucket", "v"])
 
         met = self.columns.join(self.products(w, first).withColumnRenamed("y", "t"), "row_id")
@@ -140,11 +140,11 @@ class CodedPair:
             elif r["block"] == -2:
                 coded[r["bucket"]] = v
             else:
-                rows.append(v)
-                of.append(r["block"])
+                rows.append(v.reshape(-1, d))
+                of.append(np.full(len(rows[-1]), r["block"]))
         scale = 1.0 / max(n, 1) if problem.mean else 1.0
         g = joined_blocks(coded, second, gf, d) * scale + problem.reg_gradient(w)
-        found = (np.array(rows).reshape(-1, d), np.array(of)) if sketch is not None else (None, None)
+        found = (np.concatenate([np.zeros((0, d)), *rows]), np.concatenate([np.zeros(0, int), *of])) if sketch is not None else (None, None)
         return Round(n, loss * scale + problem.reg_loss(w), g, *found, (first, second), (t1, t2))
 
 

@@ -32,7 +32,7 @@ class Scan:
     errors_at: np.ndarray | None = None
     gradients: np.ndarray | None = None
     gram: np.ndarray | None = None
-    rows: np.ndarray | None = None  # sketched root rows
+    rows: np.ndarray | None = None  # sketched root rows, some of them zeros
     block_of: np.ndarray | None = None
 
 
@@ -77,8 +77,8 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
         out = [(_LOSS, 0, 0, np.concatenate([[n], err, loss]))] + [(_GRAD, i, 0, v) for i, v in enumerate(g)]
         if gram is not None:
             out.append((_GRAM, 0, 0, gram.reshape(-1)))
-        for k, buf in into.items():
-            out += [(_SKETCH, k, int(j), buf[j]) for j in np.flatnonzero(buf.any(axis=1))]
+        if into:
+            out += [(_SKETCH, k, j, v) for k, j, v in sketch.slabs(into)]
         yield pa.record_batch([pa.array([o[j] for o in out], pa.int32()) for j in range(3)] + [pa.array([pack(o[3]) for o in out], pa.binary())], names=["kind", "block", "bucket", "v"])
 
     parts = data.df.select("row_id", F.col("y").cast("double").alias("y"), "x").mapInArrow(run, "kind int, block int, bucket int, v binary")
@@ -93,10 +93,10 @@ def scan(data: DesignMatrix, problem: Problem, losses_at=(), gradients_at=(), he
         elif r["kind"] == _GRAM:
             out.gram = v.reshape(size, size).copy()
         else:
-            rows.append(v)
-            of.append(r["block"])
+            rows.append(v.reshape(-1, size))
+            of.append(np.full(len(rows[-1]), r["block"]))
     if sketch is not None and point is not None:
-        out.rows, out.block_of = np.array(rows).reshape(-1, size), np.array(of)
+        out.rows, out.block_of = np.concatenate([np.zeros((0, size)), *rows]), np.concatenate([np.zeros(0, int), *of])
     scale = 1.0 / max(out.n, 1) if problem.mean else 1.0
     if at:
         out.losses = out.losses * scale + [problem.reg_loss(w) for w in at]
@@ -356,13 +356,16 @@ def _survivors(data: DesignMatrix, policy, n_workers: int, profile, it: int) ->
 
 def first_order(data, problem, w0=None, momentum: bool = False, fraction: float = 1.0, policy=None, rule=None, start: float = 64.0, iters: int = 20, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, scheme: str = "") -> FitResult:
     """Gradient descent; with ``momentum`` Nesterov's accelerated method; with ``fraction``
-    below 1 on a hash-drawn minibatch of that share each iteration."""
+    below 1 on a hash-drawn minibatch of that share each iteration.  The default rule takes
+    the step that backtracking from ``start`` would find, with all trials in one pass."""
     policy = policy or WaitAll()
-    rule = rule or Backtracking(start=start)
+    rule = rule or ArmijoF(grid=tuple(start * 0.25**k for k in range(12)))
     w = np.zeros(problem.width(data.d)) if w0 is None else np.asarray(w0, float)
     run, prev, t = _Run(scheme or ("nesterov" if momentum else "gradient-descent"), w, profile), w, 1.0
     for it in range(iters + 1):
-        full = scan(data, problem, [w], [w])
+        t_next = (1 + np.sqrt(1 + 4 * t * t)) / 2
+        v = w + (t - 1) / t_next * (w - prev) if momentum else w
+        full = scan(data, problem, [w], [w] if v is w else [w, v])
         if it == iters:
             run.log(it, w, full.losses[0], full.gradients[0], 0.0)
             break
@@ -370,9 +373,7 @@ def first_order(data, problem, w0=None, momentum: bool = False, fraction: float
         if fraction < 1:
             u = hash_col(F.col("row_id"), coefficients(701, it)) / 2147483647.0
             part = DesignMatrix(part.df.where(u < fraction), data.d, data.classes)
-        t_next = (1 + np.sqrt(1 + 4 * t * t)) / 2
-        v = w + (t - 1) / t_next * (w - prev) if momentum else w
-        g = full.gradients[0] if part is data and v is w else scan(part, problem, (), [v]).gradients[0]
+        g = full.gradients[-1] if part is data else scan(part, problem, (), [v]).gradients[0]
         alpha, failed = rule.pick(_Context(part, problem, v, -g, g))
         run.sim += profile.round(policy, n_workers, it, 0, 8 * len(w) * n_workers, work=fraction)
         if not isinstance(rule, FixedStep):
