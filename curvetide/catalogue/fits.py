@@ -14,6 +14,7 @@ from ..plans.problems import Logistic, Softmax
 from ..sources import design
 from .base import Registry, rounded, w_fix
 from .core import QUERIES as CORE
+from .runtime import _T
 
 QUERIES = Registry()
 q = QUERIES.add
@@ -207,5 +208,8 @@ def logistic_sketched_fit(spark, sf):
     return trace_frame(spark, fit.rows("logistic"))
 
 
+_TWINS = {
+    "w09": f"{_T} SELECT 'jobs' AS workload, 'arrivals' AS scheme, trial::BIGINT AS it, round(quantile_cont(t, 0.5), 6) + 0.0 AS loss, round(avg((t > 145)::INT), 6) + 0.0 AS grad_norm, round(max(t), 6) + 0.0 AS step, 0.0::DOUBLE AS sim_s, 0.0::DOUBLE AS wall_s, 'loss=median grad_norm=slow share step=longest' AS note, NULL::DOUBLE AS test_loss, NULL::DOUBLE AS test_error FROM t GROUP BY trial"
+}
 for _name in workloads.NAMES:
-    q(None, f"workload_{_name}")(lambda spark, sf, _name=_name: workloads.run(spark, sf, _name))
+    q(_TWINS.get(_name), f"workload_{_name}")(lambda spark, sf, _name=_name: workloads.run(spark, sf, _name))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import Row, SparkSession
 from pyspark.sql import functions as F
 
 from .hashing import P
@@ -26,8 +26,9 @@ def register_sketch(spark: SparkSession, sketch) -> None:
 
 
 def register_tables(spark: SparkSession) -> None:
-    """Table functions: peel('r,c;r,c', g) gives the decoding order of lost blocks, and
-    gradient_code(workers, s) the cyclic code's entries."""
+    """Table functions: peel('r,c;r,c', g) gives the decoding order of lost blocks,
+    gradient_code(workers, s) the cyclic code's entries, and sketch_rows(TABLE(t), n, spare,
+    width, seed) partial rows of the sketch of a table (row_id, x)."""
 
     @F.udtf(returnType="step int, r int, c int, line string")
     class Peel:
@@ -47,6 +48,30 @@ def register_tables(spark: SparkSession) -> None:
             for w, p in np.argwhere(code != 0):
                 yield int(w), int(p), float(code[w, p])
 
+    @F.udtf(returnType="block int, bucket int, v array<double>")
+    class SketchRows:
+        """Sums its partition's rows (row_id, x) into the buckets of n + spare blocks.  Each
+        partition gives its own partial rows; sum them by (block, bucket)."""
+
+        def __init__(self):
+            self.sketch, self.into = None, {}
+
+        def eval(self, row: Row, n: int, spare: int, width: int, seed: int):
+            from ..operators.sketch import BlockSketch
+
+            if self.sketch is None:
+                self.sketch = BlockSketch(n, spare, width, seed)
+            x = np.asarray(row["x"], float)
+            for k in range(self.sketch.blocks):
+                bucket, sign = self.sketch.place_np(np.array([row["row_id"]]), k)
+                key = k, int(bucket[0])
+                self.into[key] = self.into.get(key, 0.0) + sign[0] * x
+
+        def terminate(self):
+            for (k, b), v in self.into.items():
+                yield k, b, v.tolist()
+
+    spark.udtf.register("sketch_rows", SketchRows)
     spark.udtf.register("peel", Peel)
     spark.udtf.register("gradient_code", Code)
 

@@ -62,6 +62,11 @@ def joined_blocks(blocks: np.ndarray, erased: set, g: int, d: int) -> np.ndarray
     return grid[:g, :g].reshape(-1)[:d]
 
 
+def save_blocks(blocks: DataFrame, path: str) -> None:
+    """Coded blocks (r, c, ...) in a folder for each, so that lost ones aren't read."""
+    blocks.write.mode("overwrite").partitionBy("r", "c").parquet(path)
+
+
 class CodedPair:
     def __init__(self, rows: ProductCode, columns: DataFrame, g: int, g_features: int, d: int):
         self.rows, self.columns, self.g, self.gf, self.d = rows, columns, g, g_features, d
@@ -86,7 +91,7 @@ class CodedPair:
         columns = at.select("row_id", "y", "x").mapInArrow(cut, "row_id long, y double, blocks array<double>")
         columns = columns.repartition("row_id")
         if path:
-            code.write.mode("overwrite").parquet(f"{path}/rows")
+            save_blocks(code, f"{path}/rows")
             columns.write.mode("overwrite").parquet(f"{path}/columns")
             code, columns = spark.read.parquet(f"{path}/rows"), spark.read.parquet(f"{path}/columns")
         else:
@@ -99,11 +104,10 @@ class CodedPair:
 
     def products(self, w, erased: set) -> DataFrame:
         """(row_id, y): x.w of every row, those of the erased blocks from the others."""
-        live = self.rows.products(w)
-        if erased:
-            spark = live.sparkSession
-            gone = spark.createDataFrame(sorted(erased), "r int, c int")
-            live = live.join(F.broadcast(gone), ["r", "c"], "left_anti")
+        blocks = self.rows.blocks
+        for r, c in sorted(erased):  # literal filters: folders of written blocks are pruned
+            blocks = blocks.where((F.col("r") != r) | (F.col("c") != c))
+        live = ProductCode(blocks, self.g, self.rows.size).products(w)
         return self.rows.decode(live, erased)
 
     def evaluate(self, problem, w, it: int = 0, model: ArrivalModel | None = None, sketch: BlockSketch | None = None, blocks=None, fan: int = 0) -> Round:

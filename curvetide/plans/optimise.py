@@ -243,6 +243,14 @@ class FitResult:
         save_vector(spark, self.w, f"{path}/w")
         trace_frame(spark, self.rows("")).write.mode("overwrite").parquet(f"{path}/trace")
 
+    @staticmethod
+    def find(spark, path: str) -> FitResult | None:
+        """A saved fit, or None where there is none."""
+        there = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/trace/_SUCCESS")
+        if not there.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(there):
+            return None
+        return FitResult.load(spark, path)
+
     @staticmethod
     def load(spark, path: str) -> FitResult:
         rows = spark.read.parquet(f"{path}/trace").orderBy("it").collect()
@@ -275,7 +283,7 @@ class _Run:
 
 
 # ------------------------------------------------------------------ Newton methods
-def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch | None = None, step=None, iters: int = 8, tol: float = 1e-10, rcond: float = 1e-8, grad_policy=None, hess_policy=None, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, hess_workers: int | None = None, schedule=None, guard: bool = True, fresh: bool = True, coded: CodedPair | None = None, fan: int = 0, driver_bytes: int = 256 << 20) -> FitResult:
+def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch | None = None, step=None, iters: int = 8, tol: float = 1e-10, rcond: float = 1e-8, grad_policy=None, hess_policy=None, profile: ClusterProfile = FUNCTIONS, n_workers: int = 60, hess_workers: int | None = None, schedule=None, guard: bool = True, fresh: bool = True, coded: CodedPair | None = None, fan: int = 0, driver_bytes: int = 256 << 20, path: str | None = None) -> FitResult:
     """Newton steps with the exact Hessian (``sketch`` None) or a sketched one.
 
     The gradient is exact.  Of the sketch's N + e blocks the first N to arrive in the
@@ -284,14 +292,23 @@ def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch |
     maps the iteration to a growth factor.  With ``guard`` two rises of the loss in a row
     switch unit steps to a line search.  With ``coded`` losses, gradients and sketches come
     from the two coded rounds over the encoded data, whose waiting times count.  Sketches of
-    over ``driver_bytes`` aren't collected: their Gram matrix is summed by distributed tiles."""
+    over ``driver_bytes`` aren't collected: their Gram matrix is summed by distributed tiles.
+    With ``path`` weights and trace are saved after each iteration, and a fit that finds them
+    there goes on from the last one, with the draws that the whole fit has."""
     weak = problem.convexity == "weak"
     step = step or (ArmijoGrad() if weak else UnitStep())
     grad_policy = grad_policy or (CodedGrid() if sketch else Speculative())
     hess_workers = hess_workers or n_workers
     w = np.zeros(problem.width(data.d)) if w0 is None else np.asarray(w0, float)
-    run, rises, last = _Run("sketched-newton" if sketch else "exact-newton", w, profile), 0, np.inf
-    for it in range(iters + 1):
+    run, rises, last, first = _Run("sketched-newton" if sketch else "exact-newton", w, profile), 0, np.inf, 0
+    spark = data.df.sparkSession
+    if path and (old := FitResult.find(spark, path)) is not None:
+        w, first = old.w, old.trace[-1]["it"]
+        run.out.trace = old.trace[:-1]
+        run.sim = run.out.trace[-1]["sim_s"] if run.out.trace else 0.0
+    for it in range(first, iters + 1):
+        if path and it > first:
+            run.out.save(spark, path)
         now = None
         if sketch is not None:
             now = sketch.fresh(it) if fresh else sketch
@@ -333,6 +350,8 @@ def newton(data: DesignMatrix, problem: Problem, w0=None, sketch: BlockSketch |
             run.sim += profile.round(grad_policy, n_workers, it, 3)
         run.log(it, w, loss, g, alpha, "ls_failed" if failed else note)
         w = w + alpha * p
+    if path:
+        run.out.save(spark, path)
     return run.out
 
 

@@ -136,7 +136,8 @@ def w09(spark, sf):
     rows = []
     for k in range(10):
         t = model.draw(3600, k)
-        rows.append(("jobs", "arrivals", k, float(np.median(t)), float((t > 145).mean()), float(t.max()), 0.0, 0.0, "loss=median grad_norm=slow share step=longest"))
+        figures = [round(float(v), 6) for v in (np.median(t), (t > 145).mean(), t.max())]
+        rows.append(("jobs", "arrivals", k, *figures, 0.0, 0.0, "loss=median grad_norm=slow share step=longest"))
     return rows
 
 

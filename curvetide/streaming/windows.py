@@ -50,6 +50,22 @@ def without(total: DataFrame, expired: DataFrame) -> DataFrame:
     return signed.groupBy(*keys).agg(F.sum("v").alias("v"))
 
 
+def late_mass(events: DataFrame, delay: str = "1 hour", arrival: str = "arrived") -> DataFrame:
+    """(window, n, late, late_v) by day: events, and the number and absolute value of those
+    that came after the watermark had passed their window's end, which a stream drops.
+    ``arrival``: when an event came."""
+    day = F.window("ts", "1 day")
+    late = F.col(arrival).cast("timestamp") > day["end"] + F.expr(f"INTERVAL {delay}")
+    rows = events.withColumn("_late", late)
+    return rows.groupBy(day).agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("_late").cast("int")).alias("late"), F.sum(F.when(F.col("_late"), F.abs("value")).otherwise(0.0)).alias("late_v"))
+
+
+def with_static(events: DataFrame, table: DataFrame, key: str, other: str) -> DataFrame:
+    """Stream (or batch) events with the columns of a static table, whose size Spark checks
+    before it broadcasts; events without a match stay."""
+    return events.join(table, events[key] == table[other], "left")
+
+
 def run_available(df: DataFrame, path: str, checkpoint: str, mode: str = "append") -> None:
     """Process what is there, into Parquet files, and stop."""
     df.writeStream.format("parquet").outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start(path).awaitTermination()

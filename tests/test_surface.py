@@ -30,6 +30,50 @@ def test_table_functions(spark):
     assert spark.sql("SELECT * FROM gradient_code(4, 1)").count() == 8
 
 
+def test_sketch_as_a_table_function(spark, sf):
+    Q.register_tables(spark)
+    d, s = design.embeddings(spark, sf).head(3), BlockSketch(2, 1, 8, 2)
+    d.df.select("row_id", "x").createOrReplaceTempView("rows_to_sketch")
+    rows = spark.sql("SELECT block, bucket, v FROM sketch_rows(TABLE(rows_to_sketch), 2, 1, 8, 2)").collect()
+    got = {}
+    for r in rows:
+        got[r["block"], r["bucket"]] = got.get((r["block"], r["bucket"]), 0.0) + np.array(r["v"])
+    want = {(r["block"], r["bucket"]): np.frombuffer(r["v"]) for r in s.apply_arrow(d.df, 3).collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k]) for k in want)
+
+
+def test_late_events_and_static_columns(spark):
+    from curvetide.streaming import windows as W
+
+    events = spark.createDataFrame([(1, "2024-01-01 10:00:00", "2024-01-01 10:00:05", 2.0), (2, "2024-01-01 23:00:00", "2024-01-02 02:00:00", -3.0), (3, "2024-01-02 01:00:00", "2024-01-02 01:10:00", 1.0)], "k long, ts string, arrived string, value double").withColumn("ts", F.to_timestamp("ts"))
+    rows = sorted((r["window"]["start"].day, r["n"], r["late"], r["late_v"]) for r in W.late_mass(events).collect())
+    assert rows == [(1, 2, 1, 3.0), (2, 1, 0, 0.0)]
+    static = spark.createDataFrame([(1, "a"), (3, "c")], "id long, name string")
+    assert sorted((r["k"], r["name"]) for r in W.with_static(events, static, "k", "id").collect()) == [(1, "a"), (2, None), (3, "c")]
+
+
+def test_stream_with_a_static_table(spark, sf, tmp_path):
+    from curvetide.sources import tables
+    from curvetide.streaming import windows as W
+
+    joined = W.with_static(tables.stream(spark, sf), tables.table(spark, sf, "customer", "c_custkey", "c_mktsegment"), "user_id", "c_custkey")
+    W.run_available(joined.select("event_id", "c_mktsegment"), str(tmp_path / "out"), str(tmp_path / "ck"))
+    got = spark.read.parquet(str(tmp_path / "out"))
+    batch = W.with_static(tables.table(spark, sf, "events"), tables.table(spark, sf, "customer", "c_custkey", "c_mktsegment"), "user_id", "c_custkey")
+    assert sorted(map(tuple, got.collect()), key=str) == sorted(map(tuple, batch.select("event_id", "c_mktsegment").collect()), key=str)
+
+
+def test_interrupted_fit_goes_on(spark, sf, tmp_path):
+    d = design.embeddings(spark, sf).head(5)
+    d = design.DesignMatrix(d.df.cache(), 5)
+    p, s, path = Logistic(0.01), BlockSketch(4, 1, 10, 1), str(tmp_path / "fit")
+    whole = O.sketched_newton(d, p, s, iters=4, tol=0.0)
+    O.sketched_newton(d, p, s, iters=2, tol=0.0, path=path)
+    rest = O.sketched_newton(d, p, s, iters=4, tol=0.0, path=path)
+    assert np.allclose(rest.w, whole.w) and [t["it"] for t in rest.trace] == [0, 1, 2, 3, 4]
+    assert np.allclose([t["loss"] for t in rest.trace], [t["loss"] for t in whole.trace])
+
+
 def test_prediction(spark, sf):
     d = design.embeddings(spark, sf)
     w = np.linspace(-1, 1, 64)
