@@ -60,7 +60,7 @@ def w01(spark, sf):
 
 def w02(spark, sf):
     """Dense vectors, m = 15 d, s = 3."""
-    return _second_order("dense", _split(design.embeddings(spark, sf), 5), Logistic(1e-2), 15, 3, (100, 2500, 1500), 2.0)
+    return _second_order("dense", _split(design.embeddings(spark, sf), 5), Logistic(1e-2), 15, 3, (100, 10_000, 1500), 2.0)
 
 
 def w03(spark, sf):
@@ -102,7 +102,7 @@ def w06(spark, sf):
     pair = CodedPair.encode(data, 9, 3)
     for tag, coded in (("coded", pair), ("speculative", None)):
         for name, sk in (("exact", None), ("sketched", BlockSketch.of(15 * 64, 64, 0.2, seed=3))):
-            fit = O.newton(data, problem, sketch=sk, iters=4, grad_policy=Speculative(0.9), n_workers=100, hess_workers=1500 if sk else 2500, coded=coded)
+            fit = O.newton(data, problem, sketch=sk, iters=4, grad_policy=Speculative(0.9), n_workers=100, hess_workers=1500 if sk else 10_000, coded=coded)
             fit.scheme = f"{name}-{tag}"
             rows += fit.tested(test, problem).rows("coded")
     pair.release()
