@@ -90,12 +90,6 @@ class Scratch:
         self.kept.append(self.paths.pop())
         return out
 
-    def drop(self, *names: str) -> None:
-        """Delete tables of these names now: nothing reads them any more."""
-        gone = [p for p in self.paths if any(p.rsplit("/", 1)[-1].startswith(n + "-") for n in names)]
-        discard(self.spark, *gone)
-        self.paths[:] = [p for p in self.paths if p not in gone]
-
     def __exit__(self, *error) -> None:
         _open.reset(self._token)
         discard(self.spark, *self.paths)
