@@ -194,7 +194,9 @@ def bucketize_range_join(spark, sf):
 
 # ------------------------------------------------------------------ events
 def _events(spark, sf):
-    return t(spark, sf, "events").withColumn("s", F.unix_seconds(F.col("ts").cast("timestamp")))
+    """Events with ``s``, their second: the nearest one, half a second to the even one, as
+    DuckDB casts ``epoch(ts)``."""
+    return t(spark, sf, "events").withColumn("s", F.rint(F.unix_micros(F.col("ts").cast("timestamp")) / 1e6).cast("long"))
 
 
 @q("WITH e AS (SELECT event_id, user_id, epoch(ts)::BIGINT AS s, value FROM events) SELECT a.event_id, count(b.event_id) AS n, round(coalesce(sum(b.value), 0), 6) + 0.0 AS v FROM e a LEFT JOIN e b ON a.user_id = b.user_id AND b.s < a.s AND b.s >= a.s - 86400 GROUP BY a.event_id")
