@@ -205,12 +205,11 @@ def events_interval_join(spark, sf):
     the range as a filter."""
     e = _events(spark, sf).select("event_id", "user_id", "s", "value")
     day = F.floor(F.col("s") / 86400)
-    left = e.select("event_id", "user_id", "s", F.explode(F.array(day, day - 1)).alias("day"))
-    right = e.select(F.col("user_id"), F.col("s").alias("s2"), F.col("value").alias("v2"), day.alias("day"))
-    hit = left.join(right, ["user_id", "day"]).where((F.col("s2") < F.col("s")) & (F.col("s2") >= F.col("s") - 86400))
-    sums = hit.groupBy("event_id").agg(F.count(F.lit(1)).alias("n"), F.sum("v2").alias("v"))
-    out = e.select("event_id").join(sums, "event_id", "left")
-    return rounded(out.select("event_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"), F.coalesce("v", F.lit(0.0)).alias("v")), "v")
+    left = e.select("event_id", F.col("user_id").alias("u"), "s", F.explode_outer(F.array(day, day - 1)).alias("d"))
+    right = e.select("user_id", F.col("s").alias("s2"), F.col("value").alias("v2"), day.alias("day"))
+    near = (F.col("u") == F.col("user_id")) & (F.col("d") == F.col("day")) & (F.col("s2") < F.col("s")) & (F.col("s2") >= F.col("s") - 86400)
+    out = left.join(right, near, "left").groupBy("event_id").agg(F.count("s2").alias("n"), F.coalesce(F.sum("v2"), F.lit(0.0)).alias("v"))
+    return rounded(out, "v")
 
 
 @q("WITH e AS (SELECT event_id, user_id, epoch(ts)::BIGINT AS s, value FROM events) SELECT event_id, count(*) OVER w AS n, round(sum(value) OVER w, 6) + 0.0 AS v FROM e WINDOW w AS (PARTITION BY user_id ORDER BY s RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW)")

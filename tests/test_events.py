@@ -26,7 +26,7 @@ def folder(spark, tmp_path_factory):
     return path
 
 
-@pytest.mark.parametrize("name", ["events_trailing_features"])
+@pytest.mark.parametrize("name", ["events_interval_join", "events_trailing_features"])
 def test_fractions_of_seconds(spark, folder, name):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW events AS SELECT * FROM '{folder}/events.parquet/*.parquet'")
