@@ -9,7 +9,7 @@ from curvetide import catalogue
 from curvetide.plans import arrivals as A
 
 duckdb = pytest.importorskip("duckdb")
-NAMES = ["arrival_table"]
+NAMES = ["arrival_ranks", "arrival_table"]
 
 
 @pytest.mark.parametrize("name", NAMES)
