@@ -9,7 +9,7 @@ from curvetide import catalogue
 from curvetide.plans import arrivals as A
 
 duckdb = pytest.importorskip("duckdb")
-NAMES = ["arrival_ranks", "arrival_summary", "arrival_table"]
+NAMES = ["arrival_ranks", "arrival_summary", "arrival_table", "arrival_table_whole"]
 
 
 @pytest.mark.parametrize("name", NAMES)
