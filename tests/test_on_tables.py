@@ -9,7 +9,7 @@ from curvetide import catalogue
 from curvetide.plans import arrivals as A
 
 duckdb = pytest.importorskip("duckdb")
-NAMES = ["arrival_ranks", "arrival_summary", "arrival_table", "arrival_table_whole", "blocks_surviving_anti", "cost_comm", "cost_equalised", "cost_matmul_partition", "cost_rollup", "gradient_code_placement"]
+NAMES = ["arrival_ranks", "arrival_summary", "arrival_table", "arrival_table_whole", "blocks_surviving_anti", "cost_comm", "cost_equalised", "cost_matmul_partition", "cost_rollup", "gradient_code_placement", "math_logistic_stable"]
 
 
 @pytest.mark.parametrize("name", NAMES)
