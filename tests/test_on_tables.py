@@ -9,7 +9,7 @@ from curvetide import catalogue
 from curvetide.plans import arrivals as A
 
 duckdb = pytest.importorskip("duckdb")
-NAMES = ["arrival_ranks", "arrival_summary", "arrival_table", "arrival_table_whole", "blocks_surviving_anti", "cost_comm", "cost_equalised", "cost_matmul_partition", "cost_rollup", "gradient_code_placement", "math_logistic_stable"]
+NAMES = ["arrival_ranks", "arrival_summary", "arrival_table", "arrival_table_whole", "blocks_surviving_anti", "cost_comm", "cost_equalised", "cost_matmul_partition", "cost_rollup", "cost_workers", "gradient_code_placement", "math_logistic_stable"]
 
 
 @pytest.mark.parametrize("name", NAMES)
@@ -32,6 +32,20 @@ def test_hash_of_large_keys_in_sql():
     assert got == hash_np(ids, coefficients(11, 1)).tolist()
 
 
+def test_costs_as_the_scalar_functions_count_them(spark, sf):
+    q = catalogue.queries()
+    comm = {r["supplier"]: r for r in q["cost_comm"](spark, sf).collect()}
+    product = {r["supplier"]: r for r in q["cost_matmul_partition"](spark, sf).collect()}
+    for r in q["cost_workers"](spark, sf).collect():
+        d, c, k = r["d"], comm[r["supplier"]], -(-r["d"] // 50)
+        n, e = 10 * k, 2 * k
+        assert (r["matvec"], r["sketched"], r["exact"], r["reduction"]) == (A.workers("matvec", n), A.workers("sketched", d=d, b=50, n=n, spare=e), A.workers("exact", d=d, b=50, n=n), A.workers("reduce", d=d, b=50))
+        want = [A.comm_bytes("gradient", c["n"], d, tasks=64), A.comm_bytes("exact", c["n"], d, tasks=64), A.comm_bytes("sketched", c["n"], d, n, 50, e, 64), A.comm_bytes("encode", c["n"], d)]
+        assert [c[x] for x in ("gradient", "exact", "sketched", "encode")] == want
+        p = product[r["supplier"]]
+        assert (p["block"], p["rowcol"]) == (A.matmul_bytes("block", p["n"], d, 50), A.matmul_bytes("rowcol", p["n"], d, 50))
+
+
 def test_order_statistics(spark):
     rng = np.random.default_rng(0)
     t = {0: np.round(rng.uniform(0, 0.02, 501), 4), 1: np.array([3.5]), 2: np.full(40, 1.25)}
