@@ -5,7 +5,8 @@
 merges, byte fallback, and the decoder.  Batches are encoded by the library's threads: as
 many as a task has cores (``spark.task.cpus``), two at least.  ``parity`` compares ids with the
 sentencepiece library: each worker runs it on fixed probes before it encodes anything, and
-``digests`` on one of ``CHECK`` documents (by a hash of the text), whose result it returns.
+``digests`` on one of ``CHECK`` documents (by a hash of the text), whose result it returns;
+the query does so on all documents.
 
 If no piece of a BPE model has the marker behind another character, no merge crosses the
 place before a marker, and the text may be split there first; this gives the same ids and
@@ -238,4 +239,4 @@ def digests(docs: DataFrame, path: str, threads: int | None = None, check: int =
 def op1_sentencepiece(spark, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return digests(C.read_table(spark, sf_dir, "documents", "doc_id", "text"), public_tokenizers.path("piece_bpe_32k.model"))
+    return digests(C.read_table(spark, sf_dir, "documents", "doc_id", "text"), public_tokenizers.path("piece_bpe_32k.model"), check=1)

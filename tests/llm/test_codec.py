@@ -95,3 +95,8 @@ def test_threads_of_a_task(spark, docs):
 def test_unsupported_models_are_refused():
     with pytest.raises(ValueError):
         S.build({**S.read_model(unigram_model()), "type": 3})
+
+
+def test_the_query_compares_every_document(spark, sf):
+    rows = S.op1_sentencepiece(spark, sf).collect()
+    assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count() and all(r["parity"] for r in rows)
