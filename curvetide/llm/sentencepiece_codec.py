@@ -10,7 +10,10 @@ the query does so on all documents.
 
 If no piece of a BPE model has the marker behind another character, no merge crosses the
 place before a marker, and the text may be split there first; this gives the same ids and
-lets the library cache words.
+lets the library cache words.  Without normalisation besides the dummy prefix such a text is
+encoded word by word: each worker keeps the ids of up to ``KEPT`` words, and new words of a
+batch are joined to texts of ``JOIN`` words, which the library encodes without a split of its
+own; words begin where a piece with the marker does.
 
 Edge cases: null and empty texts have no ids and decode to empty; text that the model's
 normaliser changes isn't restored by decoding (``roundtrip`` tells); repeated rows are
@@ -22,8 +25,10 @@ from __future__ import annotations
 
 import hashlib
 import os
+import re
 import zlib
 from functools import lru_cache
+from itertools import chain, islice
 
 import numpy as np
 import pyarrow as pa
@@ -36,6 +41,7 @@ MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # piece types of the format
 UNIGRAM, BPE = 1, 2  # model types of the format
 BATCH = 1 << 20
+KEPT, LONG, JOIN = 1 << 18, 64, 200  # words whose ids are kept, their length at most, new ones encoded at once
 CHECK = 8  # of so many documents one is encoded by the sentencepiece library too
 #: Texts that every loaded model must encode as the sentencepiece library does.
 PROBES = ["", " ", "a", "  two  blanks ", "Größe, ça va?", "tab\tline\nend", "中文 and 😀", "\x00\x7f", "<s> </s> <unk>", "1234.5", "▁mark▁", "x" * 300, "'s ''"]
@@ -143,15 +149,59 @@ def build(model: dict):
     return tok
 
 
+def by_words(model: dict) -> bool:
+    """Whether ids of a text are those of its words: no merge crosses the place before a
+    marker, and nothing but the dummy prefix is normalised."""
+    pieces = model["pieces"]
+    if model["type"] != BPE or model["strip"] or model["charsmap"] or any(k == USER for _, _, k in pieces):
+        return False
+    return any(p == MARK and k == NORMAL for p, _, k in pieces) and not any(MARK in p.lstrip(MARK) for p, _, _ in pieces)
+
+
+_WORD = re.compile(" *[^ ]+| +")
+
+
 class Codec:
     def __init__(self, path: str):
         self.path = path
         self.model = read_model(open(path, "rb").read())
         self.tok = build(self.model)
-        self._bytes = self._library = None
+        self._bytes = self._library = self._bare = None
+        if by_words(self.model):
+            self._bare = build(self.model)
+            self._bare.normalizer = self._bare.pre_tokenizer = None
+            self._bare.model._resize_cache(0)  # no word comes twice
+            self._ids, self._starts = {}, [p.startswith(MARK) for p, _, _ in self.model["pieces"]]
 
     def encode(self, texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
+        if self._bare is None:
+            return [e.ids for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
+        before = " " if self.model["dummy_prefix"] else ""
+        words = [_WORD.findall(before + t.replace(MARK, " ")) if t else [] for t in texts]
+        known = self._ids
+        new = set(chain.from_iterable(words)).difference(known)
+        self._learn(new)
+        out = [list(chain.from_iterable(map(known.__getitem__, w))) for w in words]
+        drop = {w for w in new if len(w) > LONG}
+        drop.update(islice(new - drop, max(0, len(known) - len(drop) - KEPT)))
+        for w in drop:
+            del known[w]
+        return out
+
+    def _learn(self, new: set[str]) -> None:
+        """Adds the ids of new words.  Those behind one marker are joined: a piece with the
+        marker begins each; words behind none or several are encoded alone."""
+        run = lambda ws: [e.ids for e in self._bare.encode_batch_fast([w.replace(" ", MARK) for w in ws], add_special_tokens=False)]
+        alone = [w for w in new if w[0] != " " or w[1:2] in ("", " ")]
+        self._ids.update(zip(alone, run(alone)))
+        joined = list(new.difference(alone))
+        groups = [joined[i : i + JOIN] for i in range(0, len(joined), JOIN)]
+        starts = self._starts
+        for group, ids in zip(groups, run(["".join(g) for g in groups])):
+            cut = [i for i, x in enumerate(ids) if starts[x]]
+            if len(cut) != len(group):
+                raise ValueError(f"{self.path}: {len(cut)} words of {len(group)} in joined text")
+            self._ids.update((w, ids[a:b]) for w, a, b in zip(group, cut, [*cut[1:], len(ids)]))
 
     def decode(self, ids: list[list[int]]) -> list[str]:
         """The texts of id lists; joined bytes of the pieces, the dummy prefix cut."""

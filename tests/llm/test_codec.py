@@ -100,3 +100,28 @@ def test_unsupported_models_are_refused():
 def test_the_query_compares_every_document(spark, sf):
     rows = S.op1_sentencepiece(spark, sf).collect()
     assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count() and all(r["parity"] for r in rows)
+
+
+def test_words_are_encoded_once(monkeypatch):
+    codec, seen = S.Codec(PATH), []
+    learn = S.Codec._learn
+    monkeypatch.setattr(S.Codec, "_learn", lambda self, new: (seen.append(sorted(new)), learn(self, new))[1])
+    first = codec.encode(["one two one", "two three", "two  three "])
+    assert codec.encode(["three one", "", " two"])[0] == codec.encode(["three"])[0] + codec.encode(["one"])[0]
+    assert seen[0] == [" ", "  three", " one", " three", " two"] and seen[1:] == [["  two"], [], []]
+    assert all(codec.parity(["one two one", "two three", "two  three "], first))
+
+
+def test_words_equal_whole_texts(monkeypatch):
+    """Fuzz with blanks, markers, bytes and long words, also when few words are kept."""
+    rng = np.random.default_rng(5)
+    parts = [" ", "  ", "   ", S.MARK, "\n", "\t", "word", "Wort", "中", "😀", "é", "\x00", "<s>", "<0x41>", "a" * 90, "'s", ",", "12"]
+    texts = ["".join(rng.choice(parts, rng.integers(0, 12))) for _ in range(3000)]
+    for kept in (S.KEPT, 40):
+        monkeypatch.setattr(S, "KEPT", kept)
+        codec = S.Codec(PATH)
+        for lo in range(0, len(texts), 100):
+            batch = texts[lo : lo + 100]
+            assert all(codec.parity(batch))
+            assert codec.encode(batch) == [e.ids for e in codec.tok.encode_batch_fast(batch, add_special_tokens=False)]
+        assert len(codec._ids) <= kept and max(map(len, codec._ids)) <= S.LONG
