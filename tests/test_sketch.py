@@ -106,3 +106,18 @@ def test_plans():
     assert S.BlockSketch.plan(1000, 10, 24 * 250**2).width == 250
     t = S.BlockSketch.from_theory(100, 0.5)
     assert t.blocks * t.width >= 100**1.1 / 0.25
+
+
+def test_scatter_equals_plain_sums():
+    """Also with buckets beyond 16 bits."""
+    rng = np.random.default_rng(3)
+    ids, rows = rng.integers(0, 1 << 61, 700), rng.normal(size=(700, 5))
+    for width in (4, 40_000):
+        sk = S.BlockSketch(2, 1, width, 3)
+        into = {k: np.zeros((width, 5)) for k in range(3)}
+        sk.scatter(ids, rows, into, range(3))
+        for k in range(3):
+            bucket, sign = sk.place_np(ids, k)
+            plain = np.zeros((width, 5))
+            np.add.at(plain, bucket, sign[:, None] * rows)
+            assert np.allclose(into[k], plain)
