@@ -11,9 +11,11 @@ the query does so on all documents.
 If no piece of a BPE model has the marker behind another character, no merge crosses the
 place before a marker, and the text may be split there first; this gives the same ids and
 lets the library cache words.  Without normalisation besides the dummy prefix such a text is
-encoded word by word: each worker keeps the ids of up to ``KEPT`` words, and new words of a
-batch are joined to texts of ``JOIN`` words, which the library encodes without a split of its
-own; words begin where a piece with the marker does.
+encoded word by word: a batch's bytes are cut into words and these looked up as whole columns,
+each distinct word once; each worker keeps the ids of up to ``KEPT`` words in one array (beyond
+it, of the half that most batches had), and new words of a batch are joined to texts of ``JOIN``
+words, which the library encodes without a split of its own; words begin where a piece with the
+marker does.  Ids of a batch are one array until they are returned.
 
 Edge cases: null and empty texts have no ids and decode to empty; text that the model's
 normaliser changes isn't restored by decoding (``roundtrip`` tells); repeated rows are
@@ -25,10 +27,9 @@ from __future__ import annotations
 
 import hashlib
 import os
-import re
 import zlib
 from functools import lru_cache
-from itertools import chain, islice
+from itertools import chain, compress, count, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -40,8 +41,8 @@ from . import common as C
 MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # piece types of the format
 UNIGRAM, BPE = 1, 2  # model types of the format
-BATCH = 1 << 20
-KEPT, LONG, JOIN = 1 << 18, 64, 200  # words whose ids are kept, their length at most, new ones encoded at once
+BATCH = 4 << 20
+KEPT, LONG, JOIN = 1 << 19, 64, 200  # words whose ids are kept, their length at most, new ones encoded at once
 CHECK = 8  # of so many documents one is encoded by the sentencepiece library too
 #: Texts that every loaded model must encode as the sentencepiece library does.
 PROBES = ["", " ", "a", "  two  blanks ", "Größe, ça va?", "tab\tline\nend", "中文 and 😀", "\x00\x7f", "<s> </s> <unk>", "1234.5", "▁mark▁", "x" * 300, "'s ''"]
@@ -158,7 +159,20 @@ def by_words(model: dict) -> bool:
     return any(p == MARK and k == NORMAL for p, _, k in pieces) and not any(MARK in p.lstrip(MARK) for p, _, _ in pieces)
 
 
-_WORD = re.compile(" *[^ ]+| +")
+def _pick(pool: np.ndarray, first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The stretches of ``pool`` one behind the other, and the places where each begins (and the last ends)."""
+    ends = np.concatenate([[0], np.cumsum(size)])
+    return pool[np.repeat(first - ends[:-1], size) + np.arange(ends[-1])], ends
+
+
+def _joined(lists: list[list[int]]) -> tuple[np.ndarray, np.ndarray]:
+    ends = np.cumsum([0, *map(len, lists)])
+    return np.fromiter(chain.from_iterable(lists), np.int32, ends[-1]), ends
+
+
+def _parts(flat, ends: np.ndarray) -> list:
+    at = ends.tolist()
+    return [flat[a:b] for a, b in zip(at, at[1:])]
 
 
 class Codec:
@@ -171,56 +185,99 @@ class Codec:
             self._bare = build(self.model)
             self._bare.normalizer = self._bare.pre_tokenizer = None
             self._bare.model._resize_cache(0)  # no word comes twice
-            self._ids, self._starts = {}, [p.startswith(MARK) for p, _, _ in self.model["pieces"]]
+            self._starts = np.array([p.startswith(MARK) for p, _, _ in self.model["pieces"]])
+            # a kept word's number n: its ids are pool[ends[n]:ends[n + 1]], hits[n] batches had it
+            self._ids: dict[str, int] = {}
+            self._pool, self._ends, self._hits = np.zeros(0, np.int32), np.zeros(1, np.int64), np.zeros(0, np.int64)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
+        return [x.tolist() for x in _parts(*self.flat([t.encode("utf-8") for t in texts]))]
+
+    def flat(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of UTF-8 texts one behind the other, and the places where each text's begin
+        (and the last ones end)."""
         if self._bare is None:
-            return [e.ids for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
-        before = " " if self.model["dummy_prefix"] else ""
-        words = [_WORD.findall(before + t.replace(MARK, " ")) if t else [] for t in texts]
-        known = self._ids
-        new = set(chain.from_iterable(words)).difference(known)
+            return _joined([e.ids for e in self.tok.encode_batch_fast([t.decode("utf-8") for t in texts], add_special_tokens=False)])
+        before = b" " if self.model["dummy_prefix"] else b""
+        texts = [before + t.replace(MARK.encode(), b" ") if t else b"" for t in texts]
+        bounds = np.cumsum([0, *map(len, texts)])
+        buf = np.frombuffer(b"".join(texts), np.uint8)
+        blank = buf == 32
+        begins = blank.copy()  # a word is a run of blanks and the bytes up to the next one
+        begins[1:] &= ~blank[:-1]
+        begins[bounds[:-1][np.diff(bounds) > 0]] = True
+        start = np.flatnonzero(begins)
+        column = pa.LargeStringArray.from_buffers(len(start), pa.py_buffer(np.append(start, len(buf))), pa.py_buffer(buf)).dictionary_encode()
+        words = column.dictionary.to_numpy(zero_copy_only=False).tolist()
+        number = np.fromiter(map(self._ids.get, words, repeat(-1)), np.int64, len(words))
+        unknown = np.flatnonzero(number < 0)
+        new = [words[i] for i in unknown.tolist()]
         self._learn(new)
-        out = [list(chain.from_iterable(map(known.__getitem__, w))) for w in words]
-        drop = {w for w in new if len(w) > LONG}
-        drop.update(islice(new - drop, max(0, len(known) - len(drop) - KEPT)))
-        for w in drop:
-            del known[w]
-        return out
-
-    def _learn(self, new: set[str]) -> None:
-        """Adds the ids of new words.  Those behind one marker are joined: a piece with the
-        marker begins each; words behind none or several are encoded alone."""
-        run = lambda ws: [e.ids for e in self._bare.encode_batch_fast([w.replace(" ", MARK) for w in ws], add_special_tokens=False)]
-        alone = [w for w in new if w[0] != " " or w[1:2] in ("", " ")]
-        self._ids.update(zip(alone, run(alone)))
-        joined = list(new.difference(alone))
-        groups = [joined[i : i + JOIN] for i in range(0, len(joined), JOIN)]
-        starts = self._starts
-        for group, ids in zip(groups, run(["".join(g) for g in groups])):
-            cut = [i for i, x in enumerate(ids) if starts[x]]
-            if len(cut) != len(group):
-                raise ValueError(f"{self.path}: {len(cut)} words of {len(group)} in joined text")
-            self._ids.update((w, ids[a:b]) for w, a, b in zip(group, cut, [*cut[1:], len(ids)]))
+        number[unknown] = np.fromiter(map(self._ids.__getitem__, new), np.int64, len(new))
+        self._hits[number] += 1
+        number = number[column.indices.to_numpy()]
+        first = self._ends[number]
+        ids, ends = _pick(self._pool, first, self._ends[number + 1] - first)
+        self._forget(sum(len(w) > LONG for w in new))
+        return ids, ends[np.searchsorted(start, bounds)]
+
+    def _learn(self, new: list[str]) -> None:
+        """Adds the ids of new words, long ones last.  Those behind one marker are joined: a
+        piece with the marker begins each; long ones and words behind none or several are
+        encoded alone."""
+        single = [w[0] == " " and w[1:2] not in ("", " ") and len(w) <= LONG for w in new]
+        words = list(compress(new, single))
+        texts = ["".join(words[i : i + JOIN]) for i in range(0, len(words), JOIN)]
+        alone = sorted((w for w, s in zip(new, single) if not s), key=lambda w: len(w) > LONG)
+        ids, ends = _joined([e.ids for e in self._bare.encode_batch_fast([w.replace(" ", MARK) for w in texts + alone], add_special_tokens=False)])
+        cut = np.flatnonzero(self._starts[ids[: ends[len(texts)]]])
+        if not np.array_equal(np.searchsorted(cut, ends[: len(texts) + 1]), np.minimum(np.arange(len(texts) + 1) * JOIN, len(words))):
+            raise ValueError(f"{self.path}: {len(cut)} words of {len(words)} in joined texts")
+        self._ids.update(zip(chain(words, alone), count(len(self._ids))))
+        self._ends = np.concatenate([self._ends[:-1], self._ends[-1] + np.concatenate([cut, ends[len(texts) :]])])
+        self._pool = np.concatenate([self._pool, ids])
+        self._hits = np.concatenate([self._hits, np.zeros(len(new), np.int64)])
+
+    def _forget(self, last: int) -> None:
+        """Drops the last words learnt, and of more than ``KEPT`` all but the half of it that
+        most batches had (of equals the newest)."""
+        for _ in range(last):
+            self._ids.popitem()
+        n = len(self._ids)
+        keep = slice(n)
+        if n > KEPT:
+            keep = np.sort(np.argsort(self._hits[:n], kind="stable")[n - KEPT // 2 :])
+            self._hits //= 2
+            left = np.zeros(n, bool)
+            left[keep] = True
+            self._ids = dict(zip(compress(self._ids, left.tolist()), count()))
+        elif not last:
+            return
+        first, size = self._ends[:-1][keep], np.diff(self._ends)[keep]
+        self._pool, self._ends = _pick(self._pool, first, size)
+        self._hits = self._hits[keep]
 
     def decode(self, ids: list[list[int]]) -> list[str]:
         """The texts of id lists; joined bytes of the pieces, the dummy prefix cut."""
+        return [x.decode("utf-8", "replace") for x in self.decode_flat(*_joined(ids))]
+
+    def decode_flat(self, ids: np.ndarray, ends: np.ndarray) -> list[bytes]:
+        """The bytes of the texts whose ids stand one behind the other."""
         if self._bytes is None:
-            self._bytes = [b"" if k == CONTROL else bytes([int(p[3:5], 16)]) if k == BYTE else b" \xe2\x81\x87 " if k == UNKNOWN else p.replace(MARK, " ").encode() for p, _, k in self.model["pieces"]]
-        table, cut = self._bytes, 1 if self.model["dummy_prefix"] else 0
-        out = []
-        for x in ids:
-            raw = b"".join([table[i] for i in x])
-            out.append((raw[cut:] if raw[:1] == b" " else raw).decode("utf-8", "replace"))
-        return out
-
-    def parity(self, texts: list[str], ids: list[list[int]] | None = None) -> list[bool]:
-        """Whether the sentencepiece library gives the same ids."""
+            self._bytes = pa.array([b"" if k == CONTROL else bytes([int(p[3:5], 16)]) if k == BYTE else b" \xe2\x81\x87 " if k == UNKNOWN else p.replace(MARK, " ").encode() for p, _, k in self.model["pieces"]], pa.large_binary())
+        found = self._bytes.take(pa.array(ids))
+        _, at, data = found.buffers()
+        out = _parts(data.to_pybytes() if data else b"", np.frombuffer(at, np.int64, len(ids) + 1, found.offset * 8)[ends])
+        return [x[1:] if x[:1] == b" " else x for x in out] if self.model["dummy_prefix"] else out
+
+    def parity(self, texts: list[str], ids: list | None = None) -> list[bool]:
+        """Whether the sentencepiece library gives the same ids (lists or arrays)."""
         if self._library is None:
             import sentencepiece
 
             self._library = sentencepiece.SentencePieceProcessor(model_file=self.path)
-        return [a == b for a, b in zip(self.encode(texts) if ids is None else ids, self._library.encode(texts, num_threads=1))]
+        ids = self.encode(texts) if ids is None else ids
+        return [np.array_equal(a, b) for a, b in zip(ids, self._library.encode(texts, return_type="numpy", num_threads=1))]
 
 
 @lru_cache(2)
@@ -249,8 +306,8 @@ def encode(docs: DataFrame, path: str, threads: int | None = None) -> DataFrame:
         codec = load(path, threads)
         for batch in batches:
             for a, b, texts in C.text_batches(batch, limit=BATCH):
-                ids = codec.encode([t.decode("utf-8", "surrogatepass") for t in texts])
-                yield pa.record_batch([*batch.slice(a, b - a).columns, pa.array(ids, pa.list_(pa.int32()))], names=names)
+                ids, ends = codec.flat(texts)
+                yield pa.record_batch([*batch.slice(a, b - a).columns, pa.ListArray.from_arrays(ends.astype(np.int32), ids)], names=names)
 
     return rest.mapInArrow(run, rest.select("*", F.array().cast("array<int>").alias("ids")).schema)
 
@@ -264,13 +321,13 @@ def _digests(path: str, threads: int, check: int):
         for batch in batches:
             doc = batch.column("doc_id")
             for a, b, raw in C.text_batches(batch, limit=BATCH):
-                texts = [t.decode("utf-8", "surrogatepass") for t in raw]
-                ids = codec.encode(texts)
-                back = codec.decode(ids)
-                digest = [hashlib.sha256(np.array(x, "<i4").tobytes()).hexdigest() for x in ids]
+                flat, ends = codec.flat(raw)
+                back = codec.decode_flat(flat, ends)
+                ids = _parts(flat.astype("<i4", copy=False), ends)
+                digest = [hashlib.sha256(x).hexdigest() for x in ids]
                 at = [i for i, t in enumerate(raw) if zlib.crc32(t) % check == 0]
-                same = dict(zip(at, codec.parity([texts[i] for i in at], [ids[i] for i in at])))
-                cols = [pa.array([len(t) for t in raw], pa.int64()), pa.array([len(x) for x in ids], pa.int64()), pa.array(digest), pa.array([x == y for x, y in zip(texts, back)]), pa.array([same.get(i) for i in range(len(raw))], pa.bool_())]
+                same = dict(zip(at, codec.parity([raw[i].decode("utf-8") for i in at], [ids[i] for i in at])))
+                cols = [pa.array([len(t) for t in raw], pa.int64()), pa.array(np.diff(ends)), pa.array(digest), pa.array([x == y for x, y in zip(raw, back)]), pa.array([same.get(i) for i in range(len(raw))], pa.bool_())]
                 yield pa.record_batch([doc.slice(a, b - a), *cols], names=[f.split()[0] for f in _DIGESTS.split(", ")])
 
     return run

@@ -125,3 +125,27 @@ def test_words_equal_whole_texts(monkeypatch):
             assert all(codec.parity(batch))
             assert codec.encode(batch) == [e.ids for e in codec.tok.encode_batch_fast(batch, add_special_tokens=False)]
         assert len(codec._ids) <= kept and max(map(len, codec._ids)) <= S.LONG
+
+
+def test_words_of_most_batches_stay_kept(monkeypatch):
+    """Rare words that come first don't keep frequent ones out."""
+    monkeypatch.setattr(S, "KEPT", 8)
+    codec, seen = S.Codec(PATH), []
+    learn = S.Codec._learn
+    monkeypatch.setattr(S.Codec, "_learn", lambda self, new: (seen.extend(new), learn(self, new))[1])
+    codec.encode([" ".join(f"rare{i}" for i in range(50))])
+    for i in range(40):
+        assert all(codec.parity([f"often again new{i} {'long' * 20}{i}", "often"]))
+    assert seen.count(" often") == seen.count(" again") == 1
+    assert len(codec._ids) <= 8 and len(codec._pool) == codec._ends[-1] < 100
+
+
+@pytest.mark.parametrize("texts", [[], [""], ["", " ", "", "  "], ["a ", " b", "", S.MARK, "�", "é" * 99, "x  " * 500, ""], ["a" * 64, "a" * 65, " a" * 700]])
+def test_flat_ids(texts):
+    import sentencepiece
+
+    codec = S.Codec(PATH)
+    for _ in range(2):
+        ids, ends = codec.flat([t.encode() for t in texts])
+        assert [ids[a:b].tolist() for a, b in zip(ends, ends[1:])] == sentencepiece.SentencePieceProcessor(model_file=PATH).encode(texts)
+        assert codec.decode_flat(ids, ends) == [t.replace(S.MARK, " ").encode() for t in texts] and len(ends) == len(texts) + 1
